@@ -183,16 +183,18 @@ def fast_pixels(b: Bits, width: int, height: int, codes: list[Code]) -> np.ndarr
     top = max(c.top for c in codes[:4])
     looks = ((words[:, None] >> np.arange(8, dtype=np.uint32)) & np.uint32((1 << top) - 1)).ravel()
     n = len(looks)
-    place = np.arange(n, dtype=np.int32)
-    green = codes[0].symbols[looks & np.uint32((1 << codes[0].top) - 1)]
-    after = place + codes[0].sizes[looks & np.uint32((1 << codes[0].top) - 1)]
+    first = looks & np.uint32((1 << codes[0].top) - 1) if codes[0].top < top else looks
+    # a place's next one; far below zero after a code that isn't a literal
+    step = codes[0].sizes.astype(np.int32)
+    step[codes[0].symbols >= 256] = -(1 << 30)
+    after = step[first]
+    after += np.arange(n, dtype=np.int32)
     mids = []
     for c in codes[1:4]:
         mids.append(None if c.only is not None else after)
         if c.only is None:
-            x = looks[np.minimum(after, n - 1)] & np.uint32((1 << c.top) - 1)
-            after = after + c.sizes[x]
-    after[green >= 256] = -1
+            x = looks[np.clip(after, 0, n - 1)] & np.uint32((1 << c.top) - 1)
+            after = np.where(after < 0, after, after + c.sizes[x])
     follow = memoryview(np.ascontiguousarray(after, np.int32))
     p, at = b.pos - 8 * start, 0
     starts, firsts, copies = [], [], []
@@ -203,17 +205,18 @@ def fast_pixels(b: Bits, width: int, height: int, codes: list[Code]) -> np.ndarr
     else:
         walk: list[int] = []
         add = walk.append
-        begin = 0
-        while at + len(walk) - begin < total:
-            add(p)
-            q = follow[p]
-            if q >= 0:
+        while True:
+            begin = len(walk)
+            for _ in range(total - at):
+                q = follow[p]
+                if q < 0:
+                    break
+                add(p)
                 p = q
-                continue
-            walk.pop()
             firsts.append((at, begin, len(walk) - begin))
             at += len(walk) - begin
-            begin = len(walk)
+            if at == total:
+                break
             b.pos = p + 8 * start
             k = b.amount(b.symbol(codes[0]) - 256)
             d = distance(b.amount(b.symbol(codes[4])), width)
@@ -222,9 +225,8 @@ def fast_pixels(b: Bits, width: int, height: int, codes: list[Code]) -> np.ndarr
             copies.append((at, k, d))
             at += k
             p = b.pos - 8 * start
-        firsts.append((at, begin, len(walk) - begin))
         starts = np.fromiter(walk, np.int64, len(walk))
-    value = (green[starts].astype(np.uint32) & 255) << 8
+    value = (codes[0].symbols[first[starts]].astype(np.uint32) & 255) << 8
     for c, mid, shift in zip(codes[1:4], mids, (16, 0, 24), strict=True):
         if mid is None:
             value |= np.uint32(c.only << shift)
