@@ -47,10 +47,12 @@ def checkpoint_dir(spark: SparkSession) -> None:
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage with a table in shared storage."""
+    """Cut the lineage with a table in shared storage. The driver then collects its garbage, so that
+    Spark's cleaner can drop shuffle files that nothing needs any more."""
     spark = df.sparkSession
     path = shared_path(spark, name)
     df.write.option("compression", "zstd").parquet(path)
+    spark.sparkContext._jvm.System.gc()
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -123,7 +125,3 @@ class Spans:
     def of(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
         with np.errstate(over="ignore"):
             return mix64((self.sums[end] - self.sums[start]) * self.back[start] + (end - start).astype(U64))
-
-
-def clean_empty(df: DataFrame) -> bool:
-    return df.limit(1).count() == 0
