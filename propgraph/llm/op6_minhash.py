@@ -5,8 +5,9 @@ gives all K coordinates (both permute the 32-bit numbers). BANDS bands of ROWS c
 buckets: a pair of similarity 0.75 shares none with probability (1 - 0.75^5)^52, under one in a million.
 
 Links: texts with equal sets are one representative. In each bucket every representative is compared
-with the least one; classes are formed; then only pairs of a bucket whose ends are still in different
-classes are compared, so a bucket of one class, however large, emits no pairs. A comparison reads
+with a centre, the one that shares most buckets with most others; classes are formed; what is in
+other classes than the centre's gets a centre of its own, up to STARS times; at last, pairs of a bucket
+whose ends are still in different classes are compared, so a bucket of one class emits no pairs. A comparison reads
 whole texts, at most CHUNK of them with each copy of their centre's, whatever a group's size.
 
 Cases: null text is empty; without words a document has no shingle, links with nothing and is kept;
@@ -27,7 +28,7 @@ from .common import U64, blocks, mix64, table, text_of, workers_can_import, writ
 from .links import classes
 from .shingles import shingle_sets
 
-ROWS, BANDS, THRESHOLD, CHUNK = 5, 52, 75, 64
+ROWS, BANDS, THRESHOLD, CHUNK, STARS = 5, 52, 75, 64, 3
 K = ROWS * BANDS
 
 
@@ -125,25 +126,36 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     same = known.join(sets.select("set_key", "rep"), "set_key").where("doc_id != rep").select(F.col("rep").alias("a"), F.col("doc_id").alias("b"))
     rows = sets.select("rep", "n", F.explode("bands").alias("band"))
     # an id with rows of different text stands in several sets; those rows are linked through the id
-    first = rows.groupBy("band").agg(F.min("rep").alias("pivot"), F.count("*").alias("m")).where("m > 1").select("band", "pivot")
-    member = written(rows.join(first, "band").select("band", "rep", "n", "pivot"), "buckets")
-    texts = text_of(docs).where("doc_id IS NOT NULL")
-    least = sets.select(F.col("rep").alias("doc_id"), F.col("set_key"))
-    texts = _one_text(texts, least)
-    stars = member.where("rep != pivot").select(F.col("pivot").alias("a"), F.col("rep").alias("b")).distinct()
-    links = written(confirm(stars, texts, threshold), "star-links")
-    if not links.isEmpty():
+    sizes = rows.groupBy("band").agg(F.count("*").alias("m")).where("m > 1")
+    member = written(rows.join(sizes, "band"), "buckets")
+    # the text that shares most buckets with most others is nearest to the middle of its group
+    score = member.groupBy("rep").agg(F.sum("m").alias("s"))
+    member = written(member.drop("m").join(score, "rep"), "scored-buckets")
+    texts = _one_text(text_of(docs).where("doc_id IS NOT NULL"), sets.select(F.col("rep").alias("doc_id")))
+    links = same
+    best = F.max_by("rep", F.struct("s", -F.col("rep")))
+    held = member.withColumn("c", F.col("rep")).join(member.groupBy("band").agg(best.alias("pivot")), "band")
+    for step in range(STARS):
+        stars = held.where("c != pc" if step else "rep != pivot").select(F.least("pivot", "rep").alias("x"), F.greatest("pivot", "rep").alias("y"), F.col("pivot").alias("a"), F.col("rep").alias("b"))
+        stars = stars.dropDuplicates(["x", "y"]).select("a", "b")
+        links = written(links.unionByName(confirm(stars, texts, threshold)), "links")
         label = classes(links)
-        held = member.join(label.select(F.col("id").alias("rep"), "least"), "rep", "left").select("band", "rep", "n", "pivot", F.coalesce("least", "rep").alias("c"))
-    else:
-        held = member.withColumn("c", F.col("rep"))
-    mixed = held.groupBy("band").agg(F.min("c").alias("c1"), F.max("c").alias("c2")).where("c1 != c2").select("band")
-    held = written(held.join(mixed, "band"), "mixed-buckets")
-    x, y = (held.select("band", F.col("rep").alias(i), F.col("n").alias(f"n{i}"), F.col("c").alias(f"c{i}"), "pivot") for i in "ab")
+        now = member.join(label.select(F.col("id").alias("rep"), "least"), "rep", "left").select("band", "rep", "n", "s", F.coalesce("least", "rep").alias("c"))
+        # of a bucket in several classes, the next centre is the best text outside the last centre's class
+        named = held.select("band", "pivot").distinct().join(label.select(F.col("id").alias("pivot"), "least"), "pivot", "left").select("band", F.coalesce("least", "pivot").alias("old"))
+        now = now.join(named, "band")
+        rest = now.where("c != old").groupBy("band").agg(best.alias("pivot"), F.max_by("c", F.struct("s", -F.col("rep"))).alias("pc"))
+        held = written(now.drop("old").join(rest, "band"), "mixed-buckets")
+        if held.isEmpty():
+            break
+    every_band = held.groupBy("rep").agg(F.collect_set("band").alias("all"))
+    held = held.join(every_band, "rep")
+    x, y = (held.select("band", F.col("rep").alias(i), F.col("n").alias(f"n{i}"), F.col("c").alias(f"c{i}"), F.col("all").alias(f"all{i}")) for i in "ab")
     fits = (F.least("na", "nb") * 100 >= F.greatest("na", "nb") * threshold) & (F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b"))
-    more = x.join(y.drop("pivot"), "band").where(fits & (F.col("a") != F.col("pivot"))).select("a", "b").distinct()
+    # a pair that shares several buckets comes from the least of them
+    more = x.join(y, (x["band"] == y["band"]) & fits & (F.array_min(F.array_intersect("alla", "allb")) == x["band"])).select("a", "b")
     more = written(confirm(more, texts, threshold), "further-links")
-    label = classes(links.unionByName(more).unionByName(same))
+    label = classes(links.unionByName(more))
     out = every.join(label.withColumnRenamed("id", "doc_id"), "doc_id", "left")
     component = F.coalesce("least", "doc_id")
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
