@@ -7,7 +7,8 @@ buckets: a pair of similarity 0.75 shares none with probability (1 - 0.75^5)^52,
 Links: texts with equal sets are one representative. In each bucket every representative is compared
 with a centre, the one that shares most buckets with most others; classes are formed; what is in
 other classes than the centre's gets a centre of its own, up to STARS times; at last, pairs of a bucket
-whose ends are still in different classes are compared, so a bucket of one class emits no pairs. A comparison reads
+whose ends are still in different classes are compared, unless too few of their shingles occur in any
+other text for them to be near. So a bucket of one class emits no pairs, however large it is. A comparison reads
 whole texts, at most CHUNK of them with each copy of their centre's, whatever a group's size.
 
 Cases: null text is empty; without words a document has no shingle, links with nothing and is kept;
@@ -28,7 +29,7 @@ from .common import U64, blocks, mix64, table, text_of, workers_can_import, writ
 from .links import classes
 from .shingles import shingle_sets
 
-ROWS, BANDS, THRESHOLD, CHUNK, STARS = 5, 52, 75, 64, 3
+ROWS, BANDS, THRESHOLD, CHUNK, STARS = 5, 52, 75, 64, 1
 K = ROWS * BANDS
 
 
@@ -148,12 +149,15 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
         held = written(now.drop("old").join(rest, "band"), "mixed-buckets")
         if held.isEmpty():
             break
+    held = written(able(held, texts, threshold), "able-buckets")
     every_band = held.groupBy("rep").agg(F.collect_set("band").alias("all"))
     held = held.join(every_band, "rep")
-    x, y = (held.select("band", F.col("rep").alias(i), F.col("n").alias(f"n{i}"), F.col("c").alias(f"c{i}"), F.col("all").alias(f"all{i}")) for i in "ab")
-    fits = (F.least("na", "nb") * 100 >= F.greatest("na", "nb") * threshold) & (F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b"))
+    x, y = (held.select("band", F.col("rep").alias(i), F.col("n").alias(f"n{i}"), F.col("c").alias(f"c{i}"), F.col("t").alias(f"t{i}"), F.col("all").alias(f"all{i}")) for i in "ab")
+    shared = F.least("ta", "tb")
+    fits = (shared * 100 >= (F.col("na") + F.col("nb") - shared) * threshold) & (F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b"))
     # a pair that shares several buckets comes from the least of them
     more = x.join(y, (x["band"] == y["band"]) & fits & (F.array_min(F.array_intersect("alla", "allb")) == x["band"])).select("a", "b")
+    more = written(more, "further-pairs")
     more = written(confirm(more, texts, threshold), "further-links")
     label = classes(links.unionByName(more))
     out = every.join(label.withColumnRenamed("id", "doc_id"), "doc_id", "left")
@@ -161,6 +165,23 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
 
 
+def able(held: DataFrame, texts: DataFrame, threshold: int) -> DataFrame:
+    """held with t, each text's shingles that any other of these texts has; texts that can't link are left out.
+
+    Two texts share at most the lesser t of shingles, so a text that is mostly its own links with none."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches):
+            hashes, off = shingle_sets(batch.column("text"))
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.asarray(batch.column("doc_id")), np.diff(off))), pa.array(hashes.view(np.int64))], names=["rep", "h"])
+
+    some = held.select(F.col("rep").alias("doc_id")).distinct()
+    rows = some.join(texts, "doc_id").select("doc_id", "text").mapInArrow(run, "rep long, h long")
+    own = rows.groupBy("h").agg(F.min("rep").alias("rep"), F.count("*").alias("k")).where("k = 1").groupBy("rep").agg(F.count("*").alias("own"))
+    held = held.join(own, "rep", "left").withColumn("t", F.col("n") - F.coalesce("own", F.lit(0))).drop("own")
+    return held.where(F.col("t") * 100 >= F.col("n") * threshold)
+
+
 def _one_text(texts: DataFrame, reps: DataFrame) -> DataFrame:
     """doc_id, text of representatives; of repeated rows of an id, one."""
     return texts.join(reps.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
