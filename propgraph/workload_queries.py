@@ -1,6 +1,438 @@
-"""The engine's queries and their SQL."""
+"""The engine's workload queries and their SQL."""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from .functions import measures
+from .operators import algorithms as alg
+from .operators import baselines, graph, pages, relational
+from .operators.graph import PropertyGraph
+from .operators.loops import Trace
+from .plans.placement import place, place_sql, routing
+from .sources import files
+from .sources import workloads as w
+from .streaming import queries as streams
+
+
+def ranks_sql(v: str, e: str, rounds: int, tail: str = "SELECT id, round(pr, 6) AS pr FROM ranks") -> str:
+    """Rounds of PageRank, unrolled."""
+    steps = ["v AS MATERIALIZED (" + v + ")", "e AS MATERIALIZED (SELECT src, dst, count(*) OVER (PARTITION BY src) AS o FROM (" + e + ") q)", "r0 AS (SELECT id, 1.0::DOUBLE AS pr FROM v)"]
+    for i in range(1, rounds + 1):
+        steps.append(f"r{i} AS MATERIALIZED (SELECT v.id, 0.15::DOUBLE + 0.85::DOUBLE * coalesce(s, 0) AS pr FROM v LEFT JOIN (SELECT dst, sum(pr / o) AS s FROM e JOIN r{i - 1} ON id = src GROUP BY dst) x ON x.dst = v.id)")
+    return "WITH " + ",\n".join([*steps, f"ranks AS (SELECT * FROM r{rounds})"]) + "\n" + tail
+
+
+def components_sql(v: str, e: str, tail: str = "SELECT id, component FROM cc") -> str:
+    return f"""WITH RECURSIVE v AS ({v}), e AS MATERIALIZED (SELECT src AS a, dst AS b FROM ({e}) x UNION SELECT dst, src FROM ({e}) y),
+cc(id, component) USING KEY (id) AS (SELECT id, id FROM v UNION (SELECT e.b AS id, min(cc.component) AS component FROM cc JOIN e ON e.a = cc.id JOIN recurring.cc AS r ON r.id = e.b WHERE cc.component < r.component GROUP BY e.b))
+{tail}"""
+
+
+def _pr(make, rounds: int = 20, **how):
+    return lambda s, d: alg.pagerank(make(s, d), rounds, **how).select("id", F.round("pr", 6).alias("pr"))
+
+
+def _edge_ids(e: str) -> str:
+    return f"SELECT src AS id FROM ({e}) a UNION SELECT dst FROM ({e}) b"
+
+
+V = w.VISITS_V
+E1 = f"SELECT src, dst FROM ({w.VISITS_E}) z"
+VISITS_RANKS = ranks_sql(V, E1, 20)
+VISITS_60 = ranks_sql(V, E1, 60, "SELECT id, round(pr, 3) AS pr FROM ranks")
+BASKETS_V = _edge_ids(w.BASKETS_E)
+BASKETS_CC = components_sql(BASKETS_V, w.BASKETS_E)
+HALF = "2024-01-16"
+
+
+def _round_to(make, n: int = 3):
+    return lambda s, d: make(s, d).select("id", F.round("pr", n).alias("pr"))
+
+
+def out_flag_fixture(spark: SparkSession, d: str) -> DataFrame:
+    """Least labels with skipping by source only, as against by either end: the former is wrong for vertex 5."""
+    g = PropertyGraph.from_edges(spark.createDataFrame([(5, 4), (6, 4), (6, 1)], "src long, dst long"))
+    right = alg.components(g).withColumnRenamed("component", "either_end")
+    return right.join(alg.components(g, fresh="src").withColumnRenamed("component", "source_only"), "id")
+
+
+def senior(spark: SparkSession, d: str) -> DataFrame:
+    return alg.senior_neighbours(w.trade(spark, d), "balance")
+
+
+def cross_group(spark: SparkSession, d: str) -> DataFrame:
+    rows = alg.cross_edges(w.trade(spark, d), "nation")
+    return rows.groupBy("src__nation", "dst__nation").agg(F.count("*").alias("n"), F.sum(F.col("price").cast("decimal(18,2)")).cast("double").alias("price"))
+
+
+def triplet_view(spark: SparkSession, d: str) -> DataFrame:
+    t = w.supply(spark, d).triplets(["amount", "kind"], ["amount", "kind"])
+    return t.groupBy("dst").agg(F.count("*").alias("n"), F.round(F.max(F.col("src__amount") - F.col("dst__amount")), 6).alias("most"), F.min("src__kind").alias("src_kind"), F.min("dst__kind").alias("dst_kind"))
+
+
+def build_merge_default(spark: SparkSession, d: str) -> DataFrame:
+    """Suppliers with a positive balance only, each twice; the ones that edges name besides get defaults."""
+    s = w.table(spark, d, "supplier").where("s_acctbal > 0").select(F.col("s_suppkey").alias("id"), F.col("s_name").alias("name"), F.col("s_acctbal").alias("amount"))
+    twice = s.unionByName(s.withColumn("amount", F.col("amount") + 1))
+    e = w.table(spark, d, "lineitem").select(F.col("l_suppkey").alias("src"), F.col("l_suppkey").alias("dst"))
+    g = PropertyGraph.build(twice, e, merge={"name": F.min, "amount": F.max}, default={"name": F.lit("?"), "amount": F.lit(0.0)})
+    return g.vertices.select("id", "name", F.round("amount", 6).alias("amount"))
+
+
+def targets(spark: SparkSession, d: str) -> DataFrame:
+    v = w.targets(spark, d).vertices
+    return v.agg(F.count("*").alias("vertices"), F.count_if(F.col("crawled")).alias("crawled"), F.sum("n_copies").alias("copies"))
+
+
+def mapped_vertices(spark: SparkSession, d: str) -> DataFrame:
+    g = w.supply(spark, d).map_vertices(amount=F.round(F.col("amount") * 2, 4), label=F.concat_ws(":", "kind", F.col("id").cast("string")))
+    return g.vertices.select("id", "amount", "label")
+
+
+def mapped_edges(spark: SparkSession, d: str) -> DataFrame:
+    g = w.supply(spark, d).map_edges(lambda t: {"margin": t.edge["price"] - t.src["amount"] * t.edge["quantity"]})
+    return g.edges.groupBy("dst").agg(F.round(F.sum(F.col("margin").cast("decimal(20,4)")).cast("double"), 2).alias("margin"))
+
+
+def attached(spark: SparkSession, d: str) -> DataFrame:
+    ev = w.table(spark, d, "events").where("event_type = 'purchase'").groupBy(F.col("user_id").alias("id")).agg(F.count("*").alias("purchases"), F.max("value").alias("largest"))
+    return w.visits(spark, d).attach(ev).vertices.select("id", "n_events", "purchases", "largest")
+
+
+def restricted(kind: str):
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        g = w.supply(spark, d)
+        v = F.coalesce(F.col("size"), F.lit(99)) > 20
+        e = lambda t: (t.edge["shipdate"] < "1995-01-01") & (t.src["amount"] > 0)
+        g = g.restrict(v if kind != "edges" else None, e if kind != "vertices" else None)
+        n = g.vertices.select(F.lit("vertex").alias("what"), "id").groupBy("what", "id").agg(F.count("*").alias("n"))
+        return n.unionByName(g.edges.groupBy(F.col("dst").alias("id")).agg(F.count("*").alias("n")).select(F.lit("edge").alias("what"), "id", "n"))
+
+    return run
+
+
+def restricted_sql(kind: str) -> str:
+    v = "coalesce(size, 99) > 20" if kind != "edges" else "true"
+    e = "shipdate < '1995-01-01' AND s.amount > 0" if kind != "vertices" else "true"
+    return f"""WITH v AS ({w.SUPPLY_V}), k AS (SELECT id FROM v WHERE {v}), e AS (SELECT e.src, e.dst FROM ({w.SUPPLY_E}) e JOIN v s ON s.id = e.src WHERE {e})
+SELECT 'vertex' AS what, id, 1::BIGINT AS n FROM k UNION ALL SELECT 'edge', dst, count(*) FROM e WHERE src IN (SELECT id FROM k) AND dst IN (SELECT id FROM k) GROUP BY dst"""
+
+
+def matching(spark: SparkSession, d: str) -> DataFrame:
+    g = w.supply(spark, d)
+    busy = alg.degrees(g, "in").where("degree > 550").unionByName(alg.degrees(g, "out").where("degree > 20"))
+    k = g.keep_matching(busy)
+    return k.edges.groupBy("src").agg(F.count("*").alias("n"))
+
+
+def contract_hosts(spark: SparkSession, d: str) -> DataFrame:
+    g = w.weblinks(spark, d).map_vertices(pages=F.lit(1).cast("long"))
+    g = PropertyGraph(g.vertices.select("id", "host", "pages"), g.edges.select("src", "dst"), g.layout)
+    c = alg.contract(g, lambda t: t.src["host"] == t.dst["host"], {"pages": F.sum, "host": F.min}, {"n": F.count("*")})
+    return c.vertices.select("id", "host", "pages", F.lit(None).cast("long").alias("dst"), F.lit(None).cast("long").alias("n")).unionByName(c.edges.select(F.col("src").alias("id"), F.lit(None).cast("string").alias("host"), F.lit(None).cast("long").alias("pages"), "dst", "n"))
+
+
+CONTRACT_HOSTS = f"""WITH RECURSIVE v AS (SELECT id, host FROM ({w.WEB_WORDS}) x), f AS MATERIALIZED (SELECT e.src, e.dst, a.host = b.host AS same FROM ({w.WEB_E}) e JOIN v a ON a.id = e.src JOIN v b ON b.id = e.dst),
+e AS MATERIALIZED (SELECT src AS a, dst AS b FROM f WHERE same UNION SELECT dst, src FROM f WHERE same),
+cc(id, component) USING KEY (id) AS (SELECT id, id FROM v UNION (SELECT e.b AS id, min(cc.component) AS component FROM cc JOIN e ON e.a = cc.id JOIN recurring.cc AS r ON r.id = e.b WHERE cc.component < r.component GROUP BY e.b))
+SELECT component AS id, min(host) AS host, count(*) AS pages, NULL::BIGINT AS dst, NULL::BIGINT AS n FROM v JOIN cc ON cc.id = v.id GROUP BY component
+UNION ALL SELECT a.component, NULL, NULL, b.component, count(*) FROM f JOIN cc a ON a.id = f.src JOIN cc b ON b.id = f.dst WHERE NOT same GROUP BY a.component, b.component"""
+
+
+def contract_region(spark: SparkSession, d: str) -> DataFrame:
+    g = w.flows(spark, d)
+    g = PropertyGraph(g.vertices.withColumn("nations", F.lit(1).cast("long")), g.edges, g.layout)
+    c = alg.contract(g, lambda t: t.src["region"] == t.dst["region"], {"nations": F.sum}, {"revenue": F.sum("revenue").cast("double"), "n": F.sum("n")}, keep_loops=False)
+    return c.edges.select("src", "dst", F.round("revenue", 2).alias("revenue"), "n")
+
+
+CONTRACT_REGION = f"""WITH RECURSIVE v AS (SELECT n_nationkey::BIGINT AS id, n_regionkey AS region FROM nation), f AS MATERIALIZED (SELECT e.*, a.region = b.region AS same FROM ({w.FLOWS_E}) e JOIN v a ON a.id = e.src JOIN v b ON b.id = e.dst),
+e AS MATERIALIZED (SELECT src AS a, dst AS b FROM f WHERE same UNION SELECT dst, src FROM f WHERE same),
+cc(id, component) USING KEY (id) AS (SELECT id, id FROM v UNION (SELECT e.b AS id, min(cc.component) AS component FROM cc JOIN e ON e.a = cc.id JOIN recurring.cc AS r ON r.id = e.b WHERE cc.component < r.component GROUP BY e.b))
+SELECT a.component AS src, b.component AS dst, round(sum(revenue)::DOUBLE, 2) AS revenue, sum(n)::BIGINT AS n FROM f JOIN cc a ON a.id = f.src JOIN cc b ON b.id = f.dst WHERE NOT same AND a.component <> b.component GROUP BY a.component, b.component"""
+
+
+def contract_labels(spark: SparkSession, d: str) -> DataFrame:
+    g = w.nearest(spark, d)
+    g = PropertyGraph(g.vertices.select("id", "label", F.lit(1).cast("long").alias("members")), g.edges.select("src", "dst"), g.layout)
+    c = alg.contract(g, lambda t: t.src["label"] == t.dst["label"], {"members": F.sum, "label": F.min}, keep_loops=False)
+    return c.vertices.groupBy("label").agg(F.sum("members").alias("members"), F.count("*").alias("parts"))
+
+
+def slices(spark: SparkSession, d: str) -> DataFrame:
+    rows = alg.compare_slices(w.visits(spark, d), lambda t: t.edge["first_ts"] < HALF, lambda t: t.edge["last_ts"] >= HALF)
+    return rows.select("id", F.round("a", 6).alias("a"), F.round("b", 6).alias("b"))
+
+
+def _slice(cond: str, name: str) -> str:
+    e = f"SELECT src, dst FROM ({w.VISITS_E}) z WHERE {cond}"
+    return f"{name} AS (SELECT * FROM ({ranks_sql(_edge_ids(e), e, 10)}) q)"
+
+
+SLICES = f"""WITH {_slice(f"first_ts < '{HALF}'", "a")}, {_slice(f"last_ts >= '{HALF}'", "b")}
+SELECT coalesce(a.id, b.id) AS id, a.pr AS a, b.pr AS b FROM a FULL JOIN b ON a.id = b.id"""
+
+
+def _halves(spark: SparkSession, d: str) -> tuple[PropertyGraph, PropertyGraph]:
+    g = w.visits(spark, d)
+    return tuple(PropertyGraph.from_edges(g.restrict(edge_where=c).edges.select("src", "dst")) for c in (lambda t: t.edge["first_ts"] < HALF, lambda t: t.edge["last_ts"] >= HALF))
+
+
+def multi(op):
+    return lambda s, d: op(*_halves(s, d)).edges.select("src", "dst").distinct()
+
+
+_A, _B = (f"SELECT src, dst FROM ({w.VISITS_E}) {x} WHERE {c}" for x, c in (("p", f"first_ts < '{HALF}'"), ("q", f"last_ts >= '{HALF}'")))
+
+
+def two_graphs(spark: SparkSession, d: str) -> DataFrame:
+    a, b = (alg.pagerank(g(spark, d), 5).where("id % 16 = 1") for g in (w.supply, w.trade))
+    return graph.compare(a, b, "pr").select("id", F.round("a", 4).alias("a"), F.round("b", 4).alias("b"))
+
+
+TWO_GRAPHS = f"""WITH a AS (SELECT * FROM ({ranks_sql(f"SELECT id FROM ({w.SUPPLY_V}) v0", f"SELECT src, dst FROM ({w.SUPPLY_E}) e0", 5, "SELECT id, round(pr, 4) AS pr FROM ranks")}) x WHERE id % 16 = 1),
+b AS (SELECT * FROM ({ranks_sql(f"SELECT id FROM ({w.TRADE_V}) v0", f"SELECT src, dst FROM ({w.TRADE_E}) e0", 5, "SELECT id, round(pr, 4) AS pr FROM ranks")}) y WHERE id % 16 = 1)
+SELECT coalesce(a.id, b.id) AS id, a.pr AS a, b.pr AS b FROM a FULL JOIN b ON a.id = b.id"""
+
+
+def labels_sql(rounds: int) -> str:
+    steps = [f"e AS MATERIALIZED (SELECT src AS f, dst AS id FROM ({w.WEB_E}) x UNION ALL SELECT dst, src FROM ({w.WEB_E}) y)", "l0 AS (SELECT page_id AS id, page_id AS label FROM pages)"]
+    for i in range(1, rounds + 1):
+        steps.append(f"c{i} AS (SELECT e.id, l.label, count(*) AS n FROM e JOIN l{i - 1} l ON l.id = e.f GROUP BY e.id, l.label)")
+        steps.append(f"b{i} AS (SELECT id, label FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY n DESC, label) AS k FROM c{i}) q WHERE k = 1)")
+        steps.append(f"l{i} AS MATERIALIZED (SELECT p.id, coalesce(b.label, p.label) AS label FROM l{i - 1} p LEFT JOIN b{i} b ON b.id = p.id)")
+    return "WITH " + ",\n".join(steps) + f"\nSELECT id, label FROM l{rounds}"
+
+
+def _supply_pairs(spark: SparkSession, d: str) -> DataFrame:
+    return w.supply(spark, d).edges.select("src", "dst").distinct()
+
+
+SUPPLY_PAIRS = f"SELECT DISTINCT src, dst FROM ({w.SUPPLY_E}) s"
+
+
+def _ends_sql(strategy: str, p: int, e: str = SUPPLY_PAIRS) -> str:
+    return f"SELECT DISTINCT id, pid FROM (SELECT src AS id, {place_sql(strategy, p)} AS pid FROM ({e}) a UNION ALL SELECT dst, {place_sql(strategy, p)} FROM ({e}) b) z"
+
+
+def routing_table(spark: SparkSession, d: str) -> DataFrame:
+    return routing(_supply_pairs(spark, d).withColumn("pid", place("grid", 16))).select("id", F.array_join("pids", ",").alias("pids"))
+
+
+def _all_of(make, items):
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        out = None
+        for x in items:
+            one = make(_supply_pairs(spark, d), *x)
+            out = one if out is None else out.unionByName(one)
+        return out
+
+    return run
+
+
+def _replication_sql(items) -> str:
+    return "\nUNION ALL ".join(f"SELECT '{s}' AS strategy, {p}::BIGINT AS p, sum(r)::BIGINT AS replicas, round(avg(r), 6) AS mean_replicas, max(r) AS max_replicas FROM (SELECT id, count(*) AS r FROM ({_ends_sql(s, p)}) x GROUP BY id) y" for s, p in items)
+
+
+BY_STRATEGY = [(s, 16) for s in ("grid", "source", "target", "pair")]
+BY_P = [("grid", p) for p in (16, 32, 64, 128)]
+
+
+def balances_sql(items) -> str:
+    return "\nUNION ALL ".join(f"SELECT '{s}' AS strategy, {p}::BIGINT AS p, max(n) AS most, round(max(n) * {p} / sum(n)::DOUBLE, 6) AS max_over_mean FROM (SELECT count(*) AS n FROM ({SUPPLY_PAIRS}) q GROUP BY {place_sql(s, p)}) y" for s, p in items)
+
+
+def traffic(spark: SparkSession, d: str) -> DataFrame:
+    return measures.shape_traffic(w.visits(spark, d).edges.withColumn("pid", place("grid", 16)))
+
+
+TRAFFIC = f"""WITH e AS (SELECT src, dst, {place_sql("grid", 16)} AS pid FROM ({w.VISITS_E}) z)
+SELECT 'none' AS shape, 0::BIGINT AS shipped UNION ALL SELECT 'src', count(*) FROM (SELECT DISTINCT src, pid FROM e) a UNION ALL SELECT 'dst', count(*) FROM (SELECT DISTINCT dst, pid FROM e) b
+UNION ALL SELECT 'both', (SELECT count(*) FROM (SELECT DISTINCT src, pid FROM e) a) + (SELECT count(*) FROM (SELECT DISTINCT dst, pid FROM e) b)"""
+
+
+def component_trace(spark: SparkSession, d: str) -> DataFrame:
+    """round, active, edges touched and replicas shipped of every round of components on baskets."""
+    g = w.baskets(spark, d)
+    pairs = g.edges.select("src", "dst")
+    routes = measures.routes_of(pairs.distinct(), "grid", 16)
+    rows = []
+    labels = g.vertices.select("id", F.col("id").alias("label"))
+    active = labels.select("id")
+    from .operators.loops import kept
+
+    pairs, labels, number = kept(pairs), kept(labels), 0
+    while True:
+        number += 1
+        near = graph._fresh(pairs, active, "either") if number > 1 else pairs
+        rows.append((number, active.count(), near.count(), measures.shipped(routes, active).first()[0], measures.shipped(routes, labels).first()[0]))
+        now = PropertyGraph(labels, near, g.layout)
+        sent = graph.send_and_fold(now, lambda t: F.when(t.src["label"] < t.dst["label"], t.src["label"]), lambda t: F.when(t.dst["label"] < t.src["label"], t.dst["label"]), "min")
+        new = kept(labels.join(sent, "id", "left").select("id", F.least("label", F.coalesce("msg", "label")).alias("label"), F.col("msg").isNotNull().alias("moved")))
+        labels, active = new.drop("moved"), new.where("moved").select("id")
+        if not active.limit(1).count():
+            break
+    return spark.createDataFrame(rows, "round long, active long, edges_touched long, shipped long, shipped_full long")
+
+
+def rank_trace(spark: SparkSession, d: str) -> DataFrame:
+    t = Trace()
+    alg.pagerank(w.visits(spark, d), 100, tol=1e-4, trace=t)
+    return spark.createDataFrame([(r["round"], r["active"]) for r in t.rounds], "round long, active long")
+
+
+def varints(spark: SparkSession, d: str) -> DataFrame:
+    rows = w.supply(spark, d).edges.select(F.explode(F.array(F.struct(F.lit("src").alias("side"), F.col("src").alias("id")), F.struct(F.lit("dst").alias("side"), F.col("dst").alias("id")))).alias("e"))
+    return rows.groupBy("e.side").agg(F.count("*").alias("n"), F.sum(measures.varint_bytes(F.col("e.id"))).alias("bytes"), (F.count("*") * 8).alias("fixed_bytes"))
+
+
+_VAR = " + ".join(["1", *[f"(id >> {7 * k} > 0)::INT" for k in range(1, 9)]])
+
+
+def packing_ratio(spark: SparkSession, d: str) -> DataFrame:
+    rows = w.supply(spark, d).edges.select("src", "dst", F.unix_timestamp(F.col("shipdate").cast("timestamp")).alias("at"))
+    return measures.packing(rows).agg(F.sum("n").alias("n"), F.sum("rows_bytes").alias("rows_bytes"), F.sum("columns_bytes").alias("columns_bytes"))
+
+
+TOP20 = ranks_sql(w.WEB_V, f"SELECT src, dst FROM ({w.WEB_E}) z", 20, """SELECT b.id, round(p, 6) AS pr, url, regexp_extract(html, '<title>([^<]*)</title>', 1) AS title, length(html)::BIGINT AS html_chars FROM (SELECT id, round(pr, 9) AS p FROM ranks ORDER BY p DESC, id LIMIT 20) b JOIN pages ON page_id = b.id""")
+
+
+def roundtrip(spark: SparkSession, d: str) -> DataFrame:
+    import tempfile
+    import uuid
+
+    path = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp(prefix='propgraph-')}/graph-{uuid.uuid4().hex}"
+    files.save(w.supply(spark, d), path)
+    g = files.load(spark, path)
+    return g.vertices.groupBy("kind").agg(F.count("*").alias("vertices")).join(g.triplets([], ["kind"]).groupBy(F.col("dst__kind").alias("kind")).agg(F.count("*").alias("edges")), "kind", "left")
+
+
+def adjacency(spark: SparkSession, d: str) -> DataFrame:
+    return PropertyGraph.from_edges(_supply_pairs(spark, d)).adjacency().select("id", F.array_join(F.transform("neighbours", lambda x: x.cast("string")), ",").alias("neighbours"))
+
+
+def degree(kind: str):
+    return lambda s, d: alg.degrees(w.supply(s, d), kind)
+
+
+def neighbour(spark: SparkSession, d: str) -> DataFrame:
+    fold = lambda m: F.struct(F.min(m).alias("lo"), F.max(m).alias("hi"), F.round(F.avg(m.cast("decimal(18,4)")).cast("double"), 4).alias("mean"))
+    return alg.neighbours_agg(w.supply(spark, d), "amount", fold).select("id", "msg.lo", "msg.hi", "msg.mean")
+
+
+def sql_views(spark: SparkSession, d: str) -> DataFrame:
+    w.supply(spark, d).views("supply")
+    return spark.sql("SELECT dst AS id, count(*) AS n, round(max(src__amount), 6) AS most FROM supply_triplets GROUP BY dst")
+
+
+QUERIES = {
+    "pagerank_20": _pr(w.visits),
+    "pagerank_weblinks": _pr(w.weblinks),
+    "pagerank_supply": lambda s, d: alg.pagerank(w.supply(s, d).symmetrize(), 10).select("id", F.round("pr", 6).alias("pr")),
+    "pagerank_tol": _round_to(lambda s, d: alg.pagerank(w.visits(s, d), 100, tol=1e-6)),
+    "pagerank_delta": _round_to(lambda s, d: alg.pagerank(w.visits(s, d), 200, tol=1e-7, mode="delta")),
+    "pagerank_gas": _pr(w.visits, via="gas"),
+    "pagerank_supersteps": _pr(w.visits, via="supersteps"),
+    "pagerank_operators": _pr(w.visits, via="operators"),
+    "pagerank_classic": _pr(w.visits, via="classic"),
+    "pagerank_no_reuse": _pr(w.visits, reuse=False),
+    "pagerank_dataflow": lambda s, d: baselines.dataflow_pagerank(w.visits(s, d).edges, 20).select("id", F.round("pr", 6).alias("pr")),
+    "pagerank_edge_cut": lambda s, d: baselines.edge_cut_supersteps(w.visits(s, d), 20, combine=True).select("id", F.round("pr", 6).alias("pr")),
+    "pagerank_active_trace": rank_trace,
+    "components_baskets": lambda s, d: alg.components(w.baskets(s, d)),
+    "components_copies": lambda s, d: alg.components(w.copies(s, d)),
+    "components_turns": lambda s, d: alg.components(w.turns(s, d)),
+    "components_stars": lambda s, d: alg.components(w.baskets(s, d), via="stars"),
+    "components_dataflow": lambda s, d: baselines.dataflow_components(w.baskets(s, d).edges),
+    "components_scan_all": lambda s, d: alg.components(w.baskets(s, d), fresh=None),
+    "components_out_flag_fixture": out_flag_fixture,
+    "senior_neighbours": senior,
+    "degree_in": degree("in"),
+    "degree_out": degree("out"),
+    "degree_total": degree("total"),
+    "cross_group_edges": cross_group,
+    "triplet_view": triplet_view,
+    "build_merge_default": build_merge_default,
+    "build_targets": targets,
+    "map_vertices": mapped_vertices,
+    "map_edges": mapped_edges,
+    "attach_profiles": attached,
+    "restrict_vertices": restricted("vertices"),
+    "restrict_edges": restricted("edges"),
+    "restrict_both": restricted("both"),
+    "keep_matching": matching,
+    "contract_hosts": contract_hosts,
+    "contract_region": contract_region,
+    "contract_labels": contract_labels,
+    "slice_compare": slices,
+    "graph_union": multi(graph.union),
+    "graph_intersect": multi(graph.intersect),
+    "graph_difference": multi(graph.difference),
+    "two_graph_rank_compare": two_graphs,
+    "neighbour_agg": neighbour,
+    "label_propagation": lambda s, d: alg.label_propagation(w.weblinks(s, d)),
+    "routing_table": routing_table,
+    "replication_by_strategy": _all_of(measures.replication, BY_STRATEGY),
+    "communication_by_p": _all_of(measures.replication, BY_P),
+    "partition_balance": _all_of(measures.balance, [*BY_STRATEGY, ("grid", 64)]),
+    "delta_shipping_trace": component_trace,
+    "join_elimination_traffic": traffic,
+    "varint_sizes": varints,
+    "packing_ratio": packing_ratio,
+    "top20_pages": pages.rank_pages,
+    "pipeline_handoff": pages.rank_pages_by_files,
+    "roundtrip_graph": roundtrip,
+    "adjacency_csr": adjacency,
+    "sql_views": sql_views,
+    **relational.QUERIES,
+    **streams.QUERIES,
+}
+_SENIOR = f"""WITH v AS ({w.TRADE_V}), t AS (SELECT e.src, e.dst, a.balance AS x, b.balance AS y FROM ({w.TRADE_E}) e JOIN v a ON a.id = e.src JOIN v b ON b.id = e.dst)
+SELECT id, count(*) AS elders FROM (SELECT dst AS id FROM t WHERE x > y UNION ALL SELECT src FROM t WHERE y > x) q GROUP BY id"""
+_DEG = {"in": f"SELECT dst AS id, count(*) AS degree FROM ({w.SUPPLY_E}) x GROUP BY dst", "out": f"SELECT src AS id, count(*) AS degree FROM ({w.SUPPLY_E}) x GROUP BY src"}
+_DEG["total"] = f"SELECT id, sum(degree)::BIGINT AS degree FROM ({_DEG['in']} UNION ALL {_DEG['out']}) q GROUP BY id"
+ORACLES = {
+    **{k: VISITS_RANKS for k in ("pagerank_20", "pagerank_gas", "pagerank_supersteps", "pagerank_operators", "pagerank_classic", "pagerank_no_reuse", "pagerank_dataflow", "pagerank_edge_cut")},
+    "pagerank_weblinks": ranks_sql(w.WEB_V, f"SELECT src, dst FROM ({w.WEB_E}) z", 20),
+    "pagerank_supply": ranks_sql(f"SELECT id FROM ({w.SUPPLY_V}) v0", f"SELECT src, dst FROM ({w.SUPPLY_E}) a UNION ALL SELECT dst, src FROM ({w.SUPPLY_E}) b", 10),
+    "pagerank_tol": VISITS_60,
+    "pagerank_delta": VISITS_60,
+    **{k: BASKETS_CC for k in ("components_baskets", "components_stars", "components_dataflow", "components_scan_all")},
+    "components_copies": components_sql("SELECT doc_id AS id FROM documents", w.COPIES_E),
+    "components_turns": components_sql(w.TURNS_V, w.TURNS_E),
+    "components_out_flag_fixture": "SELECT * FROM (VALUES (1::BIGINT, 1::BIGINT, 1::BIGINT), (4, 1, 1), (5, 1, 4), (6, 1, 1)) t(id, either_end, source_only)",
+    "senior_neighbours": _SENIOR,
+    **{f"degree_{k}": v for k, v in _DEG.items()},
+    "cross_group_edges": f"WITH v AS ({w.TRADE_V}) SELECT a.nation AS src__nation, b.nation AS dst__nation, count(*) AS n, sum(CAST(price AS DECIMAL(18,2)))::DOUBLE AS price FROM ({w.TRADE_E}) e JOIN v a ON a.id = e.src JOIN v b ON b.id = e.dst WHERE a.nation <> b.nation GROUP BY a.nation, b.nation",
+    "triplet_view": f"WITH v AS ({w.SUPPLY_V}) SELECT dst, count(*) AS n, round(max(a.amount - b.amount), 6) AS most, min(a.kind) AS src_kind, min(b.kind) AS dst_kind FROM ({w.SUPPLY_E}) e JOIN v a ON a.id = e.src JOIN v b ON b.id = e.dst GROUP BY dst",
+    "build_merge_default": "SELECT k AS id, coalesce(s_name, '?') AS name, round(coalesce(s_acctbal + 1, 0), 6) AS amount FROM (SELECT l_suppkey AS k FROM lineitem UNION SELECT s_suppkey FROM supplier WHERE s_acctbal > 0) q LEFT JOIN supplier ON s_suppkey = k AND s_acctbal > 0",
+    "map_vertices": f"SELECT id, round(amount * 2, 4) AS amount, kind || ':' || id::VARCHAR AS label FROM ({w.SUPPLY_V}) v",
+    "map_edges": f"WITH v AS ({w.SUPPLY_V}) SELECT dst, round(sum(CAST(price - a.amount * quantity AS DECIMAL(20,4)))::DOUBLE, 2) AS margin FROM ({w.SUPPLY_E}) e JOIN v a ON a.id = e.src GROUP BY dst",
+    "attach_profiles": "WITH p AS (SELECT user_id, count(*) AS purchases, max(value) AS largest FROM events WHERE event_type = 'purchase' GROUP BY user_id), a AS (SELECT user_id AS id, count(*) AS n_events FROM events GROUP BY user_id) SELECT id, n_events, purchases, largest FROM a LEFT JOIN p ON user_id = id",
+    **{f"restrict_{k}": restricted_sql(k) for k in ("vertices", "edges", "both")},
+    "keep_matching": f"WITH e AS (SELECT src, dst FROM ({w.SUPPLY_E}) z), k AS (SELECT dst AS id FROM e GROUP BY dst HAVING count(*) > 550 UNION SELECT src FROM e GROUP BY src HAVING count(*) > 20) SELECT src, count(*) AS n FROM e WHERE src IN (SELECT id FROM k) AND dst IN (SELECT id FROM k) GROUP BY src",
+    "contract_hosts": CONTRACT_HOSTS,
+    "contract_region": CONTRACT_REGION,
+    "slice_compare": SLICES,
+    "graph_union": f"SELECT src, dst FROM ({_A}) x UNION SELECT src, dst FROM ({_B}) y",
+    "graph_intersect": f"SELECT src, dst FROM ({_A}) x INTERSECT SELECT src, dst FROM ({_B}) y",
+    "graph_difference": f"SELECT src, dst FROM ({_A}) x EXCEPT SELECT src, dst FROM ({_B}) y",
+    "two_graph_rank_compare": TWO_GRAPHS,
+    "neighbour_agg": f"WITH v AS ({w.SUPPLY_V}) SELECT dst AS id, min(amount) AS lo, max(amount) AS hi, round(avg(amount), 4) AS mean FROM ({w.SUPPLY_E}) e JOIN v ON v.id = e.src GROUP BY dst",
+    "label_propagation": labels_sql(5),
+    "routing_table": f"SELECT id, string_agg(pid::VARCHAR, ',' ORDER BY pid) AS pids FROM ({_ends_sql('grid', 16)}) q GROUP BY id",
+    "replication_by_strategy": _replication_sql(BY_STRATEGY),
+    "communication_by_p": _replication_sql(BY_P),
+    "partition_balance": balances_sql([*BY_STRATEGY, ("grid", 64)]),
+    "join_elimination_traffic": TRAFFIC,
+    "varint_sizes": f"SELECT side, count(*) AS n, sum({_VAR})::BIGINT AS bytes, count(*) * 8 AS fixed_bytes FROM (SELECT 'src' AS side, src AS id FROM ({w.SUPPLY_E}) a UNION ALL SELECT 'dst', dst FROM ({w.SUPPLY_E}) b) q GROUP BY side",
+    "top20_pages": TOP20,
+    "pipeline_handoff": TOP20,
+    "roundtrip_graph": f"SELECT kind, count(*) AS vertices, CASE WHEN kind = 'supplier' THEN (SELECT count(*) FROM lineitem) END AS edges FROM ({w.SUPPLY_V}) v GROUP BY kind",
+    "adjacency_csr": f"SELECT src AS id, string_agg(dst::VARCHAR, ',' ORDER BY dst) AS neighbours FROM ({SUPPLY_PAIRS}) q GROUP BY src",
+    "sql_views": f"WITH v AS ({w.SUPPLY_V}) SELECT dst AS id, count(*) AS n, round(max(amount), 6) AS most FROM ({w.SUPPLY_E}) e JOIN v ON v.id = e.src GROUP BY dst",
+    **relational.ORACLES,
+    **streams.ORACLES,
+}
