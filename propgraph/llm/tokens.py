@@ -2,77 +2,115 @@
 
 from __future__ import annotations
 
+import re
+from itertools import chain
+
 import numpy as np
 
-#: Code points whose classes every Unicode version and library agree on (ASCII and Latin letters,
-#: digits, common punctuation). Texts with others go to the tokenizer whole.
-PLAIN = r"[\t\n\r\x20-\x7e¡-įı-ɏ‐-‧‰-⁞€]*"
-#: The pre-tokenizers' patterns, as the two vocabulary files state them.
+#: Letters, numbers and white space among the first 256 code points, on which every Unicode version
+#: and library agree. Texts with other code points go to the tokenizer whole.
+LETTER, NUMBER, SPACE = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe", "\t-\r \x85\xa0"
+#: The pre-tokenizers' patterns for such texts, as the two vocabulary files state them.
 WORDS = {
-    "word_bpe_49k": r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+",
-    "byte_bpe_50k": r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+",
+    "word_bpe_49k": f"'s|'t|'re|'ve|'m|'ll|'d|[{LETTER}]+|[{NUMBER}]|[^{SPACE}{LETTER}{NUMBER}]+",
+    "byte_bpe_50k": f"'s|'t|'re|'ve|'m|'ll|'d| ?[{LETTER}]+| ?[{NUMBER}]+| ?[^{SPACE}{LETTER}{NUMBER}]+|[{SPACE}]+(?![^{SPACE}])|[{SPACE}]+",
 }
 _loaded: dict[tuple[str, int], WordIds] = {}
 
 
+class Numbers(dict):
+    """Gives a new key the next number and notes it."""
+
+    def __init__(self) -> None:
+        super().__init__()
+        self.new: list[str] = []
+
+    def __missing__(self, key: str) -> int:
+        self.new.append(key)
+        self[key] = n = len(self)
+        return n
+
+
 class WordIds:
     """ids(texts): one array of ids a text, the same as the tokenizer's own.
 
     The pre-tokenizer's pieces don't depend on what surrounds them, so each distinct piece is
     encoded once and looked up again; at most `most` pieces are kept."""
 
-    def __init__(self, path: str, most: int = 300_000) -> None:
-        import regex
+    def __init__(self, path: str, most: int = 500_000) -> None:
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
         self.tok.encode_special_tokens = True
         kind = next((k for k in WORDS if k in path), None)
-        self.words = regex.compile(WORDS[kind]) if kind else None
-        self.plain = regex.compile(PLAIN)
+        self.words = re.compile(WORDS[kind]) if kind else None
         self.lower = kind == "word_bpe_49k"
         self.most = most
         self.clear()
 
     def clear(self) -> None:
-        self.index: dict[str, int] = {}
+        self.index = Numbers()
         self.flat, self.size = np.zeros(0, np.uint32), np.zeros(0, np.int64)
         self.first = np.zeros(0, np.int64)
 
-    def learn(self, words: list[str]) -> None:
-        got = [e.ids for e in self.tok.encode_batch_fast(words, add_special_tokens=False)]
-        size = np.fromiter(map(len, got), np.int64, len(got))
-        n = len(self.flat)
-        self.flat = np.concatenate([self.flat, np.fromiter((i for x in got for i in x), np.uint32, int(size.sum()))])
-        self.first = np.concatenate([self.first, n + np.cumsum(size) - size])
-        self.size = np.concatenate([self.size, size])
-        self.index.update(zip(words, range(len(self.index), len(self.index) + len(words)), strict=True))
+    def encoded(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of words, one after another, and how many each has.
+
+        Plain words are encoded many at a time: between spaces they stay pieces of their own."""
+        size = np.zeros(len(words), np.int64)
+        plain = [i for i, w in enumerate(words) if (w if self.lower else w[1:]).isalpha() and (self.lower or w[0] == " ")]
+        other = sorted(set(range(len(words))).difference(plain))
+        groups = [plain[i : i + 500] for i in range(0, len(plain), 500)]
+        texts = [(" " if self.lower else "").join([words[i] for i in g]) for g in groups]
+        ids = []
+        for g, e in zip(groups, self.tok.encode_batch(texts, add_special_tokens=False), strict=True):
+            size[g] = np.bincount(e.word_ids, minlength=len(g))
+            ids.append(e.ids)
+        for i, e in zip(other, self.tok.encode_batch_fast([words[i] for i in other], add_special_tokens=False), strict=True):
+            size[i] = len(e.ids)
+            ids.append(e.ids)
+        flat = np.fromiter(chain.from_iterable(ids), np.uint32, int(size.sum()))
+        order = np.array([*plain, *other], np.int64)
+        place = np.empty(len(words), np.int64)
+        place[order] = np.cumsum(size[order]) - size[order]
+        return flat[np.repeat(place - (np.cumsum(size) - size), size) + np.arange(len(flat))], size
+
+    def learn(self) -> None:
+        if self.index.new:
+            flat, size = self.encoded(self.index.new)
+            self.first = np.concatenate([self.first, len(self.flat) + np.cumsum(size) - size])
+            self.flat, self.size = np.concatenate([self.flat, flat]), np.concatenate([self.size, size])
+            self.index.new = []
 
     def ids(self, texts: list[str]) -> list[np.ndarray]:
+        if len(self.index) > self.most:
+            self.clear()
         out: list[np.ndarray | None] = [None] * len(texts)
-        split: dict[int, list[str]] = {}
+        look = self.index.__getitem__
+        found: dict[int, np.ndarray] = {}
         for i, text in enumerate(texts):
-            if self.words is not None and (text.isascii() and "\x7f" not in text and min(text, default="a") >= "\t" or self.plain.fullmatch(text)) and self.plain.fullmatch(text):
-                split[i] = self.words.findall(text.lower() if self.lower else text)
-        whole = [i for i in range(len(texts)) if i not in split]
+            if self.words is not None and within_latin1(text):
+                words = self.words.findall(text.lower() if self.lower else text)
+                found[i] = np.fromiter(map(look, words), np.int64, len(words))
+        self.learn()
+        whole = [i for i in range(len(texts)) if i not in found]
         for i, e in zip(whole, self.tok.encode_batch_fast([texts[i] for i in whole], add_special_tokens=False), strict=True):
             out[i] = np.array(e.ids, dtype=np.uint32)
-        new = set().union(*split.values()).difference(self.index) if split else set()
-        if new:
-            if len(self.index) + len(new) > self.most:
-                self.clear()
-                new = set().union(*split.values())
-            self.learn(list(new))
-        look = self.index.__getitem__
-        for i, words in split.items():
-            at = np.fromiter(map(look, words), np.int64, len(words))
+        for i, at in found.items():
             size = self.size[at]
-            total = int(size.sum())
             ends = np.cumsum(size)
-            out[i] = self.flat[np.repeat(self.first[at] - (ends - size), size) + np.arange(total)]
+            out[i] = self.flat[np.repeat(self.first[at] - (ends - size), size) + np.arange(int(size.sum()))]
         return out
 
 
+def within_latin1(text: str) -> bool:
+    try:
+        text.encode("latin-1")
+    except UnicodeEncodeError:
+        return False
+    return True
+
+
 def tokenizer(path: str) -> WordIds:
     import os
 
