@@ -1,24 +1,26 @@
 """Removal of repeated 50-byte strings by prefix-free parsing, in corpus order.
 
-Parsing: a rolling hash of 16 bytes that is 0 modulo 256 starts a phrase; a phrase reaches 49 bytes into
-the next, so every 50-byte string lies in one. The dictionary is the distinct phrases, each with the
-least document that has it; a phrase whose least document is a smaller one goes whole, however often
-the corpus repeats it.
+Parsing: a rolling hash of 20 bytes triggers a phrase where it becomes, or stops being, the least of the
+31 that a 50-byte string holds. So every 50-byte string lies in one phrase, told by its own bytes alone,
+and phrases overlap by 49 bytes. The dictionary is the distinct phrases, in the order of their trigger's
+hash and their own; in each, occurrences follow by document. An occurrence goes whole if a smaller
+document has the phrase, however often the corpus repeats it.
 
-What is left are strings that other phrases hold. Sorting all suffixes of the dictionary would move
-fifty times the text, so suffixes are compared only where a match is possible: a 50-byte string's
-anchor is its 20-gram of least hash, equal strings have equal anchors, and only strings whose anchor
-occurs in two phrases or more are put in order (by hash of their 50 bytes, then document) to find
-those that a smaller document has.
+Strings of different phrases can match only if these share a trigger. Sorting all suffixes of the
+dictionary would move fifty times the text, so just the suffixes of phrases that share a trigger with
+another phrase, by the phrase's least document, are put in order (by a hash of their first 50 bytes, then
+document) to find those that a smaller document has.
 
 Cases: null text is empty; texts under 50 bytes lose nothing; a string repeated only within its own
 document stays; rows that share a doc_id are one document's, none smaller than the other; a null doc_id
 takes no part and loses nothing; an empty table gives no row. Only doc_id and text are read. Strings
-are compared by 64-bit hashes, phrases by 128 bits.
+are compared by 64-bit hashes, phrases by trigger and phrase hash, 128 bits.
 """
 
 from __future__ import annotations
 
+import gc
+import time
 from collections.abc import Iterator
 
 import numpy as np
@@ -26,32 +28,34 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import U64, Spans, as_bytes, blocks, table, text_of, workers_can_import, written
-
-LENGTH, TRIGGER, PERIOD, GRAM = 50, 16, 256, 20
-
-
-def parse(off: np.ndarray, spans: Spans, length: int = LENGTH) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(document, number in it, start, end) of all phrases of the block; the end includes the overlap."""
-    n, total = np.diff(off), int(off[-1])
-    q = np.arange(max(0, total - TRIGGER + 1))
-    hit = q[spans.of(q, q + TRIGGER) % U64(PERIOD) == 0]
-    doc = np.searchsorted(off[1:], hit, side="right")
-    # a phrase starts in a document, and so that it still holds a string of full length
-    ok = (hit > off[doc]) & (hit + length <= off[doc + 1])
-    some = np.flatnonzero(n >= length)
-    start = np.sort(np.concatenate([off[some], hit[ok]]))
-    doc = np.searchsorted(off[1:], start, side="right")
-    first = np.append(True, doc[1:] != doc[:-1]) if len(doc) else np.zeros(0, bool)
-    number = np.arange(len(doc)) - np.maximum.accumulate(np.where(first, np.arange(len(doc)), 0)) if len(doc) else doc
-    last = np.append(doc[1:] != doc[:-1], True) if len(doc) else first
-    nxt = np.append(start[1:], 0) if len(start) else start
-    end = np.where(last, off[doc + 1], nxt + length - 1) if len(doc) else start
-    return doc, number, start, end
-
-
-def anchors(spans: Spans, total: int, length: int = LENGTH, gram: int = GRAM) -> np.ndarray:
-    """The least 20-gram hash of the string at every place; places near a document's end mean nothing."""
+from .common import Spans, as_bytes, blocks, table, text_of, workers_can_import, written
+
+LENGTH, GRAM, LONGEST = 50, 20, 1000
+#: A phrase's place: its start times this, plus how many strings it holds.
+UNIT = 1024
+
+
+def phrases(off: np.ndarray, spans: Spans, length: int = LENGTH) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(document, start, number of strings, trigger) of all phrases of a block of texts."""
+    n = np.maximum(np.diff(off) - length + 1, 0)
+    doc = np.repeat(np.arange(len(n)), n)
+    at = np.repeat(off[:-1] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+    low = triggers(spans, int(off[-1]))[at]
+    if not len(at):
+        return doc, at, at, low
+    new = np.flatnonzero(np.append(True, (low[1:] != low[:-1]) | (doc[1:] != doc[:-1])))
+    size = np.diff(np.append(new, len(at)))
+    # a long run of one trigger, as periodic text has, is cut
+    parts = -(-size // LONGEST)
+    if (parts > 1).any():
+        k = np.repeat(np.arange(len(new)), parts)
+        inner = (np.arange(len(k)) - np.repeat(np.cumsum(parts) - parts, parts)) * LONGEST
+        new, size = new[k] + inner, np.minimum(LONGEST, size[k] - inner)
+    return doc[new], at[new], size, low[new]
+
+
+def triggers(spans: Spans, total: int, length: int = LENGTH, gram: int = GRAM) -> np.ndarray:
+    """The least 20-byte hash of the string at every place; places near a document's end mean nothing."""
     q = np.arange(max(0, total - gram + 1))
     low = spans.of(q, q + gram)
     width, have = length - gram + 1, 1
@@ -62,179 +66,171 @@ def anchors(spans: Spans, total: int, length: int = LENGTH, gram: int = GRAM) ->
     return np.minimum(low[: len(low) - rest], low[rest:]) if len(low) > rest else low[:0]
 
 
-class Block:
-    """A block of documents, parsed."""
-
-    def __init__(self, batch: pa.RecordBatch) -> None:
-        self.ids = np.asarray(batch.column("doc_id"), dtype=np.int64)
-        self.buf, self.off = as_bytes(batch.column("text"))
-        self.spans = Spans(self.buf)
-        self.doc, self.number, self.start, self.end = parse(self.off, self.spans)
-
-    def names(self) -> tuple[np.ndarray, np.ndarray]:
-        return self.spans.of(self.start, self.end).view(np.int64), Spans(self.buf, 2).of(self.start, self.end).view(np.int64)
-
-    def places(self, chosen: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
-        """Starts of all full-length strings, and the phrase each starts in (of the chosen phrases)."""
-        n = self.end - self.start - LENGTH + 1
-        at = np.flatnonzero(n > 0) if chosen is None else np.flatnonzero((n > 0) & chosen)
-        n = n[at]
-        phrase = np.repeat(at, n)
-        return np.repeat(self.start[at] - (np.cumsum(n) - n), n) + np.arange(int(n.sum())), phrase
-
-
 def _rows(names: list[str], *cols: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=names)
 
 
-def repeated_phrases(texts: DataFrame) -> DataFrame:
-    """doc_id, phrases: numbers of the phrases that a smaller document has."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
-            b = Block(batch)
-            yield _rows(["doc_id", "number", "h1", "h2"], b.ids[b.doc], b.number.astype(np.int32), *b.names())
-
-    rows = texts.mapInArrow(run, "doc_id long, number int, h1 long, h2 long")
-    first = rows.groupBy("h1", "h2").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").drop("last")
-    return rows.join(first, ["h1", "h2"]).where("doc_id > first").groupBy("doc_id").agg(F.collect_set("number").alias("phrases"))
+def _first(*keys: np.ndarray) -> np.ndarray:
+    out = np.ones(len(keys[0]), bool)
+    if len(out):
+        out[1:] = keys[0][1:] != keys[0][:-1]
+        for k in keys[1:]:
+            out[1:] |= k[1:] != k[:-1]
+    return out
 
 
-def shared_anchors(texts: DataFrame) -> DataFrame:
-    """doc_id, anchors: those that two phrases or more have, by the least document of each phrase."""
+def matched_phrases(texts: DataFrame) -> DataFrame:
+    """doc_id, place, repeated: phrases that a smaller document has (true), and the least document's
+    phrases whose trigger another phrase has too (false)."""
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            b = Block(batch)
-            at, phrase = b.places()
-            a = anchors(b.spans, len(b.buf))[at].view(np.int64)
-            new = np.append(True, (a[1:] != a[:-1]) | (phrase[1:] != phrase[:-1])) if len(a) else np.zeros(0, bool)
-            a, phrase = a[new], phrase[new]
-            name, doc = b.names()[0][phrase] & ~np.int64(3), b.ids[b.doc[phrase]]
-            order = np.lexsort((doc, name, a))
-            a, name, doc = a[order], name[order], doc[order]
-            one = np.append(True, (a[1:] != a[:-1]) | (name[1:] != name[:-1])) if len(a) else new[:0]
-            a, name, doc = a[one], name[one], doc[one]
-            # an anchor of two phrases in this block is known to be shared: one row of it still looks for others, the rest needn't
-            head = np.append(True, a[1:] != a[:-1]) if len(a) else one[:0]
-            many = ~head | np.append(~head[1:], False) if len(a) else head
-            yield _rows(["a", "p", "doc_id"], a, name | many.astype(np.int64) | (many & ~head).astype(np.int64) * 2, doc)
+            ids = np.asarray(batch.column("doc_id"), dtype=np.int64)
+            buf, off = as_bytes(batch.column("text"))
+            spans = Spans(buf)
+            doc, at, n, t = phrases(off, spans)
+            name = spans.of(at, at + n + LENGTH - 1).view(np.int64)
+            t, d, place = t.view(np.int64), ids[doc], (at - off[doc]) * UNIT + n
+            order = np.lexsort((d, name, t))
+            t, name, d, place = t[order], name[order], d[order], place[order]
+            head = _first(t, name)
+            # a smaller document of this block settles it: such a row needn't look for others
+            late = d > d[head][np.cumsum(head) - 1] if len(d) else head
+            yield _rows(["t", "name", "doc_id", "place"], t, name, d, np.where(late, -place, place))
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = None  # the last row of those that look for others, until the next is seen
+        # of the open group: its trigger, last name, that name's least document, if shared, and rows that wait to know
+        last_t = last_name = least = None
+        shared, wait = False, (np.zeros(0, np.int64),) * 2
         for batch in batches:
-            a, p, d = (np.asarray(batch.column(c)) for c in ("a", "p", "doc_id"))
-            known = (p & 2) != 0
-            yield _rows(["doc_id", "a"], d[known], a[known])
-            a, f, p, d = a[~known], (p[~known] & 1) != 0, p[~known] & ~np.int64(3), d[~known]
-            if held:
-                a, p, d, f = (np.concatenate([np.array([x], y.dtype), y]) for x, y in zip(held, (a, p, d, f), strict=True))
-            if not len(a):
-                continue
-            same = a[1:] == a[:-1]
-            other = same & (p[1:] != p[:-1])
-            # shared within the run so far: by a neighbour with another phrase, or by a mark of its block
-            run = np.cumsum(np.append(0, ~same))
-            shared = np.zeros(run[-1] + 1, bool)
-            shared[run[1:][other]] = True
-            shared[run[f]] = True
-            first = np.append(True, ~same | (p[1:] != p[:-1]))
-            out = shared[run] & first
-            # the open run goes on in the next batch: its last row stands for it there, or, while it has
-            # only one phrase, its first row; a row given out twice does no harm
-            last = len(a) - 1 if shared[run[-1]] else int(np.flatnonzero(run == run[-1])[0])
-            held = (a[last], p[last], d[last], bool(shared[run[-1]]))
-            yield _rows(["doc_id", "a"], d[out], a[out])
-
-    rows = texts.mapInArrow(emit, "a long, p long, doc_id long")
-    route = F.when(F.col("p").bitwiseAND(F.lit(2)) != 0, F.col("doc_id")).otherwise(F.col("a"))
-    rows = rows.repartition(route).sortWithinPartitions("a", F.col("p").bitwiseAND(F.lit(~3)), "doc_id")
-    return rows.mapInArrow(find, "doc_id long, a long").groupBy("doc_id").agg(F.collect_set("a").alias("anchors"))
-
-
-def repeated_strings(texts: DataFrame, notes: DataFrame) -> DataFrame:
-    """doc_id, places: starts of strings, in phrases that are not repeated, that a smaller document has."""
+            t, name, d, place = (np.asarray(batch.column(c)) for c in ("t", "name", "doc_id", "place"))
+            late = place < 0
+            gone = [(d[late], -place[late])]
+            open_ = []
+            t, name, d, place = t[~late], name[~late], d[~late], place[~late]
+            if len(t):
+                ht, hn = _first(t), _first(t, name)
+                gt, gn = np.cumsum(ht) - 1, np.cumsum(hn) - 1
+                firsts = d[hn].copy()
+                names = np.bincount(gt[hn])
+                if last_t is not None and t[0] == last_t:
+                    if name[0] == last_name:
+                        firsts[0] = least
+                    else:
+                        names[0] += 1
+                    if shared:
+                        names[0] = 2
+                    if names[0] > 1:
+                        open_.append(wait)
+                    keep = wait if names[0] < 2 and gt[-1] == 0 else None
+                else:
+                    keep = None
+                first = d == firsts[gn]
+                gone.append((d[~first], place[~first]))
+                many = names[gt] > 1
+                open_.append((d[first & many], place[first & many]))
+                last_t, last_name, least, shared = t[-1], name[-1], firsts[-1], bool(names[-1] > 1)
+                hold = first & ~many & (gt == gt[-1])
+                wait = (d[hold], place[hold])
+                if keep is not None:
+                    wait = tuple(np.concatenate(x) for x in zip(keep, wait, strict=True))
+            for rows, kind in ((gone, True), (open_, False)):
+                for x, y in rows:
+                    if len(x):
+                        yield _rows(["doc_id", "place", "repeated"], x, y, np.full(len(x), kind))
+
+    rows = texts.mapInArrow(emit, "t long, name long, doc_id long, place long")
+    route = F.when(F.col("place") < 0, F.xxhash64("doc_id", "place")).otherwise(F.col("t"))
+    rows = rows.repartition(route).sortWithinPartitions("t", "name", "doc_id")
+    return rows.mapInArrow(find, "doc_id long, place long, repeated boolean")
+
+
+def repeated_strings(texts: DataFrame, matched: DataFrame) -> DataFrame:
+    """doc_id, place: starts of strings, of the phrases in question, that a smaller document has."""
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            b = Block(batch)
-            if not len(b.doc):
-                continue
-            gone, some = batch.column("phrases").to_pylist(), batch.column("anchors").to_pylist()
-            fresh = np.ones(len(b.doc), bool)
-            begin = np.searchsorted(b.doc, np.arange(batch.num_rows))
-            for i, g in enumerate(gone):
-                if g:
-                    fresh[begin[i] + np.array(g)] = False
-            at, phrase = b.places(fresh)
-            a, doc = anchors(b.spans, len(b.buf))[at].view(np.int64), b.doc[phrase]
-            want = np.zeros(len(at), bool)
-            cut = np.searchsorted(doc, np.arange(batch.num_rows + 1))
-            for i, s in enumerate(some):
-                if s and cut[i] < cut[i + 1]:
-                    want[cut[i] : cut[i + 1]] = np.isin(a[cut[i] : cut[i + 1]], np.array(s, np.int64))
-            at, doc = at[want], doc[want]
-            w, ids, place = b.spans.of(at, at + LENGTH).view(np.int64), b.ids[doc], (at - b.off[doc]).astype(np.int64)
-            order = np.lexsort((ids, w))
-            w, ids, place = w[order], ids[order], place[order]
-            head = np.append(True, w[1:] != w[:-1]) if len(w) else np.zeros(0, bool)
-            least = ids[head][np.cumsum(head) - 1] if len(w) else ids
-            # a smaller document in the block is enough; its rows look for smaller ones still
-            yield _rows(["w", "doc_id", "place"], w, ids, np.where(ids > least, -1 - place, place))
+            ids = np.asarray(batch.column("doc_id"), dtype=np.int64)
+            buf, off = as_bytes(batch.column("text"))
+            lists = batch.column("places")
+            size = np.diff(np.asarray(lists.offsets))
+            place = np.asarray(lists.flatten())
+            doc = np.repeat(np.arange(batch.num_rows), size)
+            n = place % UNIT
+            k = np.repeat(np.arange(len(place)), n)
+            at = (off[doc] + place // UNIT)[k] + np.arange(len(k)) - np.repeat(np.cumsum(n) - n, n)
+            w, d, at = Spans(buf).of(at, at + LENGTH).view(np.int64), ids[doc[k]], at - off[doc[k]]
+            order = np.lexsort((d, w))
+            w, d, at = w[order], d[order], at[order]
+            head = _first(w)
+            late = d > d[head][np.cumsum(head) - 1] if len(d) else head
+            yield _rows(["w", "doc_id", "place"], w, d, np.where(late, -1 - at, at))
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last_w = last_first = None
+        last_w = least = None
         for batch in batches:
             w, d, p = (np.asarray(batch.column(c)) for c in ("w", "doc_id", "place"))
-            known = p < 0
-            out_d, out_p = [d[known]], [-1 - p[known]]
-            w, d, p = w[~known], d[~known], p[~known]
+            late = p < 0
+            out = [(d[late], -1 - p[late])]
+            w, d, p = w[~late], d[~late], p[~late]
             if len(w):
-                head = np.append(True, w[1:] != w[:-1])
+                head = _first(w)
                 first = d[head].copy()
                 if last_w is not None and w[0] == last_w:
-                    first[0] = last_first
-                last_w, last_first = w[-1], first[-1]
+                    first[0] = least
+                last_w, least = w[-1], first[-1]
                 gone = d > first[np.cumsum(head) - 1]
-                out_d.append(d[gone])
-                out_p.append(p[gone])
-            yield _rows(["doc_id", "place"], np.concatenate(out_d), np.concatenate(out_p))
-
-    rows = texts.join(notes.where("anchors IS NOT NULL"), "doc_id").mapInArrow(emit, "w long, doc_id long, place long")
-    route = F.when(F.col("place") < 0, F.col("doc_id")).otherwise(F.col("w"))
+                out.append((d[gone], p[gone]))
+            for x, y in out:
+                if len(x):
+                    yield _rows(["doc_id", "place"], x, y)
+
+    asked = matched.where("NOT repeated").groupBy("doc_id").agg(F.collect_list("place").alias("places"))
+    rows = texts.join(asked, "doc_id").select("doc_id", "text", "places").mapInArrow(emit, "w long, doc_id long, place long")
+    route = F.when(F.col("place") < 0, F.xxhash64("doc_id", "place")).otherwise(F.col("w"))
     rows = rows.repartition(route).sortWithinPartitions("w", "doc_id")
-    return rows.mapInArrow(find, "doc_id long, place long").groupBy("doc_id").agg(F.collect_set("place").alias("places"))
+    return rows.mapInArrow(find, "doc_id long, place long")
+
+
+def _collect(spark: SparkSession) -> None:
+    """Lets Spark drop the shuffle files of plans that are done with."""
+    for _ in range(2):
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.3)
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
     """doc_id, kept (bytes), n_bytes, n_removed, spans (starts and ends of removed runs)."""
-    workers_can_import(docs.sparkSession)
+    spark = docs.sparkSession
+    workers_can_import(spark)
     texts = text_of(docs)
     known = texts.where("doc_id IS NOT NULL")
-    phrases = written(repeated_phrases(known), "phrases")
-    shared = written(shared_anchors(known), "anchors")
-    notes = phrases.join(shared, "doc_id", "full")
-    strings = written(repeated_strings(known, notes), "strings")
-    marks = phrases.join(strings, "doc_id", "full")
+    matched = written(matched_phrases(known), "phrases")
+    _collect(spark)
+    strings = written(repeated_strings(known, matched), "strings")
+    _collect(spark)
+    gone = matched.where("repeated").select("doc_id", "place").unionByName(strings.select("doc_id", (F.col("place") * UNIT + 1).alias("place")))
+    marks = gone.groupBy("doc_id").agg(F.collect_list("place").alias("places"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
             raw, off = as_bytes(batch.column("text"))
-            gone, places = batch.column("phrases").to_pylist(), batch.column("places").to_pylist()
-            doc, _, start, end = parse(off, Spans(raw)) if any(gone) else (np.zeros(0, np.int64),) * 4
-            begin = np.searchsorted(doc, np.arange(batch.num_rows))
+            lists = batch.column("places")
+            flat, ends = np.asarray(lists.flatten()), np.asarray(lists.offsets)
+            valid = np.asarray(lists.is_valid())
             kept, removed, runs = [], [], []
             for i in range(batch.num_rows):
                 text = raw[off[i] : off[i + 1]]
-                change = np.zeros(len(text) + 1, np.int32)
-                if gone[i]:
-                    k = begin[i] + np.array(gone[i])
-                    np.add.at(change, start[k] - off[i], 1)
-                    np.add.at(change, end[k] - off[i], -1)
-                if places[i]:
-                    k = np.array(places[i])
-                    np.add.at(change, k, 1)
-                    np.add.at(change, k + LENGTH, -1)
+                place = flat[ends[i] - ends[0] : ends[i + 1] - ends[0]]
+                if not valid[i] or not len(place):
+                    kept.append(text.tobytes())
+                    removed.append(0)
+                    runs.append([])
+                    continue
+                change = np.zeros(len(text) + 1, np.int64)
+                np.add.at(change, place // UNIT, 1)
+                np.add.at(change, place // UNIT + place % UNIT + LENGTH - 1, -1)
                 covered = np.cumsum(change)[:-1] > 0
                 edge = np.flatnonzero(np.diff(np.concatenate([[0], covered.astype(np.int8), [0]])))
                 kept.append(text[~covered].tobytes())
@@ -242,7 +238,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
                 runs.append(edge.tolist())
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(kept, pa.binary()), pa.array(np.diff(off)), pa.array(removed, pa.int64()), pa.array(runs, pa.list_(pa.int64()))], names=["doc_id", "kept", "n_bytes", "n_removed", "spans"])
 
-    return texts.join(marks, "doc_id", "left").select("doc_id", "text", "phrases", "places").mapInArrow(run, "doc_id long, kept binary, n_bytes long, n_removed long, spans array<long>")
+    return texts.join(marks, "doc_id", "left").select("doc_id", "text", "places").mapInArrow(run, "doc_id long, kept binary, n_bytes long, n_removed long, spans array<long>")
 
 
 def op10_phrase_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
