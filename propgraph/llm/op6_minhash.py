@@ -8,7 +8,7 @@ Links: texts with equal sets are one representative. In each bucket every repres
 with a centre, the one that shares most buckets with most others; classes are formed; what is in
 other classes than the centre's gets a centre of its own, up to STARS times; at last, pairs of a bucket
 whose ends are still in different classes are compared, unless too few of their shingles occur in any
-other text for them to be near. So a bucket of one class emits no pairs, however large it is. A comparison reads
+other text, or too few of their coordinates agree, for them to be near. So a bucket of one class emits no pairs, however large it is. A comparison reads
 whole texts, at most CHUNK of them with each copy of their centre's, whatever a group's size.
 
 Cases: null text is empty; without words a document has no shingle, links with nothing and is kept;
@@ -22,7 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import U64, blocks, mix64, table, text_of, workers_can_import, written
@@ -30,6 +30,9 @@ from .links import classes
 from .shingles import shingle_sets
 
 ROWS, BANDS, THRESHOLD, CHUNK, STARS = 5, 52, 75, 64, 1
+#: Bits kept of a coordinate, and the most of 256 in which a pair to be compared may differ: at similarity 0.75 a
+#: pair differs in 60 on average, in over 96 with a probability under one in a million.
+BITS, MOST_UNLIKE = 4, 96
 K = ROWS * BANDS
 
 
@@ -68,6 +71,23 @@ def bands_of(sig: np.ndarray, rows: int = ROWS) -> np.ndarray:
     return h.view(np.int64)
 
 
+def planes_of(sig: np.ndarray) -> np.ndarray:
+    """The lowest BITS bits of 256 coordinates, plane by plane: (documents, 4 * BITS) longs."""
+    parts = [np.packbits((sig[:, :256] >> np.uint32(j)).astype(np.uint8) & 1, axis=1).view("<i8") for j in range(BITS)]
+    return np.concatenate(parts, axis=1)
+
+
+def unlike(a: str, b: str) -> Column:
+    """In how many of 256 coordinates two documents' planes differ."""
+    total = F.lit(0)
+    for i in range(4):
+        x = F.lit(0).cast("long")
+        for j in range(BITS):
+            x = x.bitwiseOR(F.col(a)[4 * j + i].bitwiseXOR(F.col(b)[4 * j + i]))
+        total = total + F.bit_count(x)
+    return total
+
+
 def features(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, set_key (128 bits), bands: one row a row."""
     workers_can_import(docs.sparkSession)
@@ -78,12 +98,14 @@ def features(docs: DataFrame) -> DataFrame:
         for batch in blocks(batches, most=1 << 18):
             hashes, off = shingle_sets(batch.column("text"))
             n = np.diff(off)
-            bands = bands_of(signatures(hashes, off))
+            sig = signatures(hashes, off)
+            bands, planes = bands_of(sig), planes_of(sig)
             keys = [hashlib.blake2b(np.ascontiguousarray(hashes[a:b]), digest_size=16).digest() for a, b in zip(off[:-1], off[1:], strict=True)]
             lists = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1) * BANDS, pa.int32()), pa.array(bands.ravel()))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n), pa.array(keys, pa.binary()), lists], names=["doc_id", "n_shingles", "set_key", "bands"])
+            bits = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1) * planes.shape[1], pa.int32()), pa.array(planes.ravel()))
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n), pa.array(keys, pa.binary()), lists, bits], names=["doc_id", "n_shingles", "set_key", "bands", "planes"])
 
-    return text_of(docs).mapInArrow(run, "doc_id long, n_shingles long, set_key binary, bands array<long>")
+    return text_of(docs).mapInArrow(run, "doc_id long, n_shingles long, set_key binary, bands array<long>, planes array<long>")
 
 
 def confirm(pairs: DataFrame, texts: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
@@ -123,7 +145,7 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     every = written(features(docs), "shingle-features")
     known = every.where("n_shingles > 0 AND doc_id IS NOT NULL")
     # equal sets: one representative, which also carries the bands
-    sets = written(known.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands")), "shingle-sets")
+    sets = written(known.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands"), F.first("planes").alias("planes")), "shingle-sets")
     same = known.join(sets.select("set_key", "rep"), "set_key").where("doc_id != rep").select(F.col("rep").alias("a"), F.col("doc_id").alias("b"))
     rows = sets.select("rep", "n", F.explode("bands").alias("band"))
     # an id with rows of different text stands in several sets; those rows are linked through the id
@@ -151,10 +173,10 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
             break
     held = written(able(held, texts, threshold), "able-buckets")
     every_band = held.groupBy("rep").agg(F.collect_set("band").alias("all"))
-    held = held.join(every_band, "rep")
-    x, y = (held.select("band", F.col("rep").alias(i), F.col("n").alias(f"n{i}"), F.col("c").alias(f"c{i}"), F.col("t").alias(f"t{i}"), F.col("all").alias(f"all{i}")) for i in "ab")
+    held = held.join(every_band, "rep").join(sets.select("rep", "planes"), "rep")
+    x, y = (held.select("band", F.col("rep").alias(i), F.col("n").alias(f"n{i}"), F.col("c").alias(f"c{i}"), F.col("t").alias(f"t{i}"), F.col("all").alias(f"all{i}"), F.col("planes").alias(f"p{i}")) for i in "ab")
     shared = F.least("ta", "tb")
-    fits = (shared * 100 >= (F.col("na") + F.col("nb") - shared) * threshold) & (F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b"))
+    fits = (shared * 100 >= (F.col("na") + F.col("nb") - shared) * threshold) & (F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & (unlike("pa", "pb") <= MOST_UNLIKE)
     # a pair that shares several buckets comes from the least of them
     more = x.join(y, (x["band"] == y["band"]) & fits & (F.array_min(F.array_intersect("alla", "allb")) == x["band"])).select("a", "b")
     more = written(more, "further-pairs")

@@ -16,7 +16,7 @@ def range_bucket(df: DataFrame, key: str, rows_per_bucket: int = 2000, max_bucke
     n = df.count()
     want = max(1, min(max_buckets, -(-n // rows_per_bucket)))
     q = min(cuts, want)
-    marks = [int(x) for x in df.approxQuantile(key, [i / q for i in range(q + 1)], 0.2 / q)] if n else []
+    marks = [int(x) for x in df.where(F.col(key) != LEAST).approxQuantile(key, [i / q for i in range(q + 1)], 0.2 / q)] if n else []
     lows = sorted({*marks[:-1]})
     if not lows:
         return F.lit(0).cast("long")
@@ -26,7 +26,8 @@ def range_bucket(df: DataFrame, key: str, rows_per_bucket: int = 2000, max_bucke
     def coarse(a: int, b: int) -> Column:
         if a == b:
             width = max(1, -(-(highs[a] - lows[a]) // per))
-            inside = F.least(F.greatest(F.floor((F.col(key) - lows[a]) / width), F.lit(0)), F.lit(per - 1))
+            # in doubles: monotonous, and no difference of two ids is too large for them
+            inside = F.least(F.greatest(F.floor((F.col(key).cast("double") - float(lows[a])) / float(width)), F.lit(0)), F.lit(per - 1))
             return (F.lit(a * per) + inside).cast("long")
         m = (a + b + 1) // 2
         return F.when(F.col(key) < lows[m], coarse(a, m - 1)).otherwise(coarse(m, b))
