@@ -126,6 +126,7 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str, kind: str = "
                     number, who, have, total = number + 1, [], [], 0
         if who:
             yield done()
+        tok.clear()  # the worker lives on, and others need its memory
 
     rows.mapInArrow(run, "part long, file long, n_docs long, n_tokens long, content binary").write.parquet(path)
 

@@ -60,6 +60,7 @@ def pieces(docs: DataFrame, vocabulary: str, end_id: int = 1, capacity: int = CA
                     rows.append((d, at, n, zlib.crc32(ids[at : at + n]), len(ids), k))
                     at += n
             yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], names=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "class"])
+        tok.clear()  # the worker lives on, and others need its memory
 
     return text_of(docs).mapInArrow(run, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, class long")
 

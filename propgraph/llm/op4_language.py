@@ -159,7 +159,7 @@ def segments_of(text: bytes, most: int = SEGMENT) -> list[bytes]:
 class Scorer:
     """Summed log-probabilities of segments, remembered for the last `most` distinct ones."""
 
-    def __init__(self, net: ByteGru, most: int = 400_000) -> None:
+    def __init__(self, net: ByteGru, most: int = 200_000) -> None:
         self.net, self.most, self.tabs = net, most, net.tables()
         self.index: dict[bytes, int] = {}
         self.rows = np.zeros((0, len(net.labels)), np.float32)
@@ -229,7 +229,7 @@ def label_languages(docs: DataFrame, net: ByteGru | None, carry: bool = False) -
     workers_can_import(spark)
     head = F.struct(*docs.columns).alias("row") if carry else F.col("doc_id").cast("long").alias("doc_id")
     name = "row" if carry else "doc_id"
-    rows = docs.select(head, F.col("text").alias("text"))
+    rows = docs.select(head) if carry else docs.select(head, F.col("text").alias("text"))
     kind = rows.schema[name].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -237,7 +237,12 @@ def label_languages(docs: DataFrame, net: ByteGru | None, carry: bool = False) -
 
         letter = re.compile(r"[^\W\d_]")
         scorer = Scorer(net) if net else None
-        for batch in blocks(batches):
+        def split(batch: pa.RecordBatch) -> pa.RecordBatch:
+            # the carried rows hold the text; it isn't sent twice
+            row = batch.column("row")
+            return pa.RecordBatch.from_arrays([row, row.field("text")], names=["row", "text"])
+
+        for batch in blocks(map(split, batches) if carry else batches):
             texts = batch.column("text").to_pylist()
             known = [t is not None and net is not None and letter.search(t) is not None for t in texts]
             raw, off = as_bytes(batch.column("text"))
