@@ -140,7 +140,7 @@ def contract(g: PropertyGraph, edge_where: Callable, vertex_merge: dict[str, Cal
     marked = PropertyGraph(marked.vertices, kept(marked.edges), g.layout)
     inner = PropertyGraph(marked.vertices, marked.edge_rows.where("_contract").drop("_contract"), g.layout)
     label = components(inner)
-    v = g.vertices.join(label, "id").groupBy(F.col("component").alias("id")).agg(*[vertex_merge.get(c, F.min)(F.col(c)).alias(c) for c in g.vertex_columns])
+    v = g.vertices.join(label, "id").groupBy(F.col("component").alias("id")).agg(F.count("*").alias("_members"), *[vertex_merge.get(c, F.min)(F.col(c)).alias(c) for c in g.vertex_columns]).drop("_members")
     ends = [label.select(F.col("id").alias(k), F.col("component").alias(f"_{k}")) for k in ("src", "dst")]
     e = marked.edge_rows.where("NOT _contract").join(ends[0], "src").join(ends[1], "dst").select(F.col("_src").alias("src"), F.col("_dst").alias("dst"), *g.edge_columns)
     if not keep_loops:
