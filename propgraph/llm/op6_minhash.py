@@ -8,7 +8,8 @@ Links: texts with equal sets are one representative. In each bucket every repres
 with a centre, the one that shares most buckets with most others; classes are formed; what is in
 other classes than the centre's gets a centre of its own, up to STARS times; at last, pairs of a bucket
 whose ends are still in different classes are compared, unless too few of their shingles occur in any
-other text, or too few of their coordinates agree, for them to be near. So a bucket of one class emits no pairs, however large it is. A comparison reads
+other text, too many bits of their parity maps differ, or too few of their coordinates agree, for them
+to be near. So a bucket of one class emits no pairs, however large it is. A comparison reads
 whole texts, at most CHUNK of them with each copy of their centre's, whatever a group's size.
 
 Cases: null text is empty; without words a document has no shingle, links with nothing and is kept;
@@ -33,6 +34,8 @@ ROWS, BANDS, THRESHOLD, CHUNK, STARS = 5, 52, 75, 64, 1
 #: Bits kept of a coordinate, and the most of 256 in which a pair to be compared may differ: at similarity 0.75 a
 #: pair differs in 60 on average, in over 96 with a probability under one in a million.
 BITS, MOST_UNLIKE = 4, 96
+#: 64-bit words of a parity map.
+PARITY = 32
 K = ROWS * BANDS
 
 
@@ -77,6 +80,22 @@ def planes_of(sig: np.ndarray) -> np.ndarray:
     return np.concatenate(parts, axis=1)
 
 
+def parity_maps(hashes: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+    """(documents, PARITY) longs in which every shingle of a document flips one bit.
+
+    The maps of two sets differ in at most as many bits as there are shingles that only one set has."""
+    n = len(offsets) - 1
+    out = np.zeros((n, PARITY), U64)
+    doc = np.repeat(np.arange(n), np.diff(offsets))
+    np.bitwise_xor.at(out, (doc, ((hashes >> U64(6)) % U64(PARITY)).astype(np.int64)), U64(1) << (hashes & U64(63)))
+    return out.view(np.int64)
+
+
+def odd_bits(a: str, b: str) -> Column:
+    """In how many bits two parity maps differ."""
+    return F.aggregate(F.zip_with(a, b, lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda n, k: n + k)
+
+
 def unlike(a: str, b: str) -> Column:
     """In how many of 256 coordinates two documents' planes differ."""
     total = F.lit(0)
@@ -173,12 +192,15 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
             break
     held = written(able(held, texts, threshold), "able-buckets")
     every_band = held.groupBy("rep").agg(F.collect_set("band").alias("all"))
-    held = held.join(every_band, "rep").join(sets.select("rep", "planes"), "rep")
-    x, y = (held.select("band", F.col("rep").alias(i), F.col("n").alias(f"n{i}"), F.col("c").alias(f"c{i}"), F.col("t").alias(f"t{i}"), F.col("all").alias(f"all{i}"), F.col("planes").alias(f"p{i}")) for i in "ab")
+    maps = parities(held, texts)
+    held = held.join(every_band, "rep").join(sets.select("rep", "planes"), "rep").join(maps, "rep")
+    x, y = (held.select("band", F.col("rep").alias(i), F.col("n").alias(f"n{i}"), F.col("c").alias(f"c{i}"), F.col("t").alias(f"t{i}"), F.col("all").alias(f"all{i}"), F.col("planes").alias(f"p{i}"), F.col("parity").alias(f"q{i}")) for i in "ab")
     shared = F.least("ta", "tb")
+    # shared >= threshold % of all is the same as: no more than this part of both sizes lies in one set only
+    apart = odd_bits("qa", "qb") * (100 + threshold) <= (F.col("na") + F.col("nb")) * (100 - threshold)
     fits = (shared * 100 >= (F.col("na") + F.col("nb") - shared) * threshold) & (F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & (unlike("pa", "pb") <= MOST_UNLIKE)
-    # a pair that shares several buckets comes from the least of them
-    more = x.join(y, (x["band"] == y["band"]) & fits & (F.array_min(F.array_intersect("alla", "allb")) == x["band"])).select("a", "b")
+    # a pair that shares several buckets comes from the least of them; the dearest test stands last
+    more = x.join(y, (x["band"] == y["band"]) & fits & (F.array_min(F.array_intersect("alla", "allb")) == x["band"]) & apart).select("a", "b")
     more = written(more, "further-pairs")
     more = written(confirm(more, texts, threshold), "further-links")
     label = classes(links.unionByName(more))
@@ -204,6 +226,19 @@ def able(held: DataFrame, texts: DataFrame, threshold: int) -> DataFrame:
     return held.where(F.col("t") * 100 >= F.col("n") * threshold)
 
 
+def parities(held: DataFrame, texts: DataFrame) -> DataFrame:
+    """rep, parity: the parity map of each text in held."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches):
+            maps = parity_maps(*shingle_sets(batch.column("text")))
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(maps) + 1) * PARITY, pa.int32()), pa.array(maps.ravel()))
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), lists], names=["rep", "parity"])
+
+    some = held.select(F.col("rep").alias("doc_id")).distinct()
+    return some.join(texts, "doc_id").select("doc_id", "text").mapInArrow(run, "rep long, parity array<long>")
+
+
 def _one_text(texts: DataFrame, reps: DataFrame) -> DataFrame:
     """doc_id, text of representatives; of repeated rows of an id, one."""
     return texts.join(reps.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])

@@ -266,6 +266,18 @@ def test_signature_estimates_similarity():
     assert (sig[0] == sig[1]).mean() == pytest.approx(len(x & y) / len(x | y), abs=0.05)
 
 
+def test_parity_maps_bound_the_difference():
+    r = np.random.default_rng(6)
+    for n in (0, 1, 5, 146, 3000):
+        for both in (0, n // 2, n):
+            x, y = (np.unique(r.integers(0, 1 << 64, n, dtype=np.uint64)) for _ in range(2))
+            y = np.unique(np.concatenate([x[:both], y[both:]]))
+            maps = o6.parity_maps(np.concatenate([x, y]), np.array([0, len(x), len(x) + len(y)])).view(np.uint64)
+            apart = len(np.setxor1d(x, y))
+            odd = sum(int(v).bit_count() for v in maps[0] ^ maps[1])
+            assert odd <= apart and odd % 2 == apart % 2 and (apart > 200 or odd >= apart * 0.8)
+
+
 def test_secrets(spark, empty):
     key = "q9ZxT2mLr8VbN4cWk7Ps"
     cases = {
