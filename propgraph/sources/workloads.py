@@ -8,6 +8,8 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..operators.graph import PropertyGraph
+from ..operators.loops import kept
+from ..operators.neighbours import nearest_pairs
 
 TAGS = {"customer": 0, "supplier": 1, "part": 2, "order": 3, "nation": 4, "region": 5}
 
@@ -151,15 +153,11 @@ def targets(spark: SparkSession, d: str) -> PropertyGraph:
     return PropertyGraph.build(v, e, merge={"name": F.min, "crawled": F.max, "n_copies": F.sum}, default={"crawled": F.lit(False), "n_copies": F.lit(0)})
 
 
-def nearest(spark: SparkSession, d: str, k: int = 3, cells: int = 16) -> PropertyGraph:
-    """Vectors linked to their k nearest by cosine among vectors of their label's cell.
-
-    Comparing within a label keeps every group bounded by its label; a cell splits it further."""
+def nearest(spark: SparkSession, d: str, k: int = 3) -> PropertyGraph:
+    """Vectors linked to their k nearest by cosine among all vectors."""
     v = table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), "embedding", "label")
-    norm = F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x * x))
-    n = v.select("id", "label", (F.col("id") % cells).alias("cell"), F.transform("embedding", lambda x: x / norm).alias("u"))
-    pairs = n.join(n.select(F.col("id").alias("dst"), F.col("u").alias("w"), "label", "cell"), ["label", "cell"]).where("id != dst")
-    cos = F.aggregate(F.zip_with("u", "w", lambda a, b: a * b), F.lit(0.0), lambda a, x: a + x)
-    best = pairs.groupBy(F.col("id").alias("src")).agg(F.slice(F.sort_array(F.collect_list(F.struct(cos.alias("cosine"), "dst")), False), 1, k).alias("b"))
-    e = best.select("src", F.posexplode("b").alias("rank", "x")).select("src", "x.dst", "rank", "x.cosine")
-    return PropertyGraph.build(v, e)
+    return PropertyGraph.build(v, kept(nearest_pairs(v, k)))
+
+
+NEAREST_E = """SELECT src, dst, rank, cosine FROM (SELECT *, (row_number() OVER (PARTITION BY src ORDER BY cosine DESC, dst) - 1)::INT AS rank FROM (
+  SELECT a.vec_id AS src, b.vec_id AS dst, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 12) AS cosine FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) p) q WHERE rank < 3"""

@@ -161,6 +161,12 @@ def contract_labels(spark: SparkSession, d: str) -> DataFrame:
     return c.vertices.groupBy("label").agg(F.sum("members").alias("members"), F.count("*").alias("parts"))
 
 
+CONTRACT_LABELS = f"""WITH RECURSIVE f AS MATERIALIZED (SELECT e.src, e.dst FROM ({w.NEAREST_E}) e JOIN embeddings a ON a.vec_id = e.src JOIN embeddings b ON b.vec_id = e.dst WHERE a.label = b.label),
+e AS MATERIALIZED (SELECT src AS a, dst AS b FROM f UNION SELECT dst, src FROM f),
+cc(id, component) USING KEY (id) AS (SELECT vec_id, vec_id FROM embeddings UNION (SELECT e.b AS id, min(cc.component) AS component FROM cc JOIN e ON e.a = cc.id JOIN recurring.cc AS r ON r.id = e.b WHERE cc.component < r.component GROUP BY e.b))
+SELECT label, count(*) AS members, count(DISTINCT component) AS parts FROM embeddings JOIN cc ON cc.id = vec_id GROUP BY label"""
+
+
 def slices(spark: SparkSession, d: str) -> DataFrame:
     rows = alg.compare_slices(w.visits(spark, d), lambda t: t.edge["first_ts"] < HALF, lambda t: t.edge["last_ts"] >= HALF)
     return rows.select("id", F.round("a", 6).alias("a"), F.round("b", 6).alias("b"))
@@ -415,6 +421,7 @@ ORACLES = {
     "keep_matching": f"WITH e AS (SELECT src, dst FROM ({w.SUPPLY_E}) z), k AS (SELECT dst AS id FROM e GROUP BY dst HAVING count(*) > 550 UNION SELECT src FROM e GROUP BY src HAVING count(*) > 20) SELECT src, count(*) AS n FROM e WHERE src IN (SELECT id FROM k) AND dst IN (SELECT id FROM k) GROUP BY src",
     "contract_hosts": CONTRACT_HOSTS,
     "contract_region": CONTRACT_REGION,
+    "contract_labels": CONTRACT_LABELS,
     "slice_compare": SLICES,
     "graph_union": f"SELECT src, dst FROM ({_A}) x UNION SELECT src, dst FROM ({_B}) y",
     "graph_intersect": f"SELECT src, dst FROM ({_A}) x INTERSECT SELECT src, dst FROM ({_B}) y",

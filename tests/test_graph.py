@@ -198,3 +198,24 @@ def test_baselines_agree(spark):
     assert as_dict(baselines.dataflow_pagerank(e, 4)) == pytest.approx(want)
     assert as_dict(alg.pagerank(g, 4)) == pytest.approx(want)
     assert as_dict(baselines.dataflow_components(e)) == baselines.local_components(rows) == as_dict(alg.components(g))
+
+
+def test_nearest_over_all_vectors(spark, monkeypatch):
+    import numpy as np
+
+    from propgraph.operators import neighbours
+    from propgraph.sources import workloads
+
+    monkeypatch.setattr(neighbours, "GROUP", 90)
+    monkeypatch.setattr(neighbours, "BLOCK", 37)
+    rows = spark.read.parquet("/root/testdata/sf0.001/embeddings.parquet").collect()
+    ids, x = [r["vec_id"] for r in rows], np.array([r["embedding"] for r in rows], dtype=float)
+    cos = np.round(x @ x.T / np.outer(*[np.linalg.norm(x, axis=1)] * 2), 12)
+    want = {(ids[i], b[1], n) for i in range(len(ids)) for n, b in enumerate(sorted((-cos[i, j], ids[j]) for j in range(len(ids)) if j != i)[:3])}
+    g = workloads.nearest(spark, "/root/testdata/sf0.001")
+    assert {(r["src"], r["dst"], r["rank"]) for r in g.edges.collect()} == want
+
+    odd = [(1, [1.0, 0.0]), (2, [2.0, 0.0]), (3, [0.0, 0.0]), (4, None), (5, [1.0, None]), (6, [3.0, 0.0]), (7, [1e200, 1e200]), (8, [1.0]), (9, []), (10, [float("nan"), 1.0])]
+    got = neighbours.nearest_pairs(frame(spark, odd, "id long, embedding array<double>"), 2).collect()
+    assert sorted((r["src"], r["rank"], r["dst"]) for r in got) == [(1, 0, 2), (1, 1, 6), (2, 0, 1), (2, 1, 6), (6, 0, 1), (6, 1, 2), (7, 0, 1), (7, 1, 2)]
+    assert neighbours.nearest_pairs(frame(spark, [], "id long, embedding array<double>"), 2).count() == 0
