@@ -5,6 +5,12 @@ modulo 4, so an inserted line moves only the chunk borders near it. Chunks of tw
 occur more than once in all texts keep their first place (least doc_id, then position) and go from
 every other place, after their bytes have been compared with the first place's.
 
+remove_passages() finds what chunks miss: each two lines in a row that stand at an earlier place too
+(other document, or at least two lines before) go, wherever the chunk borders fall, so a repeated run of
+two or more lines goes whole. These lines are told by their SHA-256, since fetching the texts of both places
+again would shuffle all text a second time. The first place of every line stays. Two lines without any letter or digit
+don't count as a repeat of their own.
+
 Cases: null text has no line and stays null; an empty text is one empty line; chunks of a single line
 are never removed; rows that share doc_id and text are one document (all keep the same rest); null
 doc_ids come before others; an empty table stays empty. Other columns are carried along untouched.
@@ -19,6 +25,7 @@ from .common import table, written
 from .ordered import LEAST
 
 PRIME, BASE, BORDER, LEAST_LINES = 268435399, 92821, 4, 2
+CONTENT = r"[\p{L}\p{N}]"
 
 
 def _line_hash(line: Column) -> Column:
@@ -69,6 +76,36 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     return rows.select(*full, lines("_chunks").alias("n_lines"), F.coalesce(F.size("_chunks"), F.lit(0)).cast("long").alias("n_chunks"), F.size("_gone").cast("long").alias("n_removed_chunks"), (lines("_chunks") - lines("_left")).alias("n_removed_lines"))
 
 
+def passages(docs: DataFrame) -> DataFrame:
+    """_id, _tag, _gone: the positions of lines that start two repeated lines, of documents that have any."""
+    texts = _who(docs, F.col("text").alias("_t")).where("_t IS NOT NULL")
+    lines = texts.select("_id", "_tag", F.split("_t", "\n", -1).alias("_l"))
+    key = lambda a, b: F.when(F.concat(a, b).rlike(CONTENT), F.unhex(F.sha2(F.concat(a, F.lit("\n"), b), 256)))
+    keys = F.zip_with(F.slice("_l", F.lit(1), F.size("_l") - 1), F.slice("_l", F.lit(2), F.size("_l") - 1), key)
+    every = lines.select("_id", "_tag", F.posexplode_outer(keys).alias("_pos", "_key")).where("_key IS NOT NULL")
+    place = F.struct("_id", "_tag", "_pos")
+    first = every.groupBy("_key").agg(F.min(place).alias("_first"), F.max(place).alias("_last")).where("_first != _last").select("_key", "_first")
+    apart = (F.col("_first._id") != F.col("_id")) | (F.col("_first._tag") != F.col("_tag")) | (F.col("_pos") >= F.col("_first._pos") + 2)
+    return every.join(first, "_key").where(apart).groupBy("_id", "_tag").agg(F.collect_set("_pos").alias("_gone"))
+
+
+def remove_passages(docs: DataFrame) -> DataFrame:
+    """docs with text replaced by what is left, plus n_lines, n_removed_lines."""
+    keep = [c for c in docs.columns if c not in ("n_lines", "n_removed_lines")]
+    rows = _who(docs, F.struct(*keep).alias("_row")).join(written(passages(docs), "gone-lines").hint("merge"), ["_id", "_tag"], "left")
+    rows = rows.select("_row", "_gone", F.split("_row.text", "\n", -1).alias("_l"))
+    rows = rows.select("_row", "_gone", "_l", F.array_except(F.sequence(F.lit(0), F.size("_l") - 1), F.concat("_gone", F.transform("_gone", lambda i: i + 1))).alias("_at"))
+    text = F.when(F.col("_gone").isNull(), F.col("_row.text")).otherwise(F.array_join(F.transform("_at", lambda i: F.element_at("_l", i + 1)), "\n"))
+    full = [text.alias("text") if c == "text" else F.col(f"_row.`{c}`").alias(c) for c in keep]
+    n = F.when(F.col("_l").isNull(), F.lit(0)).otherwise(F.size("_l")).cast("long")
+    return rows.select(*full, n.alias("n_lines"), F.when(F.col("_gone").isNull(), F.lit(0).cast("long")).otherwise(n - F.size("_at")).alias("n_removed_lines"))
+
+
+def op9_line_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = remove_passages(table(spark, sf_dir, "documents"))
+    return rows.select("doc_id", "n_lines", "n_removed_lines", F.sha2("text", 256).alias("clean_sha256"))
+
+
 def op9_line_chunk_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = remove_repeats(table(spark, sf_dir, "documents"))
     return rows.select("doc_id", "n_lines", "n_chunks", "n_removed_chunks", "n_removed_lines", F.sha2("text", 256).alias("clean_sha256"))
@@ -86,3 +123,12 @@ SELECT doc_id, sum(lines)::BIGINT AS n_lines, count(*)::BIGINT AS n_chunks, coun
   sha256(coalesce(string_agg(body, chr(10) ORDER BY pos) FILTER (NOT gone), '')) AS clean_sha256
 FROM f GROUP BY doc_id
 """
+PASSAGES_ORACLE = f"""
+WITH l AS (SELECT doc_id, string_split(text, chr(10)) AS x FROM documents WHERE text IS NOT NULL),
+e AS (SELECT doc_id, i, x[i] AS line, x[i + 1] AS below, len(x) AS n FROM l, LATERAL (SELECT unnest(range(1, len(x) + 1)) AS i) y),
+p AS (SELECT doc_id, i, first_value(doc_id) OVER w AS d0, first_value(i) OVER w AS i0 FROM e WHERE i < n AND regexp_matches(line || below, '{CONTENT}') WINDOW w AS (PARTITION BY line, below ORDER BY doc_id, i)),
+g AS (SELECT doc_id, i FROM p WHERE d0 <> doc_id OR i >= i0 + 2),
+c AS (SELECT e.*, h.i IS NOT NULL AS gone FROM e LEFT JOIN (SELECT doc_id, i FROM g UNION SELECT doc_id, i + 1 FROM g) h ON h.doc_id = e.doc_id AND h.i = e.i)
+SELECT doc_id, count(*)::BIGINT AS n_lines, count(*) FILTER (gone)::BIGINT AS n_removed_lines, sha256(coalesce(string_agg(line, chr(10) ORDER BY i) FILTER (NOT gone), '')) AS clean_sha256
+FROM c GROUP BY doc_id
+"""

@@ -14,6 +14,7 @@ QUERIES = {
     "op7_secret_scan": op7_secrets.op7_secret_scan,
     "op8_poisson_mix": op8_poisson.op8_poisson_mix,
     "op9_line_chunk_dedup": op9_line_chunks.op9_line_chunk_dedup,
+    "op9_line_passages": op9_line_chunks.op9_line_passages,
     "op10_phrase_dedup": op10_phrases.op10_phrase_dedup,
 }
-ORACLES = {"op8_poisson_mix": op8_poisson.ORACLE, "op9_line_chunk_dedup": op9_line_chunks.ORACLE}
+ORACLES = {"op8_poisson_mix": op8_poisson.ORACLE, "op9_line_chunk_dedup": op9_line_chunks.ORACLE, "op9_line_passages": op9_line_chunks.PASSAGES_ORACLE}

@@ -350,6 +350,45 @@ def test_line_chunks(spark, docs, empty):
     assert any(r["n_removed_chunks"] for r in data) and o9.remove_repeats(empty).count() == 0
 
 
+def line_passages(rows):
+    first, out = {}, {}
+    for d, t in sorted(rows, key=lambda r: r[0]):
+        x, gone = t.split("\n"), set()
+        for i in range(len(x) - 1):
+            if re.search(r"[^\W_]", x[i] + x[i + 1]):
+                d0, i0 = first.setdefault((x[i], x[i + 1]), (d, i))
+                gone |= {i, i + 1} if d0 != d or i >= i0 + 2 else set()
+        out[d] = "\n".join(y for i, y in enumerate(x) if i not in gone)
+    return out
+
+
+def test_line_passages(spark, docs, empty):
+    want = line_passages({(r[0], r[1]) for r in sample() if r[0] is not None and r[1] is not None})
+    data = o9.remove_passages(docs).collect()
+    assert len(data) == len(sample())
+    for r in data:
+        if r["doc_id"] in want:
+            assert r["text"] == want[r["doc_id"]]
+    assert o9.remove_passages(empty).count() == 0
+
+
+def test_short_passages_in_unlike_surroundings(spark):
+    """Passages of 2 to 5 lines, each in three documents of otherwise own lines, go from the later two; by the pipeline too."""
+    import corpus_pipeline as c
+
+    r = random.Random(3)
+    own = lambda n: [words(r, 9, 10**6) for _ in range(n)]
+    rows, want = [], {}
+    for k in range(24):
+        shared = own(2 + k % 4)
+        for j in range(3):
+            a, b = own(r.randrange(1, 7)), own(r.randrange(1, 7))
+            rows.append((k * 3 + j, "\n".join(a + shared + b)))
+            want[k * 3 + j] = "\n".join(a + (shared if j == 0 else []) + b)
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {r["doc_id"]: r["text"] for r in c.line_dedup(spark, df, "").collect()} == want
+
+
 def repeated_bytes(rows):
     seen, out = {}, {}
     for d, t in sorted(rows):
