@@ -3,7 +3,8 @@
 A text's tokens are runs of at most 16 non-space characters of its lower-cased form. A rolling
 (polynomial, prime modulus) hash covers every k = 4 tokens in a row; of each w = 4 hashes in a row
 the least is chosen, the rightmost at a tie, and kept with its position. Two texts that share at
-least w + k - 1 = 7 tokens in a row share a fingerprint.
+least w + k - 1 = 7 tokens in a row share a fingerprint. Inside a run of over 16 non-space characters
+tokens lie on a grid from the run's start: a passage moved by other than a multiple of 16 there has other tokens.
 
 Cases: null text is empty; a text without tokens has an empty fingerprint; with fewer than k tokens
 all of them make one hash; with fewer than w hashes they make one window. Two empty fingerprints
