@@ -1,4 +1,7 @@
-"""Removal of repeated 50-byte strings by prefix-free parsing, in corpus order.
+"""Removal of repeated 50-byte strings by prefix-free parsing and hash grouping.
+
+There is no suffix array, neither of the dictionary nor of the parse, and no corpus order: rows are routed
+and sorted by hashes of the phrase or of 50 bytes, and equal hashes count as equal strings without a byte check.
 
 Parsing: a rolling hash of 20 bytes triggers a phrase where it becomes, or stops being, the least of the
 31 that a 50-byte string holds. So every 50-byte string lies in one phrase, told by its own bytes alone,
