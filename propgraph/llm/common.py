@@ -1,10 +1,8 @@
-"""What the training-data operators share: inputs, shared storage, worker imports and byte-level hashing."""
+"""What the training-data operators share: inputs, worker imports and byte-level hashing."""
 
 from __future__ import annotations
 
 import os
-import tempfile
-import uuid
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -13,6 +11,8 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.shared import release, shared_path, written  # noqa: F401
+
 U64 = np.uint64
 
 
@@ -28,34 +28,6 @@ def workers_can_import(spark: SparkSession) -> None:
         env["PYTHONPATH"] = f"{root}:{env['PYTHONPATH']}" if env.get("PYTHONPATH") else root
 
 
-def shared_path(spark: SparkSession, name: str) -> str:
-    """A new folder name in the storage that driver and executors share (spark.checkpoint.dir).
-
-    Where the session names none, as in tests, a local folder stands in for it."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        checkpoint_dir(spark)
-        base = spark.sparkContext.getCheckpointDir()
-    return f"{base.rstrip('/')}/propgraph/{name}-{uuid.uuid4().hex}"
-
-
-def checkpoint_dir(spark: SparkSession) -> None:
-    """checkpoint() works: the session's folder, or a local one where none is set."""
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="propgraph-"))
-
-
-def written(df: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage with a table in shared storage. The driver then collects its garbage, so that
-    Spark's cleaner can drop shuffle files that nothing needs any more."""
-    spark = df.sparkSession
-    path = shared_path(spark, name)
-    df.write.option("compression", "zstd").parquet(path)
-    spark.sparkContext._jvm.System.gc()
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def text_of(df: DataFrame, *more: str) -> DataFrame:
     """doc_id and text (null: empty) only, so that other columns can't clash."""
     return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"), *more)

@@ -2,15 +2,16 @@
 
 Large-star and small-star rounds in turn: every vertex's larger neighbours, then its smaller ones,
 are linked to the least of its neighbourhood, until no link changes; then each links to its class's
-least id. A hub's rows aren't gathered: minima are combined before the exchange. Every round ends
-with a reliable checkpoint."""
+least id. Minima are combined before the exchange, and are tables when the links are joined with them, so
+that a hub's links can be split over tasks. Every round ends with a table in shared storage; the
+former round's is deleted."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import release, written
 
 
 def classes(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
@@ -19,11 +20,12 @@ def classes(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     before = None
     while True:
         both = now.unionByName(now.select(F.col("lo").alias("hi"), F.col("hi").alias("lo")))
-        least = both.groupBy("hi").agg(F.min("lo").alias("m")).select("hi", F.least("hi", "m").alias("m"))
-        large = both.join(least, "hi").where("lo > hi").select(F.col("lo").alias("hi"), F.col("m").alias("lo")).where("hi != lo").distinct()
-        down = large.groupBy("hi").agg(F.min("lo").alias("m"))
+        least = written(both.groupBy("hi").agg(F.min("lo").alias("m")).select("hi", F.least("hi", "m").alias("m")), "least")
+        large = written(both.join(least, "hi").where("lo > hi").select(F.col("lo").alias("hi"), F.col("m").alias("lo")).where("hi != lo").distinct(), "large-stars")
+        down = written(large.groupBy("hi").agg(F.min("lo").alias("m")), "down")
         small = large.join(down, "hi").select(F.explode(F.array(F.struct("hi", F.col("m").alias("lo")), F.struct(F.col("lo").alias("hi"), F.col("m").alias("lo")))).alias("e")).select("e.hi", "e.lo").where("hi != lo").distinct()
-        now = written(small, "links")
+        last, now = now, written(small, "links")
+        release(last, least, large, down)
         sums = now.agg(F.count("*"), F.sum(F.xxhash64("hi", "lo").cast("decimal(38,0)")))
         state = tuple(sums.first())
         if state == before:

@@ -1,7 +1,8 @@
 """Removal of repeated 50-byte strings by prefix-free parsing and hash grouping.
 
 There is no suffix array, neither of the dictionary nor of the parse, and no corpus order: rows are routed
-and sorted by hashes of the phrase or of 50 bytes, and equal hashes count as equal strings without a byte check.
+and sorted by hashes of the phrase or of 50 bytes, and equal hashes count as equal strings: 128 bits of a
+phrase (trigger and whole), 96 bits of a string (two hashes with other codes), without a look at the bytes.
 
 Parsing: a rolling hash of 20 bytes triggers a phrase where it becomes, or stops being, the least of the
 31 that a 50-byte string holds. So every 50-byte string lies in one phrase, told by its own bytes alone,
@@ -15,25 +16,25 @@ another phrase, by the phrase's least document, are put in order (by a hash of t
 document) to find those that a smaller document has.
 
 Cases: null text is empty; texts under 50 bytes lose nothing; a string repeated only within its own
-document stays; rows that share a doc_id are one document's, none smaller than the other; a null doc_id
-takes no part and loses nothing; an empty table gives no row. Only doc_id and text are read. Strings
-are compared by 64-bit hashes, phrases by trigger and phrase hash, 128 bits.
+document stays; rows that share a doc_id, be their texts equal or not, are one document's, none smaller than
+the other, and each loses bytes of its own text; a null doc_id takes no part and loses nothing; an empty
+table gives no row. Only doc_id and text are read.
 """
 
 from __future__ import annotations
 
-import gc
-import time
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Spans, as_bytes, blocks, table, text_of, workers_can_import, written
+from .common import U64, Spans, as_bytes, blocks, table, text_of, workers_can_import, written
 
 LENGTH, GRAM, LONGEST = 50, 20, 1000
+#: Ids with several texts that are sent to every task; more are joined by shuffle.
+MOST_BROADCAST = 100_000
 #: A phrase's place: its start times this, plus how many strings it holds.
 UNIT = 1024
 
@@ -83,34 +84,34 @@ def _first(*keys: np.ndarray) -> np.ndarray:
 
 
 def matched_phrases(texts: DataFrame) -> DataFrame:
-    """doc_id, place, repeated: phrases that a smaller document has (true), and the least document's
+    """doc_id, ver, place, repeated: phrases that a smaller document has (true), and the least document's
     phrases whose trigger another phrase has too (false)."""
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            ids = np.asarray(batch.column("doc_id"), dtype=np.int64)
+            ids, ver = (np.asarray(batch.column(c), dtype=np.int64) for c in ("doc_id", "ver"))
             buf, off = as_bytes(batch.column("text"))
             spans = Spans(buf)
             doc, at, n, t = phrases(off, spans)
             name = spans.of(at, at + n + LENGTH - 1).view(np.int64)
-            t, d, place = t.view(np.int64), ids[doc], (at - off[doc]) * UNIT + n
+            t, d, v, place = t.view(np.int64), ids[doc], ver[doc], (at - off[doc]) * UNIT + n
             order = np.lexsort((d, name, t))
-            t, name, d, place = t[order], name[order], d[order], place[order]
+            t, name, d, v, place = t[order], name[order], d[order], v[order], place[order]
             head = _first(t, name)
             # a smaller document of this block settles it: such a row needn't look for others
             late = d > d[head][np.cumsum(head) - 1] if len(d) else head
-            yield _rows(["t", "name", "doc_id", "place"], t, name, d, np.where(late, -place, place))
+            yield _rows(["t", "name", "doc_id", "ver", "place"], t, name, d, v, np.where(late, -place, place))
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         # of the open group: its trigger, last name, that name's least document, if shared, and rows that wait to know
         last_t = last_name = least = None
-        shared, wait = False, (np.zeros(0, np.int64),) * 2
+        shared, wait = False, (np.zeros(0, np.int64),) * 3
         for batch in batches:
-            t, name, d, place = (np.asarray(batch.column(c)) for c in ("t", "name", "doc_id", "place"))
+            t, name, d, v, place = (np.asarray(batch.column(c)) for c in ("t", "name", "doc_id", "ver", "place"))
             late = place < 0
-            gone = [(d[late], -place[late])]
+            gone = [(d[late], v[late], -place[late])]
             open_ = []
-            t, name, d, place = t[~late], name[~late], d[~late], place[~late]
+            t, name, d, v, place = t[~late], name[~late], d[~late], v[~late], place[~late]
             if len(t):
                 ht, hn = _first(t), _first(t, name)
                 gt, gn = np.cumsum(ht) - 1, np.cumsum(hn) - 1
@@ -129,31 +130,31 @@ def matched_phrases(texts: DataFrame) -> DataFrame:
                 else:
                     keep = None
                 first = d == firsts[gn]
-                gone.append((d[~first], place[~first]))
+                gone.append((d[~first], v[~first], place[~first]))
                 many = names[gt] > 1
-                open_.append((d[first & many], place[first & many]))
+                open_.append((d[first & many], v[first & many], place[first & many]))
                 last_t, last_name, least, shared = t[-1], name[-1], firsts[-1], bool(names[-1] > 1)
                 hold = first & ~many & (gt == gt[-1])
-                wait = (d[hold], place[hold])
+                wait = (d[hold], v[hold], place[hold])
                 if keep is not None:
                     wait = tuple(np.concatenate(x) for x in zip(keep, wait, strict=True))
             for rows, kind in ((gone, True), (open_, False)):
-                for x, y in rows:
+                for x, y, p in rows:
                     if len(x):
-                        yield _rows(["doc_id", "place", "repeated"], x, y, np.full(len(x), kind))
+                        yield _rows(["doc_id", "ver", "place", "repeated"], x, y, p, np.full(len(x), kind))
 
-    rows = texts.mapInArrow(emit, "t long, name long, doc_id long, place long")
+    rows = texts.mapInArrow(emit, "t long, name long, doc_id long, ver long, place long")
     route = F.when(F.col("place") < 0, F.xxhash64("doc_id", "place")).otherwise(F.col("t"))
     rows = rows.repartition(route).sortWithinPartitions("t", "name", "doc_id")
-    return rows.mapInArrow(find, "doc_id long, place long, repeated boolean")
+    return rows.mapInArrow(find, "doc_id long, ver long, place long, repeated boolean")
 
 
 def repeated_strings(texts: DataFrame, matched: DataFrame) -> DataFrame:
-    """doc_id, place: starts of strings, of the phrases in question, that a smaller document has."""
+    """doc_id, ver, place: starts of strings, of the phrases in question, that a smaller document has."""
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            ids = np.asarray(batch.column("doc_id"), dtype=np.int64)
+            ids, ver = (np.asarray(batch.column(c), dtype=np.int64) for c in ("doc_id", "ver"))
             buf, off = as_bytes(batch.column("text"))
             lists = batch.column("places")
             size = np.diff(np.asarray(lists.offsets))
@@ -162,59 +163,66 @@ def repeated_strings(texts: DataFrame, matched: DataFrame) -> DataFrame:
             n = place % UNIT
             k = np.repeat(np.arange(len(place)), n)
             at = (off[doc] + place // UNIT)[k] + np.arange(len(k)) - np.repeat(np.cumsum(n) - n, n)
-            w, d, at = Spans(buf).of(at, at + LENGTH).view(np.int64), ids[doc[k]], at - off[doc[k]]
-            order = np.lexsort((d, w))
-            w, d, at = w[order], d[order], at[order]
-            head = _first(w)
+            w = Spans(buf).of(at, at + LENGTH).view(np.int64)
+            check = (Spans(buf, seed=2).of(at, at + LENGTH) >> U64(32)).view(np.int64)
+            d, v, at = ids[doc[k]], ver[doc[k]], at - off[doc[k]]
+            order = np.lexsort((d, check, w))
+            w, check, d, v, at = w[order], check[order], d[order], v[order], at[order]
+            head = _first(w, check)
             late = d > d[head][np.cumsum(head) - 1] if len(d) else head
-            yield _rows(["w", "doc_id", "place"], w, d, np.where(late, -1 - at, at))
+            # the start takes 31 bits, the check the 32 above them
+            yield _rows(["w", "doc_id", "ver", "place"], w, d, v, np.where(late, -1 - at, (check << 31) | at))
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last_w = least = None
+        last = least = None
         for batch in batches:
-            w, d, p = (np.asarray(batch.column(c)) for c in ("w", "doc_id", "place"))
+            w, d, v, p = (np.asarray(batch.column(c)) for c in ("w", "doc_id", "ver", "place"))
             late = p < 0
-            out = [(d[late], -1 - p[late])]
-            w, d, p = w[~late], d[~late], p[~late]
+            out = [(d[late], v[late], -1 - p[late])]
+            w, d, v, p = w[~late], d[~late], v[~late], p[~late]
             if len(w):
-                head = _first(w)
+                check = p >> 31
+                head = _first(w, check)
                 first = d[head].copy()
-                if last_w is not None and w[0] == last_w:
+                if last == (w[0], check[0]):
                     first[0] = least
-                last_w, least = w[-1], first[-1]
+                last, least = (w[-1], check[-1]), first[-1]
                 gone = d > first[np.cumsum(head) - 1]
-                out.append((d[gone], p[gone]))
-            for x, y in out:
+                out.append((d[gone], v[gone], p[gone] & ((1 << 31) - 1)))
+            for x, y, q in out:
                 if len(x):
-                    yield _rows(["doc_id", "place"], x, y)
+                    yield _rows(["doc_id", "ver", "place"], x, y, q)
 
-    asked = matched.where("NOT repeated").groupBy("doc_id").agg(F.collect_list("place").alias("places"))
-    rows = texts.join(asked, "doc_id").select("doc_id", "text", "places").mapInArrow(emit, "w long, doc_id long, place long")
+    asked = matched.where("NOT repeated").groupBy("doc_id", "ver").agg(F.collect_list("place").alias("places"))
+    rows = texts.join(asked, ["doc_id", "ver"]).select("doc_id", "ver", "text", "places").mapInArrow(emit, "w long, doc_id long, ver long, place long")
     route = F.when(F.col("place") < 0, F.xxhash64("doc_id", "place")).otherwise(F.col("w"))
-    rows = rows.repartition(route).sortWithinPartitions("w", "doc_id")
-    return rows.mapInArrow(find, "doc_id long, place long")
+    rows = rows.repartition(route).sortWithinPartitions("w", F.shiftright("place", 31), "doc_id")
+    return rows.mapInArrow(find, "doc_id long, ver long, place long")
 
 
-def _collect(spark: SparkSession) -> None:
-    """Lets Spark drop the shuffle files of plans that are done with."""
-    for _ in range(2):
-        gc.collect()
-        spark.sparkContext._jvm.System.gc()
-        time.sleep(0.3)
+def versions(docs: DataFrame) -> DataFrame:
+    """doc_id, text, ver: 0, or a hash of the text where an id has rows of different texts."""
+    tag: Column = F.xxhash64(F.coalesce("text", F.lit("")))
+    texts = text_of(docs, tag.alias("tag"))
+    several = texts.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("tag").alias("a"), F.max("tag").alias("b")).where("a != b")
+    several = written(several.select("doc_id", F.lit(True).alias("several")), "several-texts")
+    n = several.count()
+    if not n:
+        return texts.select("doc_id", "text", F.lit(0).cast("long").alias("ver"))
+    rows = texts.join(F.broadcast(several) if n <= MOST_BROADCAST else several, "doc_id", "left")
+    return rows.select("doc_id", "text", F.when(F.col("several"), F.col("tag")).otherwise(F.lit(0)).cast("long").alias("ver"))
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
     """doc_id, kept (bytes), n_bytes, n_removed, spans (starts and ends of removed runs)."""
     spark = docs.sparkSession
     workers_can_import(spark)
-    texts = text_of(docs)
+    texts = versions(docs)
     known = texts.where("doc_id IS NOT NULL")
     matched = written(matched_phrases(known), "phrases")
-    _collect(spark)
     strings = written(repeated_strings(known, matched), "strings")
-    _collect(spark)
-    gone = matched.where("repeated").select("doc_id", "place").unionByName(strings.select("doc_id", (F.col("place") * UNIT + 1).alias("place")))
-    marks = gone.groupBy("doc_id").agg(F.collect_list("place").alias("places"))
+    gone = matched.where("repeated").select("doc_id", "ver", "place").unionByName(strings.select("doc_id", "ver", (F.col("place") * UNIT + 1).alias("place")))
+    marks = gone.groupBy("doc_id", "ver").agg(F.collect_list("place").alias("places"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
@@ -241,7 +249,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
                 runs.append(edge.tolist())
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(kept, pa.binary()), pa.array(np.diff(off)), pa.array(removed, pa.int64()), pa.array(runs, pa.list_(pa.int64()))], names=["doc_id", "kept", "n_bytes", "n_removed", "spans"])
 
-    return texts.join(marks, "doc_id", "left").select("doc_id", "text", "places").mapInArrow(run, "doc_id long, kept binary, n_bytes long, n_removed long, spans array<long>")
+    return texts.join(marks, ["doc_id", "ver"], "left").select("doc_id", "text", "places").mapInArrow(run, "doc_id long, kept binary, n_bytes long, n_removed long, spans array<long>")
 
 
 def op10_phrase_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

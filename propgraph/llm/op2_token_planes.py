@@ -9,7 +9,7 @@ is a file of its own). Spark writes them as one BINARY value a row, so that any
 and a lost executor leaves no half file.
 
 Cases: null or empty text gives the end id alone; null doc_ids come first; repeated rows are
-documents of their own, ordered by text; an empty table gives no file. Only doc_id and text are read.
+documents of their own, ordered by a hash of the text (so that many null ids don't meet in one task); an empty table gives no file. Only doc_id and text are read.
 """
 
 from __future__ import annotations
@@ -102,7 +102,8 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str, kind: str = "
     """Tokenizes whole texts and writes the files, in ascending doc_id over (part, file)."""
     workers_can_import(docs.sparkSession)
     rows = text_of(docs).withColumn("_order", F.coalesce("doc_id", F.lit(LEAST)))
-    rows = rows.repartitionByRange("_order").sortWithinPartitions("_order", "text").select("doc_id", "text")
+    rows = rows.withColumn("_tie", F.xxhash64("text"))
+    rows = rows.repartitionByRange("_order", "_tie").sortWithinPartitions("_order", "_tie").select("doc_id", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -126,7 +127,6 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str, kind: str = "
                     number, who, have, total = number + 1, [], [], 0
         if who:
             yield done()
-        tok.clear()  # the worker lives on, and others need its memory
 
     rows.mapInArrow(run, "part long, file long, n_docs long, n_tokens long, content binary").write.parquet(path)
 

@@ -2,7 +2,8 @@
 
 A document is cut into pieces of the capacity C = 2048 and a rest. The rest is cut into at most a
 few pieces whose lengths fit a slot of floor(C / j) tokens closely: class j holds j pieces a bin.
-Within a worker group (hash of doc_id) every class fills its bins by count alone, so groups need no
+Within a worker group (hash of doc_id, start and ids, so that neither a long
+document nor many null ids meet in one) every class fills its bins by count alone, so groups need no
 word of each other. What is left in bins that did not fill, fewer than j pieces of a class and group,
 is packed per group by best fit.
 
@@ -25,7 +26,7 @@ from pyspark.sql import functions as F
 
 from .common import blocks, table, text_of, workers_can_import, written
 
-CAPACITY, CLOSE, LEAST_PIECE, GROUP_TOKENS = 2048, 0.98, 16, 4_000_000
+CAPACITY, CLOSE, LEAST_PIECE, GROUP_TOKENS = 2048, 0.98, 16, 1_000_000
 
 
 def cut(n: int, capacity: int = CAPACITY, close: float = CLOSE, least: int = LEAST_PIECE) -> list[tuple[int, int]]:
@@ -60,7 +61,6 @@ def pieces(docs: DataFrame, vocabulary: str, end_id: int = 1, capacity: int = CA
                     rows.append((d, at, n, zlib.crc32(ids[at : at + n]), len(ids), k))
                     at += n
             yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], names=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "class"])
-        tok.clear()  # the worker lives on, and others need its memory
 
     return text_of(docs).mapInArrow(run, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, class long")
 
@@ -83,7 +83,7 @@ def pack(rows: DataFrame, capacity: int = CAPACITY, group_tokens: int = GROUP_TO
     """Adds sequence_id, offset and padded_length to pieces."""
     total = rows.agg(F.sum("length")).first()[0] or 0
     groups = max(1, min(1 << 22, total // group_tokens))
-    rows = rows.withColumn("_group", F.pmod(F.xxhash64("doc_id"), F.lit(groups)))
+    rows = rows.withColumn("_group", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.lit(groups)))
     one = Window.partitionBy("_group", "class").orderBy("doc_id", "start", "ids_crc32", "doc_tokens")
     rows = rows.withColumn("_bin", F.floor((F.row_number().over(one) - 1) / F.col("class")))
     each = Window.partitionBy("_group", "class", "_bin").orderBy("doc_id", "start", "ids_crc32", "doc_tokens")

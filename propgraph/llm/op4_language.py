@@ -1,20 +1,22 @@
 """Language identification by a bidirectional gated recurrent network over bytes, in numpy.
 
-The network reads a segment's bytes in both directions; at every position the two states give
-log-probabilities of the languages, and a segment's score is their sum over its positions. A segment
-is a run of non-space bytes with a space on either side, at most SEGMENT bytes of it at a time, so
-that texts of any length need bounded memory and a segment that occurs again is not computed again. A
-document's log-probabilities are the sums of its segments', over the whole text; the score is the
-softmax of their mean over positions, sharpened by SHARP.
-
-Training: backpropagation through time with Adam on segments of a bounded sample: the TRAIN_DOCS
-documents of each language with the least hash of doc_id, and of each at most TRAIN_SEGMENTS distinct
-segments, least hash first; only rows with a known language and crc32(doc_id) mod 4 other than 2.
+One layer reads a text's bytes forwards, one backwards; at every position the two states give
+log-probabilities of the languages, so every byte of a text is labelled. A document's log-probabilities
+are the sums over all its positions; the score is the softmax of their mean, sharpened by SHARP.
+
+Whole texts are read in windows of at most SPAN labelled bytes. A window's forward state starts REACH
+bytes before its first labelled byte, its backward state REACH bytes after the last (or at the text's
+ends), so that memory stays bounded for texts of any length while every label has seen at least that
+much running text on either side. Windows of all texts of a block are stepped through together, longest first.
+
+Training: backpropagation through time with Adam on a bounded sample: TRAIN_WINDOWS stretches of
+TRAIN_BYTES code points, evenly spread, of each of the TRAIN_DOCS documents of each language with the
+least hash of doc_id; only rows with a known language and crc32(doc_id) mod 4 other than 2.
 All else, i.e. every prediction, covers all rows and whole texts.
 
-Cases: a null text or one without any letter is `und` with score 0; so is every text if nothing could
-be learned (no labelled row). Null doc_ids are held in (their crc32 is null) but never trained on.
-Repeated rows are predicted alike; only doc_id, text and, for training, lang are read.
+Cases: a null text or one without any letter (Unicode category L) is `und` with score 0; so is every text
+if nothing could be learned (no labelled row). Null doc_ids are held in (their crc32 is null) but never
+trained on. Repeated rows are predicted alike; only doc_id, text and, for training, lang are read.
 """
 
 from __future__ import annotations
@@ -28,8 +30,8 @@ from pyspark.sql import functions as F
 
 from .common import as_bytes, blocks, table, workers_can_import
 
-HIDDEN, EMBED, SEGMENT = 16, 8, 24
-TRAIN_DOCS, TRAIN_SEGMENTS, EPOCHS, BATCH, RATE, SHARP = 200, 120, 4, 256, 0.01, 8.0
+HIDDEN, EMBED, SPAN, REACH = 12, 8, 512, 32
+TRAIN_DOCS, TRAIN_WINDOWS, TRAIN_BYTES, EPOCHS, BATCH, RATE, SHARP = 200, 6, 64, 5, 128, 0.012, 8.0
 UND = "und"
 
 
@@ -38,7 +40,9 @@ def sigmoid(x: np.ndarray) -> np.ndarray:
 
 
 class ByteGru:
-    """Two gated recurrent layers, one a direction, and a linear layer on both states."""
+    """Two gated recurrent layers, one a direction, and a linear layer on both states.
+
+    The reset gate acts on the former state's product with its weights, so that a step has one product."""
 
     def __init__(self, labels: list[str], hidden: int = HIDDEN, embed: int = EMBED, seed: int = 7) -> None:
         r = np.random.default_rng(seed)
@@ -49,42 +53,28 @@ class ByteGru:
             self.p |= {f"w{d}": w(embed, 3 * hidden), f"u{d}": w(hidden, 3 * hidden), f"c{d}": np.zeros(3 * hidden, np.float32)}
         self.p |= {"out": w(2 * hidden, len(labels)), "bias": np.zeros(len(labels), np.float32)}
 
-    def tables(self) -> dict[str, np.ndarray]:
-        """Each byte's input to the gates of either direction."""
-        return {d: self.p["emb"] @ self.p[f"w{d}"] + self.p[f"c{d}"] for d in "fb"}
-
-    def pass_over(self, ids: np.ndarray, mask: np.ndarray, d: str, keep: list | None = None, tab: np.ndarray | None = None) -> np.ndarray:
-        """States (n, t, h) over bytes (n, t), right-padded; direction b starts at each row's end."""
+    def states(self, ids: np.ndarray, mask: np.ndarray, d: str, keep: list) -> np.ndarray:
+        """For training: states (t, n, h) over bytes (n, t), right-padded; direction b starts at each row's end."""
         n, t = ids.shape
         h, u = self.h, self.p[f"u{d}"]
-        tab = self.tables()[d] if tab is None else tab
-        s = np.zeros((n, h), np.float32)
-        out = np.empty((t, n, h), np.float32)
+        tab = self.p["emb"] @ self.p[f"w{d}"] + self.p[f"c{d}"]
+        s = np.zeros((n, h), u.dtype)
+        out = np.empty((t, n, h), u.dtype)
         for i in range(t) if d == "f" else range(t - 1, -1, -1):
-            x = tab[ids[:, i]]
-            g = sigmoid(x[:, : 2 * h] + s @ u[:, : 2 * h])
+            x, y = tab[ids[:, i]], s @ u
+            g = sigmoid(x[:, : 2 * h] + y[:, : 2 * h])
             z, r = g[:, :h], g[:, h:]
-            c = np.tanh(x[:, 2 * h :] + (r * s) @ u[:, 2 * h :])
+            c = np.tanh(x[:, 2 * h :] + r * y[:, 2 * h :])
             m = mask[:, i : i + 1]
-            new = s + m * z * (c - s)
-            if keep is not None:
-                keep.append((i, s, z, r, c, m))
-            s = new
+            keep.append((i, s, z, r, c, y[:, 2 * h :], m))
+            s = s + m * z * (c - s)
             out[i] = s
         return out
 
-    def log_probs(self, ids: np.ndarray, mask: np.ndarray, tabs: dict[str, np.ndarray]) -> np.ndarray:
-        """Log-probabilities of the labels at every position: (t, n, labels)."""
-        f, b = (self.pass_over(ids, mask, d, None, tabs[d]) for d in "fb")
-        h = self.h
-        y = f @ self.p["out"][:h] + b @ self.p["out"][h:] + self.p["bias"]
-        y -= y.max(axis=2, keepdims=True)
-        return y - np.log(np.exp(y).sum(axis=2, keepdims=True))
-
     def gradients(self, ids: np.ndarray, mask: np.ndarray, want: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
         p, h = self.p, self.h
         kept: dict[str, list] = {"f": [], "b": []}
-        s = {d: self.pass_over(ids, mask, d, kept[d]) for d in "fb"}
+        s = {d: self.states(ids, mask, d, kept[d]) for d in "fb"}
         both = np.concatenate([s["f"], s["b"]], axis=2)
         y = both @ p["out"] + p["bias"]
         y -= y.max(axis=2, keepdims=True)
@@ -101,21 +91,22 @@ class ByteGru:
         g["bias"] = dy.sum(axis=(0, 1))
         dboth = dy @ p["out"].T
         for d, ds_all in (("f", dboth[:, :, :h]), ("b", dboth[:, :, h:])):
-            u, carry = p[f"u{d}"], np.zeros((len(ids), h), np.float32)
-            for i, prev, z, r, c, mk in reversed(kept[d]):
+            u, carry = p[f"u{d}"], np.zeros((len(ids), h), p["out"].dtype)
+            seen = np.zeros((256, 3 * h), p["out"].dtype)
+            for i, prev, z, r, c, y_c, mk in reversed(kept[d]):
                 ds = carry + ds_all[i]
                 dz = ds * mk * (c - prev) * z * (1 - z)
                 dc = ds * mk * z * (1 - c * c)
-                drs = dc @ u[:, 2 * h :].T
-                dr = drs * prev * r * (1 - r)
-                gates = np.concatenate([dz, dr, dc], axis=1)
-                g[f"u{d}"][:, : 2 * h] += prev.T @ gates[:, : 2 * h]
-                g[f"u{d}"][:, 2 * h :] += (r * prev).T @ dc
-                g[f"c{d}"] += gates.sum(axis=0)
-                e = p["emb"][ids[:, i]]
-                g[f"w{d}"] += e.T @ gates
-                np.add.at(g["emb"], ids[:, i], gates @ p[f"w{d}"].T)
-                carry = ds * (1 - mk * z) + drs * r + gates[:, : 2 * h] @ u[:, : 2 * h].T
+                dr = dc * y_c * r * (1 - r)
+                into = np.concatenate([dz, dr, dc * r], axis=1)
+                g[f"u{d}"] += prev.T @ into
+                into[:, 2 * h :] = dc
+                np.add.at(seen, ids[:, i], into)
+                into[:, 2 * h :] *= r
+                carry = ds * (1 - mk * z) + into @ u.T
+            g[f"c{d}"] += seen.sum(axis=0)
+            g[f"w{d}"] += p["emb"].T @ seen
+            g["emb"] += seen @ p[f"w{d}"].T
         return loss, g
 
     def fit(self, segments: list[bytes], want: np.ndarray, epochs: int = EPOCHS, rate: float = RATE, seed: int = 11) -> list[float]:
@@ -140,6 +131,61 @@ class ByteGru:
             losses.append(float(np.mean(total)))
         return losses
 
+    def positions(self, raw: np.ndarray, off: np.ndarray, span: int = SPAN, reach: int = REACH) -> np.ndarray:
+        """Log-probabilities (bytes, labels) of every byte of the texts raw[off[i]:off[i + 1]]."""
+        h, n_labels = self.h, len(self.labels)
+        size = np.diff(off)
+        parts = -(-size // span)
+        text = np.repeat(np.arange(len(size)), parts)
+        k = np.arange(len(text)) - np.repeat(np.cumsum(parts) - parts, parts)
+        # a text's windows are of nearly the same length
+        begin, end = off[text] + size[text] * k // parts[text], off[text] + size[text] * (k + 1) // parts[text]
+        y = np.empty((len(raw) + 1, n_labels), np.float32)
+        y[:] = self.p["bias"]
+        half = np.ones(3 * h, np.float32)
+        half[: 2 * h] = 0.5  # the gates' sigmoid is half a tanh of half its argument, plus a half
+        for d, out in (("f", self.p["out"][:h]), ("b", self.p["out"][h:])):
+            tab = (self.p["emb"] @ self.p[f"w{d}"] + self.p[f"c{d}"]) * half
+            u = np.ascontiguousarray(self.p[f"u{d}"] * half)
+            if d == "f":
+                first, step = np.maximum(off[text], begin - reach), 1
+                long, late = end - first, begin - first
+            else:
+                first, step = np.minimum(off[text + 1], end + reach) - 1, -1
+                long, late = first - begin + 1, first - end + 1
+            order = np.argsort(-long, kind="stable")
+            first, late = first[order], late[order]
+            still = np.searchsorted(-long[order], -np.arange(int(long.max(initial=0))), side="left")
+            s = np.zeros((len(order), h), np.float32)
+            for i, m in enumerate(still.tolist()):
+                at = first[:m] + step * i
+                x = tab[raw[at]]
+                v = s[:m]
+                p = v @ u
+                x[:, : 2 * h] += p[:, : 2 * h]
+                g = np.tanh(x[:, : 2 * h])
+                g += np.float32(1)
+                g *= np.float32(0.5)
+                p[:, 2 * h :] *= g[:, h:]
+                c = x[:, 2 * h :]
+                c += p[:, 2 * h :]
+                c = np.tanh(c)
+                c -= v
+                c *= g[:, :h]
+                v += c
+                # what lies before the window's first byte only warms the state; it is put where nothing is read
+                at[late[:m] > i] = len(raw)
+                y[at] += v @ out
+        y = y[:-1]
+        y -= y.max(axis=1, keepdims=True)
+        return y - np.log(np.exp(y).sum(axis=1, keepdims=True))
+
+    def sums(self, raw: np.ndarray, off: np.ndarray) -> np.ndarray:
+        """Summed log-probabilities (texts, labels) over each text's positions."""
+        up_to = np.zeros((len(raw) + 1, len(self.labels)))
+        np.cumsum(self.positions(raw, off), axis=0, dtype=np.float64, out=up_to[1:])
+        return up_to[off[1:]] - up_to[off[:-1]]
+
 
 def padded(segments: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     size = np.fromiter(map(len, segments), np.int64, len(segments))
@@ -148,50 +194,8 @@ def padded(segments: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return ids, (np.arange(t) < size[:, None]).astype(np.float32)
 
 
-def segments_of(text: bytes, most: int = SEGMENT) -> list[bytes]:
-    out = []
-    for w in text.split():
-        w = b" " + w + b" "
-        out += [w] if len(w) <= most else [w[i : i + most] for i in range(0, len(w), most)]
-    return out
-
-
-class Scorer:
-    """Summed log-probabilities of segments, remembered for the last `most` distinct ones."""
-
-    def __init__(self, net: ByteGru, most: int = 200_000) -> None:
-        self.net, self.most, self.tabs = net, most, net.tables()
-        self.index: dict[bytes, int] = {}
-        self.rows = np.zeros((0, len(net.labels)), np.float32)
-
-    def learn(self, new: list[bytes]) -> None:
-        new.sort(key=len)
-        got = np.empty((len(new), len(self.net.labels)), np.float32)
-        for a in range(0, len(new), 1024):
-            ids, mask = padded(new[a : a + 1024])
-            y = self.net.log_probs(ids, mask, self.tabs)
-            got[a : a + 1024] = (y * mask.T[:, :, None]).sum(axis=0)
-        self.index.update(zip(new, range(len(self.rows), len(self.rows) + len(new)), strict=True))
-        self.rows = np.concatenate([self.rows, got])
-
-    def scores(self, texts: list[bytes]) -> np.ndarray:
-        split = [segments_of(t) for t in texts]
-        new = set().union(*split).difference(self.index)
-        if len(self.index) + len(new) > self.most:
-            self.index, self.rows = {}, self.rows[:0]
-            new = set().union(*split)
-        if new:
-            self.learn(list(new))
-        look = self.index.__getitem__
-        out = np.zeros((len(texts), len(self.net.labels)))
-        for i, words in enumerate(split):
-            if words:
-                out[i] = self.rows[np.fromiter(map(look, words), np.int64, len(words))].sum(axis=0, dtype=np.float64)
-        return out
-
-
-def training_rows(docs: DataFrame, per_label: int = TRAIN_DOCS, per_doc: int = TRAIN_SEGMENTS) -> tuple[list[bytes], list[str]]:
-    """At most per_label * per_doc segments of each language; only these reach the driver."""
+def training_rows(docs: DataFrame, per_label: int = TRAIN_DOCS, per_doc: int = TRAIN_WINDOWS) -> tuple[list[bytes], list[str]]:
+    """At most per_label * per_doc stretches of each language; only these reach the driver."""
     from pyspark.sql import Window
 
     crc = F.crc32(F.col("doc_id").cast("string"))
@@ -202,10 +206,9 @@ def training_rows(docs: DataFrame, per_label: int = TRAIN_DOCS, per_doc: int = T
     rows = rows.withColumn("k", F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))).where(F.col("k") <= per_label)
     ids = rows.select("doc_id", "lang").distinct()
     texts = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull()).select("doc_id", "lang", "text").join(F.broadcast(ids), ["doc_id", "lang"], "left_semi")
-    words = F.array_distinct(F.split(F.trim("text"), r"[\x20\x09-\x0D]+"))
-    some = F.slice(F.array_sort(F.transform(words, lambda w: F.struct(F.xxhash64(w).alias("h"), F.substring(w, 1, SEGMENT).alias("w")))), 1, per_doc)
-    got = texts.select("lang", F.explode(some).alias("s")).select("lang", "s.w", "s.h").orderBy("lang", "h", "w").collect()
-    return [f" {r['w']} ".encode()[:SEGMENT] for r in got], [r["lang"] for r in got]
+    some = F.array_distinct(F.transform(F.sequence(F.lit(0), F.lit(per_doc - 1)), lambda i: F.substring(F.col("text"), (i * F.length("text") / per_doc).cast("int") + 1, F.lit(TRAIN_BYTES))))
+    got = texts.select("lang", F.explode(some).alias("s")).where("length(s) > 0").orderBy("lang", F.xxhash64("s"), "s").collect()
+    return [r["s"].encode() for r in got], [r["lang"] for r in got]
 
 
 def train(docs: DataFrame) -> ByteGru | None:
@@ -214,11 +217,11 @@ def train(docs: DataFrame) -> ByteGru | None:
     if not labels:
         return None
     net = ByteGru(labels)
-    # every language is learned from as many segments
+    # every language is learned from as many stretches
     r = np.random.default_rng(5)
     y = np.array([labels.index(x) for x in langs])
-    n = min(6000, max(np.bincount(y)))
-    at = np.concatenate([r.choice(np.flatnonzero(y == k), n) for k in range(len(labels))])
+    n = min(TRAIN_DOCS * TRAIN_WINDOWS, max(np.bincount(y)))
+    at = np.concatenate([r.permutation(np.resize(r.permutation(np.flatnonzero(y == k)), n)) for k in range(len(labels))])
     net.fit([segments[i] for i in at], y[at])
     return net
 
@@ -233,10 +236,6 @@ def label_languages(docs: DataFrame, net: ByteGru | None, carry: bool = False) -
     kind = rows.schema[name].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import re
-
-        letter = re.compile(r"[^\W\d_]")
-        scorer = Scorer(net) if net else None
         def split(batch: pa.RecordBatch) -> pa.RecordBatch:
             # the carried rows hold the text; it isn't sent twice
             row = batch.column("row")
@@ -244,21 +243,19 @@ def label_languages(docs: DataFrame, net: ByteGru | None, carry: bool = False) -
 
         for batch in blocks(map(split, batches) if carry else batches):
             texts = batch.column("text").to_pylist()
-            known = [t is not None and net is not None and letter.search(t) is not None for t in texts]
+            known = np.array([t is not None and net is not None and any(map(str.isalpha, t)) for t in texts], bool)
             raw, off = as_bytes(batch.column("text"))
-            raw = raw.tobytes()
             pred, score = [UND] * len(texts), [0.0] * len(texts)
-            at = [i for i, k in enumerate(known) if k]
-            if at:
-                parts = [raw[off[i] : off[i + 1]] for i in at]
-                total = scorer.scores(parts)
-                n = np.array([max(1, len(p)) for p in parts])[:, None]
-                y = total / n * SHARP
+            if known.any():
+                size = np.where(known, np.diff(off), 0)
+                raw = raw[np.repeat(known, np.diff(off))]
+                total = net.sums(raw, np.concatenate([[0], np.cumsum(size)]))
+                y = total / np.maximum(size, 1)[:, None] * SHARP
                 y = np.exp(y - y.max(axis=1, keepdims=True))
                 y /= y.sum(axis=1, keepdims=True)
                 best = total.argmax(axis=1)
-                for i, b, row in zip(at, best, y, strict=True):
-                    pred[i], score[i] = net.labels[b], float(row[b])
+                for i in np.flatnonzero(known).tolist():
+                    pred[i], score[i] = net.labels[best[i]], float(y[i, best[i]])
             yield pa.RecordBatch.from_arrays([batch.column(name), pa.array(pred, pa.string()), pa.array(score, pa.float64())], names=[name, "lang_pred", "score"])
 
     return rows.mapInArrow(run, f"{name} {kind}, lang_pred string, score double")

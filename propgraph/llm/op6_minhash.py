@@ -8,13 +8,16 @@ Links: texts with equal sets are one representative. In each bucket every repres
 with a centre, the one that shares most buckets with most others; classes are formed; what is in
 other classes than the centre's gets a centre of its own, up to STARS times; at last, pairs of a bucket
 whose ends are still in different classes are compared, unless too few of their shingles occur in any
-other text, too many bits of their parity maps differ, or too few of their coordinates agree, for them
-to be near. So a bucket of one class emits no pairs, however large it is. A comparison reads
-whole texts, at most CHUNK of them with each copy of their centre's, whatever a group's size.
+other text, or too many bits of their parity maps differ, for them to be near; both tests are exact, so
+only the banding itself can miss a pair. So a bucket of one class emits no pairs, however large it is. A comparison
+reads whole texts, at most CHUNK of them with each copy of their centre's, whatever a group's size.
+
+A set's node is the least doc_id that has it; where an id has rows of different texts, its further sets
+get numbers of their own from 2^62 up, which are linked to the id and never name a class.
 
 Cases: null text is empty; without words a document has no shingle, links with nothing and is kept;
-repeated rows and rows that share a doc_id are linked by it, each with its own n_shingles; a null doc_id
-takes no part (component_id null, kept true); an empty table gives no row. Only doc_id and text are read.
+repeated rows and rows of different text that share a doc_id are linked by it, each with its own n_shingles; a null
+doc_id takes no part (component_id null, kept true); an empty table gives no row. Only doc_id and text are read.
 """
 
 from __future__ import annotations
@@ -26,14 +29,15 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import U64, blocks, mix64, table, text_of, workers_can_import, written
+from .common import U64, blocks, mix64, release, table, text_of, workers_can_import, written
 from .links import classes
 from .shingles import shingle_sets
 
 ROWS, BANDS, THRESHOLD, CHUNK, STARS = 5, 52, 75, 64, 1
-#: Bits kept of a coordinate, and the most of 256 in which a pair to be compared may differ: at similarity 0.75 a
-#: pair differs in 60 on average, in over 96 with a probability under one in a million.
-BITS, MOST_UNLIKE = 4, 96
+#: Candidates' ids that are sent to every task to fetch their texts (about 60 bytes each); more are joined by shuffle.
+MOST_BROADCAST = 200_000
+#: From here up lie the numbers of further sets of one doc_id.
+FURTHER = 1 << 62
 #: 64-bit words of a parity map.
 PARITY = 32
 K = ROWS * BANDS
@@ -74,12 +78,6 @@ def bands_of(sig: np.ndarray, rows: int = ROWS) -> np.ndarray:
     return h.view(np.int64)
 
 
-def planes_of(sig: np.ndarray) -> np.ndarray:
-    """The lowest BITS bits of 256 coordinates, plane by plane: (documents, 4 * BITS) longs."""
-    parts = [np.packbits((sig[:, :256] >> np.uint32(j)).astype(np.uint8) & 1, axis=1).view("<i8") for j in range(BITS)]
-    return np.concatenate(parts, axis=1)
-
-
 def parity_maps(hashes: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     """(documents, PARITY) longs in which every shingle of a document flips one bit.
 
@@ -91,24 +89,16 @@ def parity_maps(hashes: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return out.view(np.int64)
 
 
-def odd_bits(a: str, b: str) -> Column:
-    """In how many bits two parity maps differ."""
-    return F.aggregate(F.zip_with(a, b, lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda n, k: n + k)
-
-
-def unlike(a: str, b: str) -> Column:
-    """In how many of 256 coordinates two documents' planes differ."""
+def odd_bits(a: str, b: str, words: range) -> Column:
+    """In how many bits of these words two parity maps differ."""
     total = F.lit(0)
-    for i in range(4):
-        x = F.lit(0).cast("long")
-        for j in range(BITS):
-            x = x.bitwiseOR(F.col(a)[4 * j + i].bitwiseXOR(F.col(b)[4 * j + i]))
-        total = total + F.bit_count(x)
+    for i in words:
+        total = total + F.bit_count(F.col(a)[i].bitwiseXOR(F.col(b)[i]))
     return total
 
 
 def features(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, set_key (128 bits), bands: one row a row."""
+    """doc_id, tag (of the text), n_shingles, set_key (128 bits), bands: one row a row."""
     workers_can_import(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -118,19 +108,19 @@ def features(docs: DataFrame) -> DataFrame:
             hashes, off = shingle_sets(batch.column("text"))
             n = np.diff(off)
             sig = signatures(hashes, off)
-            bands, planes = bands_of(sig), planes_of(sig)
+            bands = bands_of(sig)
             keys = [hashlib.blake2b(np.ascontiguousarray(hashes[a:b]), digest_size=16).digest() for a, b in zip(off[:-1], off[1:], strict=True)]
             lists = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1) * BANDS, pa.int32()), pa.array(bands.ravel()))
-            bits = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1) * planes.shape[1], pa.int32()), pa.array(planes.ravel()))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n), pa.array(keys, pa.binary()), lists, bits], names=["doc_id", "n_shingles", "set_key", "bands", "planes"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("tag"), pa.array(n), pa.array(keys, pa.binary()), lists], names=["doc_id", "tag", "n_shingles", "set_key", "bands"])
 
-    return text_of(docs).mapInArrow(run, "doc_id long, n_shingles long, set_key binary, bands array<long>, planes array<long>")
+    return text_of(docs, F.xxhash64(F.coalesce("text", F.lit(""))).alias("tag")).mapInArrow(run, "doc_id long, tag long, n_shingles long, set_key binary, bands array<long>")
 
 
 def confirm(pairs: DataFrame, texts: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     """The pairs (a, b) whose sets have 100 * shared >= threshold * all; texts: doc_id, text, one row an id."""
     workers_can_import(pairs.sparkSession)
-    hot = pairs.groupBy("a").agg(F.count("*").alias("n")).select("a", F.ceil(F.col("n") / CHUNK).cast("int").alias("parts"))
+    # both sides of the join are tables, so that the pairs of a frequent centre can be split over tasks
+    hot = written(pairs.groupBy("a").agg(F.count("*").alias("n")).select("a", F.ceil(F.col("n") / CHUNK).cast("int").alias("parts")), "centres")
     ends = pairs.join(hot, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("parts")).cast("int").alias("part"))
     member = ends.join(texts.withColumnRenamed("doc_id", "b"), "b").select("a", "part", F.lit(1).alias("side"), "b", "text")
     centre = hot.join(texts.withColumnRenamed("doc_id", "a"), "a").select("a", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(0).alias("side"), F.lit(None).cast("long").alias("b"), "text")
@@ -159,56 +149,86 @@ def confirm(pairs: DataFrame, texts: DataFrame, threshold: int = THRESHOLD) -> D
     return rows.mapInArrow(run, "a long, b long")
 
 
+def set_nodes(known: DataFrame) -> DataFrame:
+    """node, rep, tag, n, bands: one row a distinct set; rep and tag name a row whose text has it."""
+    key = F.xxhash64("set_key")
+    twins = written(known.groupBy(F.col("doc_id").alias("rep")).agg(F.min(key).alias("own"), F.max(key).alias("last")).where("own != last").select("rep", "own"), "twins")
+    first = F.min(F.struct("doc_id", "tag")).alias("f")
+    sets = known.groupBy("set_key").agg(first, F.first("n_shingles").alias("n"), F.first("bands").alias("bands")).select("set_key", F.col("f.doc_id").alias("rep"), F.col("f.tag").alias("tag"), "n", "bands")
+    if twins.isEmpty():
+        return sets.withColumn("node", F.col("rep"))
+    further = F.shiftrightunsigned(key, 2).bitwiseOR(F.lit(FURTHER))
+    return sets.join(twins, "rep", "left").withColumn("node", F.when(F.col("own").isNull() | (F.col("own") == key), F.col("rep")).otherwise(further)).drop("own")
+
+
 def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     """doc_id, n_shingles, component_id, kept: one row a row."""
     every = written(features(docs), "shingle-features")
     known = every.where("n_shingles > 0 AND doc_id IS NOT NULL")
     # equal sets: one representative, which also carries the bands
-    sets = written(known.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands"), F.first("planes").alias("planes")), "shingle-sets")
-    same = known.join(sets.select("set_key", "rep"), "set_key").where("doc_id != rep").select(F.col("rep").alias("a"), F.col("doc_id").alias("b"))
-    rows = sets.select("rep", "n", F.explode("bands").alias("band"))
-    # an id with rows of different text stands in several sets; those rows are linked through the id
-    sizes = rows.groupBy("band").agg(F.count("*").alias("m")).where("m > 1")
-    member = written(rows.join(sizes, "band"), "buckets")
+    sets = written(set_nodes(known), "shingle-sets")
+    same = known.join(sets.select("set_key", "node"), "set_key").where("doc_id != node").select(F.col("node").alias("a"), F.col("doc_id").alias("b"))
+    links = written(same, "equal-sets")
+    rows = sets.select(F.col("node").alias("rep"), "n", F.explode("bands").alias("band"))
+    sizes = written(rows.groupBy("band").agg(F.count("*").alias("m")).where("m > 1"), "bucket-sizes")
+    buckets = written(rows.join(sizes, "band"), "buckets")
     # the text that shares most buckets with most others is nearest to the middle of its group
-    score = member.groupBy("rep").agg(F.sum("m").alias("s"))
-    member = written(member.drop("m").join(score, "rep"), "scored-buckets")
-    texts = _one_text(text_of(docs).where("doc_id IS NOT NULL"), sets.select(F.col("rep").alias("doc_id")))
-    links = same
+    score = written(buckets.groupBy("rep").agg(F.sum("m").alias("s")), "scores")
+    texts = written(_texts(docs, sets.join(score.select(F.col("rep").alias("node")), "node").select("rep", "tag", "node"), score.count()), "candidate-texts")
+    release(sets, sizes)
+    member = written(buckets.drop("m").join(score, "rep"), "scored-buckets")
+    release(buckets, score)
     best = F.max_by("rep", F.struct("s", -F.col("rep")))
-    held = member.withColumn("c", F.col("rep")).join(member.groupBy("band").agg(best.alias("pivot")), "band")
+    pivots = written(member.groupBy("band").agg(best.alias("pivot")), "pivots")
+    held = written(member.withColumn("c", F.col("rep")).join(pivots, "band"), "centred-buckets")
+    release(pivots)
     for step in range(STARS):
         stars = held.where("c != pc" if step else "rep != pivot").select(F.least("pivot", "rep").alias("x"), F.greatest("pivot", "rep").alias("y"), F.col("pivot").alias("a"), F.col("rep").alias("b"))
-        stars = stars.dropDuplicates(["x", "y"]).select("a", "b")
-        links = written(links.unionByName(confirm(stars, texts, threshold)), "links")
+        stars = written(stars.dropDuplicates(["x", "y"]).select("a", "b"), "stars")
+        before, links = links, written(links.unionByName(confirm(stars, texts, threshold)), "links")
+        release(before, stars)
         label = classes(links)
         now = member.join(label.select(F.col("id").alias("rep"), "least"), "rep", "left").select("band", "rep", "n", "s", F.coalesce("least", "rep").alias("c"))
         # of a bucket in several classes, the next centre is the best text outside the last centre's class
         named = held.select("band", "pivot").distinct().join(label.select(F.col("id").alias("pivot"), "least"), "pivot", "left").select("band", F.coalesce("least", "pivot").alias("old"))
-        now = now.join(named, "band")
-        rest = now.where("c != old").groupBy("band").agg(best.alias("pivot"), F.max_by("c", F.struct("s", -F.col("rep"))).alias("pc"))
-        held = written(now.drop("old").join(rest, "band"), "mixed-buckets")
+        outside = written(now.join(written(named, "named-buckets"), "band").where("c != old"), "outside")
+        rest = written(outside.groupBy("band").agg(best.alias("pivot"), F.max_by("c", F.struct("s", -F.col("rep"))).alias("pc")), "next-pivots")
+        before, held = held, written(now.join(rest, "band"), "mixed-buckets")
+        release(before, outside, rest)
         if held.isEmpty():
             break
+    release(member)
     held = written(able(held, texts, threshold), "able-buckets")
     every_band = held.groupBy("rep").agg(F.collect_set("band").alias("all"))
-    maps = parities(held, texts)
-    held = held.join(every_band, "rep").join(sets.select("rep", "planes"), "rep").join(maps, "rep")
-    x, y = (held.select("band", F.col("rep").alias(i), F.col("n").alias(f"n{i}"), F.col("c").alias(f"c{i}"), F.col("t").alias(f"t{i}"), F.col("all").alias(f"all{i}"), F.col("planes").alias(f"p{i}"), F.col("parity").alias(f"q{i}")) for i in "ab")
+    held = written(held.join(every_band, "rep").join(parities(held, texts), "rep"), "mapped-buckets")
+    x, y = (held.select("band", F.col("rep").alias(i), F.col("n").alias(f"n{i}"), F.col("c").alias(f"c{i}"), F.col("t").alias(f"t{i}"), F.col("all").alias(f"all{i}"), F.col("parity").alias(f"q{i}")) for i in "ab")
     shared = F.least("ta", "tb")
     # shared >= threshold % of all is the same as: no more than this part of both sizes lies in one set only
-    apart = odd_bits("qa", "qb") * (100 + threshold) <= (F.col("na") + F.col("nb")) * (100 - threshold)
-    fits = (shared * 100 >= (F.col("na") + F.col("nb") - shared) * threshold) & (F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & (unlike("pa", "pb") <= MOST_UNLIKE)
-    # a pair that shares several buckets comes from the least of them; the dearest test stands last
-    more = x.join(y, (x["band"] == y["band"]) & fits & (F.array_min(F.array_intersect("alla", "allb")) == x["band"]) & apart).select("a", "b")
+    apart = lambda words: odd_bits("qa", "qb", words) * (100 + threshold) <= (F.col("na") + F.col("nb")) * (100 - threshold)
+    fits = (shared * 100 >= (F.col("na") + F.col("nb") - shared) * threshold) & (F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & apart(range(8)) & apart(range(PARITY))
+    # a pair that shares several buckets comes from the least of them
+    more = x.join(y, (x["band"] == y["band"]) & fits & (F.array_min(F.array_intersect("alla", "allb")) == x["band"])).select("a", "b")
     more = written(more, "further-pairs")
-    more = written(confirm(more, texts, threshold), "further-links")
-    label = classes(links.unionByName(more))
-    out = every.join(label.withColumnRenamed("id", "doc_id"), "doc_id", "left")
+    release(held)
+    found = written(confirm(more, texts, threshold), "further-links")
+    release(more, texts)
+    label = classes(links.unionByName(found))
+    release(links, found)
+    out = every.join(least_ids(label, known).withColumnRenamed("id", "doc_id"), "doc_id", "left")
     component = F.coalesce("least", "doc_id")
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
 
 
+def least_ids(label: DataFrame, ids: DataFrame) -> DataFrame:
+    """label with each class named by its least doc_id, also where doc_ids lie among the numbers of further sets."""
+    odd = label.where(F.col("least") >= FURTHER)
+    if odd.isEmpty():
+        return label
+    members = odd.unionByName(odd.select(F.col("least").alias("id"), "least").distinct())
+    real = members.join(ids.select(F.col("doc_id").alias("id")).distinct(), "id", "left_semi").groupBy("least").agg(F.min("id").alias("real"))
+    return label.where(F.col("least") < FURTHER).unionByName(members.join(real, "least").select("id", F.col("real").alias("least")))
+
+
 def able(held: DataFrame, texts: DataFrame, threshold: int) -> DataFrame:
     """held with t, each text's shingles that any other of these texts has; texts that can't link are left out.
 
@@ -239,9 +259,12 @@ def parities(held: DataFrame, texts: DataFrame) -> DataFrame:
     return some.join(texts, "doc_id").select("doc_id", "text").mapInArrow(run, "rep long, parity array<long>")
 
 
-def _one_text(texts: DataFrame, reps: DataFrame) -> DataFrame:
-    """doc_id, text of representatives; of repeated rows of an id, one."""
-    return texts.join(reps.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+def _texts(docs: DataFrame, wanted: DataFrame, n: int) -> DataFrame:
+    """doc_id (the node), text: of each wanted (rep, tag, node) a row's text."""
+    rows = text_of(docs, F.xxhash64(F.coalesce("text", F.lit(""))).alias("tag"))
+    few = wanted.select(F.col("rep").alias("doc_id"), "tag", "node")
+    rows = rows.join(F.broadcast(few) if n <= MOST_BROADCAST else few, ["doc_id", "tag"])
+    return rows.groupBy("node").agg(F.first("text").alias("text")).select(F.col("node").alias("doc_id"), "text")
 
 
 def op6_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -22,9 +22,11 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import table, written
 
 SEED, TEMPERATURE, MOST_RATE, STEPS = 20240607, 0.5, 8.0, 48
+#: Sources whose rates (about 400 bytes each) are broadcast; with more, a source's documents are dealt to SALTS parts.
+MOST_BROADCAST, SALTS = 20_000, 64
 
 
 def unit(*parts: Column | str) -> Column:
@@ -57,9 +59,14 @@ def replicate(docs: DataFrame, targets: dict[str, float] | None = None, seed: in
     """docs with each row as often as it is drawn, plus copy_no and mix_key, in global order of mix_key."""
     keep = [c for c in docs.columns if c not in ("copy_no", "mix_key")]
     by = rates(docs, targets, temperature).withColumn("_m", F.greatest(F.ceil(F.col("rate") / MOST_RATE), F.lit(1)).cast("int"))
-    by = by.withColumn("_cdf", cumulative(F.col("rate") / F.col("_m"))).drop("n")
+    by = written(by.select("_source", "_m", cumulative(F.col("rate") / F.col("_m")).alias("_cdf")), "rates")
     ids = [F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.coalesce(F.length("text"), F.lit(-1)).cast("string")]
-    rows = docs.select(*keep).join(by, F.col("source").eqNullSafe(F.col("_source")))
+    # rates have a row a source: few enough are sent to every task, so that no text moves before the copies are made
+    few = by.count() <= MOST_BROADCAST
+    parts = 1 if few else SALTS
+    by = F.broadcast(by.withColumn("_salt", F.lit(0))) if few else by.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))))
+    salt = F.lit(0) if few else F.pmod(F.xxhash64(*ids), F.lit(parts)).cast("int")
+    rows = docs.select(*keep, salt.alias("_of")).join(by, F.col("source").eqNullSafe(F.col("_source")) & (F.col("_of") == F.col("_salt")))
     draw = F.transform(F.sequence(F.lit(1), F.col("_m")), lambda i: unit(*ids, F.lit(str(seed)), i.cast("string")))
     count = F.aggregate(draw, F.lit(0), lambda a, u: a + F.size(F.filter("_cdf", lambda c: c <= u)))
     rows = rows.withColumn("_k", count).where("_k > 0").select(*keep, F.explode(F.sequence(F.lit(1), F.col("_k"))).alias("copy_no"))

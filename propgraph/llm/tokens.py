@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 import re
 from itertools import chain
 
@@ -10,11 +11,11 @@ import numpy as np
 #: Letters, numbers and white space among the first 256 code points, on which every Unicode version
 #: and library agree. Texts with other code points go to the tokenizer whole.
 LETTER, NUMBER, SPACE = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe", "\t-\r \x85\xa0"
-#: The pre-tokenizers' patterns for such texts, as the two vocabulary files state them.
-WORDS = {
-    "word_bpe_49k": f"'s|'t|'re|'ve|'m|'ll|'d|[{LETTER}]+|[{NUMBER}]|[^{SPACE}{LETTER}{NUMBER}]+",
-    "byte_bpe_50k": f"'s|'t|'re|'ve|'m|'ll|'d| ?[{LETTER}]+| ?[{NUMBER}]+| ?[^{SPACE}{LETTER}{NUMBER}]+|[{SPACE}]+(?![^{SPACE}])|[{SPACE}]+",
-}
+#: The pattern by which a tokenizer file with such steps lower-cases and splits, and the two
+#: pre-tokenizers' patterns for texts of those code points.
+LOWER_SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+LOWER_WORDS = f"'s|'t|'re|'ve|'m|'ll|'d|[{LETTER}]+|[{NUMBER}]|[^{SPACE}{LETTER}{NUMBER}]+"
+BYTE_WORDS = f"'s|'t|'re|'ve|'m|'ll|'d| ?[{LETTER}]+| ?[{NUMBER}]+| ?[^{SPACE}{LETTER}{NUMBER}]+|[{SPACE}]+(?![^{SPACE}])|[{SPACE}]+"
 _loaded: dict[tuple[str, int], WordIds] = {}
 
 
@@ -31,20 +32,38 @@ class Numbers(dict):
         return n
 
 
+def word_pattern(spec: dict) -> tuple[str | None, bool]:
+    """(pattern, lower-cased first) of a tokenizer file's steps; no pattern: its texts are encoded whole."""
+    kinds = lambda part, many: [x["type"] for x in (part or {}).get(many, [part] if part else [])]
+    before, split = spec.get("normalizer"), spec.get("pre_tokenizer") or {}
+    steps = split.get("pretokenizers", [split])
+    last = steps[-1]
+    if spec["model"]["type"] != "BPE" or last.get("type") != "ByteLevel" or last.get("add_prefix_space"):
+        return None, False
+    if before is None and len(steps) == 1 and last.get("use_regex"):
+        return BYTE_WORDS, False
+    same = kinds(before, "normalizers") == ["NFC", "Replace", "Lowercase"] and before["normalizers"][1]["pattern"] == {"Regex": r"\s+"} and before["normalizers"][1]["content"] == " "
+    cut = len(steps) == 2 and steps[0].get("type") == "Split" and steps[0].get("pattern") == {"Regex": LOWER_SPLIT} and steps[0].get("behavior") == "Removed" and steps[0].get("invert")
+    return (LOWER_WORDS, True) if same and cut and not last.get("use_regex") else (None, False)
+
+
 class WordIds:
-    """ids(texts): one array of ids a text, the same as the tokenizer's own.
+    """ids(texts): one array of ids a text, the same as the tokenizer's own with add_special_tokens=False.
 
     The pre-tokenizer's pieces don't depend on what surrounds them, so each distinct piece is
-    encoded once and looked up again; at most `most` pieces are kept."""
+    encoded once and looked up again; at most `most` pieces are kept. Texts with code points beyond the
+    first 256, or with an added token's literal content, are encoded whole, as are all texts of a
+    tokenizer whose file states other steps than the two known ones."""
 
-    def __init__(self, path: str, most: int = 500_000) -> None:
+    def __init__(self, path: str, most: int = 250_000) -> None:
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
-        kind = next((k for k in WORDS if k in path), None)
-        self.words = re.compile(WORDS[kind]) if kind else None
-        self.lower = kind == "word_bpe_49k"
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        pattern, self.lower = word_pattern(spec)
+        self.words = re.compile(pattern) if pattern else None
+        self.added = [t["content"] for t in spec.get("added_tokens") or []]
         self.most = most
         self.clear()
 
@@ -89,7 +108,7 @@ class WordIds:
         look = self.index.__getitem__
         found: dict[int, np.ndarray] = {}
         for i, text in enumerate(texts):
-            if self.words is not None and within_latin1(text):
+            if self.words is not None and within_latin1(text) and not any(a in text for a in self.added):
                 words = self.words.findall(text.lower() if self.lower else text)
                 found[i] = np.fromiter(map(look, words), np.int64, len(words))
         self.learn()
