@@ -5,24 +5,37 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from propgraph.llm import op3_harmonic, op4_language, op6_minhash, op8_poisson, op9_line_chunks
-from propgraph.llm.common import shared_path
+from propgraph.llm.common import shared_path, written
 from propgraph.llm.tokens import vocabulary
 
+#: The least score of a document that stays: with four languages 0.25 is a blind guess; of sf0.1's documents none is below 0.5.
+LEAST_SCORE = 0.4
+
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a language (no text, or no letter in it) go."""
-    got = op4_language.label_languages(docs, op4_language.train(docs), carry=True)
-    return got.where(f"lang_pred != '{op4_language.UND}'").select("row.*")
+    """Documents without a language go: no text, no letter, or the network's score below LEAST_SCORE; a null lang becomes the predicted one.
+
+    Where nothing could be learned (no labelled row), documents with a letter stay as they are. An empty table stays empty."""
+    net = op4_language.train(docs)
+    if net is None:
+        return docs.where(F.col("text").rlike(r"\p{L}"))
+    got = op4_language.label_languages(docs, net, carry=True).where((F.col("lang_pred") != op4_language.UND) & (F.col("score") >= LEAST_SCORE))
+    full = [F.coalesce("row.lang", "lang_pred").alias(c) if c == "lang" else F.col(f"row.`{c}`").alias(c) for c in docs.columns]
+    return got.select(*full)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Lines that stand in a run of two or more at an earlier place go; no document goes, null texts stay null."""
     return op9_line_chunks.remove_passages(docs).select(*docs.columns)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of near copies the document of the least id stays."""
+    """Of each class of near copies the document of the least id stays; rows without an id or without words stay.
+
+    Repeated rows of an id stay or go together."""
     gone = op6_minhash.near_duplicates(docs).where("NOT kept").select("doc_id").distinct()
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 
@@ -33,8 +46,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    from propgraph.llm.common import written
-
+    """Pieces of sequences of at most 2048 tokens; an empty table gives none, a null text its end id."""
     return op3_harmonic.pack(written(op3_harmonic.pieces(docs, vocabulary("byte_bpe_50k.json")), "pieces"))
 
 
