@@ -8,7 +8,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .graph import Layout, PropertyGraph, send_and_fold
-from .loops import Trace, kept, loop_scope, run_gas, run_supersteps, run_supersteps_classic
+from .loops import Trace, loop_scope, run_gas, run_supersteps, run_supersteps_classic
+from .sites import by_key, kept
 
 
 def degrees(g: PropertyGraph, kind: str = "total") -> DataFrame:
@@ -29,31 +30,35 @@ def _rank_graph(g: PropertyGraph, init: float) -> PropertyGraph:
     return PropertyGraph(v, g.edges.select("src", "dst"), g.layout)
 
 
-def pagerank(g: PropertyGraph, rounds: int = 20, tol: float | None = None, reset: float = 0.15, init: float = 1.0, via: str = "direct", mode: str = "full", trace: Trace | None = None, reuse: bool = True, every: int = 5) -> DataFrame:
+def pagerank(g: PropertyGraph, rounds: int = 20, tol: float | None = None, reset: float = 0.15, init: float = 1.0, via: str = "direct", mode: str = "full", trace: Trace | None = None, reuse: bool = True, every: int = 5, eliminate: bool = True) -> DataFrame:
     """id, pr. Unnormalized; the rank of vertices without out-links isn't handed on.
 
-    via: direct, operators, supersteps, gas, classic. tol stops when no rank moves by more. mode 'delta'
-    (with tol) hands on rank differences above tol only and keeps the rest for later. reuse=False deals
-    the edges out anew every round (ablation)."""
+    via: direct, operators, supersteps, gas, classic. tol stops when no rank moves by more; a trace then tells how
+    many moved by more. mode 'delta' (with tol) hands on rank differences above tol only and keeps the rest for
+    later. Ablations: reuse=False (direct) deals the edges out anew every round, eliminate=False (operators)
+    joins both ends though a message reads one."""
     share = lambda t: t.src["pr"] / t.src["out"]
     new = lambda m: F.lit(reset) + F.lit(1 - reset) * F.coalesce(m, F.lit(0.0))
     if mode == "delta":
         return _pagerank_delta(g, tol or 1e-4, rounds, reset, init, trace)
-    if tol is not None or via in ("supersteps", "operators"):
+    spark = g.vertex_rows.sparkSession
+    if via == "operators":
         r = _rank_graph(g, init)
-        if via == "operators":
-            with loop_scope(g.vertex_rows.sparkSession):
-                r = PropertyGraph(kept(r.vertices), kept(r.edges), r.layout)
-                for _ in range(rounds):
-                    sums = send_and_fold(r, share)
-                    v = r.vertices.join(sums, "id", "left").select("id", new(F.col("msg")).alias("pr"), "out")
-                    r = PropertyGraph(kept(v), r.edge_rows, r.layout)
-            return r.vertices.select("id", "pr")
-        if tol is None:
-            out, t = run_supersteps(r, lambda m: {"pr": new(m)}, share, fresh=None, max_rounds=rounds, receivers_only=False)
-        else:
-            r = r.map_vertices(move=F.lit(None).cast("double"))
-            out, t = run_supersteps(r, lambda m: {"pr": new(m), "move": F.abs(new(m) - F.col("pr"))}, share, fresh=None, max_rounds=rounds, receivers_only=False, halt=F.col("move") <= tol)
+        with loop_scope(spark):
+            r = PropertyGraph(by_key(r.vertices, "id"), by_key(r.edges, "src", "dst"), r.layout)
+            for _ in range(rounds):
+                sums = send_and_fold(r, share, eliminate=eliminate)
+                v = r.vertices.join(sums, "id", "left").select("id", new(F.col("msg")).alias("pr"), "out")
+                r = PropertyGraph(kept(v), r.edge_rows, r.layout)
+        return r.vertices.select("id", "pr")
+    if tol is not None:
+        r = _rank_graph(g, init).map_vertices(move=F.lit(None).cast("double"))
+        out, t = run_supersteps(r, lambda m: {"pr": new(m), "move": F.abs(new(m) - F.col("pr"))}, share, fresh=None, max_rounds=rounds, receivers_only=False, watch=lambda v: v["move"] > tol)
+        if trace is not None:
+            trace.rounds += t.rounds
+        return out.vertices.select("id", "pr")
+    if via == "supersteps":
+        out, t = run_supersteps(_rank_graph(g, init), lambda m: {"pr": new(m)}, share, fresh=None, max_rounds=rounds, receivers_only=False)
         if trace is not None:
             trace.rounds += t.rounds
         return out.vertices.select("id", "pr")
@@ -62,76 +67,88 @@ def pagerank(g: PropertyGraph, rounds: int = 20, tol: float | None = None, reset
     if via == "classic":
         fold = lambda m: {"pr": new(F.aggregate(m, F.lit(0.0), lambda a, x: a + x))}
         return run_supersteps_classic(_rank_graph(g, init), fold, share, rounds).vertices.select("id", "pr")
-    spark = g.vertex_rows.sparkSession
     with loop_scope(spark):
         # edges lie by source with the source's out-degree and stay there; only sums move
-        e = with_out_degree(g).edges.select("src", "dst", "_out")
-        e = e.repartition("src").persist() if reuse else e
-        ids = g.vertices.select("id").repartition("id")
-        ids = ids.persist() if reuse else ids
+        e, ids = g.edges.select("src", "dst"), g.vertices.select("id")
+        if reuse:
+            e = e.repartition("src").sortWithinPartitions("src")
+            e = e.join(e.groupBy("src").agg(F.count("*").alias("_out")), "src").select("src", "dst", "_out").persist()
+            ids = ids.repartition("id").sortWithinPartitions("id").persist()
+        else:
+            e = with_out_degree(PropertyGraph(ids, e, g.layout)).edges.select("src", "dst", "_out")
         state = ids.select("id", F.lit(init).alias("pr"))
         for i in range(rounds):
             sums = e.join(state.withColumnRenamed("id", "src"), "src").groupBy(F.col("dst").alias("id")).agg(F.sum(F.col("pr") / F.col("_out")).alias("msg"))
             state = ids.join(sums, "id", "left").select("id", new(F.col("msg")).alias("pr"))
             if (i + 1) % every == 0 or i + 1 == rounds:
                 state = kept(state)
+        if reuse and rounds:
+            e.unpersist()
+            ids.unpersist()
     return state
 
 
 def _pagerank_delta(g: PropertyGraph, tol: float, rounds: int, reset: float, init: float, trace: Trace | None) -> DataFrame:
     r = _rank_graph(g, init)
     with loop_scope(g.vertex_rows.sparkSession):
-        edges = kept(r.edges)
-        sums = send_and_fold(PropertyGraph(r.vertices, edges, Layout()), lambda t: t.src["pr"] / t.src["out"])
+        edges, start = by_key(r.edges, "src", "dst"), by_key(r.vertices, "id")
+
+        def sums(shares: DataFrame, column: str) -> DataFrame:
+            """Of the vertices in shares only; their rows and the edges lie alike, so only sums move."""
+            sent = edges.join(shares.select(F.col("id").alias("src"), (F.col(column) / F.col("out")).alias("_share")), "src")
+            return sent.groupBy(F.col("dst").alias("id")).agg(F.sum("_share").alias("msg"))
+
         first = F.lit(reset) + F.lit(1 - reset) * F.coalesce("msg", F.lit(0.0))
-        v = kept(r.vertices.join(sums, "id", "left").select("id", "out", first.alias("pr"), (first - F.col("pr")).alias("left")))
+        v = kept(start.join(sums(start, "pr"), "id", "left").select("id", "out", first.alias("pr"), (first - F.col("pr")).alias("left")))
         n = v.count()
         if trace is not None:
             trace.rounds.append({"round": 1, "active": n})
         for i in range(1, rounds):
-            active = v.where(F.abs("left") > tol).select("id")
+            active = v.where(F.abs("left") > tol)
             count = active.count()
             if not count:
                 break
             if trace is not None:
                 trace.rounds.append({"round": i + 1, "active": count})
-            sums = send_and_fold(PropertyGraph(v, edges, Layout()), lambda t: t.src["left"] / t.src["out"], fresh="src", active=active)
             gain = F.lit(1 - reset) * F.coalesce("msg", F.lit(0.0))
             rest = F.when(F.abs("left") > tol, F.lit(0.0)).otherwise(F.col("left"))
-            v = kept(v.join(sums, "id", "left").select("id", "out", (F.col("pr") + gain).alias("pr"), (rest + gain).alias("left")))
+            v = kept(v.join(sums(active, "left"), "id", "left").select("id", "out", (F.col("pr") + gain).alias("pr"), (rest + gain).alias("left")))
     return v.select("id", "pr")
 
 
-def components(g: PropertyGraph, via: str = "labels", fresh: str | None = "either", max_rounds: int = 1000, trace: Trace | None = None) -> DataFrame:
-    """id, component: the least id that each vertex reaches, edges taken both ways."""
+def components(g: PropertyGraph, via: str = "labels", fresh: str | None = "either", max_rounds: int = 1000, trace: Trace | None = None, incremental: bool = True, strategy: str = "grid", partitions: int | None = None) -> DataFrame:
+    """id, component: the least id that each vertex reaches, edges taken both ways.
+
+    The labels run over a vertex cut (strategy, partitions); incremental=False ships all copies every round."""
     if via == "stars":
         return _stars(g)
     start = PropertyGraph(g.vertices.select("id", F.col("id").alias("label")), g.edges.select("src", "dst"), g.layout)
     down = lambda t: F.when(t.src["label"] < t.dst["label"], t.src["label"])
     up = (lambda t: F.when(t.dst["label"] < t.src["label"], t.dst["label"])) if fresh != "out_only" else None
-    out, t = run_supersteps(start, lambda m: {"label": F.least(F.col("label"), m)}, down, up, "min", "src" if fresh == "out_only" else fresh, max_rounds)
+    out, t = run_supersteps(start, lambda m: {"label": F.least(F.col("label"), m)}, down, up, "min", "src" if fresh == "out_only" else fresh, max_rounds, incremental=incremental, strategy=strategy, partitions=partitions)
     if trace is not None:
         trace.rounds += t.rounds
     return out.vertices.select("id", F.col("label").alias("component"))
 
 
 def _stars(g: PropertyGraph) -> DataFrame:
-    """Pointer doubling by large and small stars: few rounds, whatever the longest chain."""
-    with loop_scope(g.vertex_rows.sparkSession):
-        now = kept(g.edges.select(F.greatest("src", "dst").alias("hi"), F.least("src", "dst").alias("lo")).where("hi != lo").distinct())
-        before = None
-        while True:
-            both = now.unionByName(now.select(F.col("lo").alias("hi"), F.col("hi").alias("lo")))
-            least = both.groupBy("hi").agg(F.min("lo").alias("m")).select("hi", F.least("hi", "m").alias("m"))
-            large = both.join(least, "hi").where("lo > hi").select(F.col("lo").alias("hi"), F.col("m").alias("lo")).where("hi != lo").distinct()
-            down = large.groupBy("hi").agg(F.min("lo").alias("m"))
-            pairs = F.array(F.struct("hi", F.col("m").alias("lo")), F.struct(F.col("lo").alias("hi"), F.col("m").alias("lo")))
-            now = kept(large.join(down, "hi").select(F.explode(pairs).alias("e")).select("e.hi", "e.lo").where("hi != lo").distinct())
-            state = tuple(now.agg(F.count("*"), F.sum(F.xxhash64("hi", "lo").cast("decimal(38,0)"))).first())
-            if state == before:
-                break
-            before = state
-        return g.vertices.select("id").join(now.select(F.col("hi").alias("id"), "lo"), "id", "left").select("id", F.coalesce("lo", "id").alias("component"))
+    """Pointer doubling by large and small stars: few rounds, whatever the longest chain.
+
+    Minima are combined before the exchange and kept, so that adaptive planning can split a hub's links over tasks."""
+    now = kept(g.edges.select(F.greatest("src", "dst").alias("hi"), F.least("src", "dst").alias("lo")).where("hi != lo").distinct())
+    before = None
+    while True:
+        both = now.unionByName(now.select(F.col("lo").alias("hi"), F.col("hi").alias("lo")))
+        least = kept(both.groupBy("hi").agg(F.min("lo").alias("m")).select("hi", F.least("hi", "m").alias("m")))
+        large = kept(both.join(least, "hi").where("lo > hi").select(F.col("lo").alias("hi"), F.col("m").alias("lo")).where("hi != lo").distinct())
+        down = kept(large.groupBy("hi").agg(F.min("lo").alias("m")))
+        pairs = F.array(F.struct("hi", F.col("m").alias("lo")), F.struct(F.col("lo").alias("hi"), F.col("m").alias("lo")))
+        now = kept(large.join(down, "hi").select(F.explode(pairs).alias("e")).select("e.hi", "e.lo").where("hi != lo").distinct())
+        state = tuple(now.agg(F.count("*"), F.sum(F.xxhash64("hi", "lo").cast("decimal(38,0)"))).first())
+        if state == before:
+            break
+        before = state
+    return g.vertices.select("id").join(now.select(F.col("hi").alias("id"), "lo"), "id", "left").select("id", F.coalesce("lo", "id").alias("component"))
 
 
 def contract(g: PropertyGraph, edge_where: Callable, vertex_merge: dict[str, Callable[[Column], Column]], edge_merge: dict[str, Column] | None = None, keep_loops: bool = True) -> PropertyGraph:
@@ -170,11 +187,11 @@ def neighbours_agg(g: PropertyGraph, column: str, fold: str | Callable[[Column],
 def label_propagation(g: PropertyGraph, rounds: int = 5) -> DataFrame:
     """id, label: each round the commonest label of the neighbours, the least at a tie; without any, its own."""
     with loop_scope(g.vertex_rows.sparkSession):
-        e = kept(g.edges.select("src", "dst"))
-        v = kept(g.vertices.select("id", F.col("id").alias("label")))
+        # each edge both ways, by the vertex whose label it hands on; only counts of labels move
+        e = by_key(g.edges.select(F.explode(F.array(F.struct(F.col("src").alias("f"), F.col("dst").alias("id")), F.struct(F.col("dst").alias("f"), F.col("src").alias("id")))).alias("m")).select("m.*"), "f")
+        v = by_key(g.vertices.select("id", F.col("id").alias("label")), "id")
         for _ in range(rounds):
-            sent = e.select(F.explode(F.array(F.struct(F.col("src").alias("f"), F.col("dst").alias("id")), F.struct(F.col("dst").alias("f"), F.col("src").alias("id")))).alias("m")).select("m.*")
-            counts = sent.join(v.select(F.col("id").alias("f"), "label"), "f").groupBy("id", "label").agg(F.count("*").alias("n"))
+            counts = e.join(v.select(F.col("id").alias("f"), "label"), "f").groupBy("id", "label").agg(F.count("*").alias("n"))
             best = counts.groupBy("id").agg(F.min(F.struct(-F.col("n"), F.col("label").alias("label")))["label"].alias("new"))
             v = kept(v.join(best, "id", "left").select("id", F.coalesce("new", "label").alias("label")))
     return v

@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 
 from ..plans.placement import place
 from ..plans.scope import JoinShape, Triplet, record
+from .sites import kept, messages
 
 VISIBLE = "_visible"
 
@@ -23,6 +24,11 @@ class GraphError(ValueError):
     pass
 
 
+def unique(df: DataFrame, key: str) -> None:
+    if not df.groupBy(key).agg(F.count("*").alias("_n")).where("_n > 1").isEmpty():
+        raise GraphError(f"rows repeat for one {key}; give merge")
+
+
 @dataclass(frozen=True)
 class Layout:
     """How edges are placed; graphs that differ in properties only share one."""
@@ -40,22 +46,21 @@ class PropertyGraph:
     edges_pending: bool = False
 
     @classmethod
-    def build(cls, vertices: DataFrame, edges: DataFrame, merge: dict[str, Callable[[Column], Column]] | None = None, default: dict[str, Column] | None = None, check: bool = False) -> PropertyGraph:
+    def build(cls, vertices: DataFrame, edges: DataFrame, merge: dict[str, Callable[[Column], Column]] | None = None, default: dict[str, Column] | None = None, check: bool = True) -> PropertyGraph:
         """Folds rows of one id by `merge` (column -> aggregate), adds ends without a row with `default` values or nulls.
 
-        Without merge, ids must be unique; check=True tests this and that no id is null."""
+        Without merge, ids must be unique. That, and that no id is null, is tested by one pass over the ids, unless
+        check=False says that it is known; the pass raises GraphError."""
         for df, names in ((vertices, ["id"]), (edges, ["src", "dst"])):
             if missing := [c for c in names if c not in df.columns]:
                 raise GraphError(f"columns missing: {missing}")
         vertices = vertices.withColumn("id", F.col("id").cast("long"))
         edges = edges.withColumns({c: F.col(c).cast("long") for c in ("src", "dst")})
         if check:
-            bad = vertices.agg(F.count_if(F.col("id").isNull()).alias("n"), (F.count("id") - F.count_distinct("id")).alias("d")).first()
-            ends = edges.agg(F.count_if(F.col("src").isNull() | F.col("dst").isNull()).alias("n")).first()
-            if bad["n"] or ends["n"]:
+            if not vertices.where("id IS NULL").select("id").unionByName(edges.where("src IS NULL OR dst IS NULL").select(F.col("src").alias("id"))).isEmpty():
                 raise GraphError("null ids")
-            if bad["d"] and merge is None:
-                raise GraphError("ids repeat; give merge")
+            if merge is None:
+                unique(vertices, "id")
         props = [c for c in vertices.columns if c != "id"]
         if merge is not None:
             vertices = vertices.groupBy("id").agg(*[merge.get(c, F.min)(F.col(c)).alias(c) for c in props]) if props else vertices.distinct()
@@ -131,9 +136,17 @@ class PropertyGraph:
         more = [c for c in table.columns if c != on]
         if clash := set(more) & set(self.vertex_columns):
             raise GraphError(f"columns exist: {sorted(clash)}")
-        if merge is not None:
-            table = table.groupBy(on).agg(*[merge.get(c, F.min)(F.col(c)).alias(c) for c in more])
-        return replace(self, vertex_rows=self.vertex_rows.join(table.withColumnRenamed(on, "id"), "id", "left"))
+        return replace(self, vertex_rows=self.vertex_rows.join(self._one_row(table, on, more, merge), "id", "left"))
+
+    @staticmethod
+    def _one_row(table: DataFrame, on: str, columns: list[str], merge: dict[str, Callable[[Column], Column]] | None) -> DataFrame:
+        """id, columns: rows of one id folded by merge; without it a repeated id raises GraphError. Null ids match nothing."""
+        table = table.where(F.col(on).isNotNull()).select(F.col(on).alias("id"), *columns)
+        if merge is None:
+            unique(table, "id")
+            return table
+        folds = [merge.get(c, F.min)(F.col(c)).alias(c) for c in columns]
+        return table.groupBy("id").agg(*folds) if folds else table.distinct()
 
     def restrict(self, vertex_where: Column | str | None = None, edge_where: Callable[[Triplet], Column] | None = None) -> PropertyGraph:
         """Keeps vertices that pass, and edges that pass and whose both ends do."""
@@ -150,10 +163,12 @@ class PropertyGraph:
             g = replace(g, vertex_rows=rows, masked=True, edges_pending=True)
         return g
 
-    def keep_matching(self, table: DataFrame, on: str = "id") -> PropertyGraph:
-        """Inner join: vertices without a row in the table are hidden; edges are repaired when asked for."""
+    def keep_matching(self, table: DataFrame, on: str = "id", merge: dict[str, Callable[[Column], Column]] | None = None) -> PropertyGraph:
+        """Inner join: vertices without a row in the table are hidden; edges are repaired when asked for.
+
+        The table's new columns are added; several rows of an id need merge, or no new column."""
         more = [c for c in table.columns if c != on and c not in self.vertex_columns]
-        other = table.select(F.col(on).alias("id"), *more, F.lit(True).alias("_hit"))
+        other = self._one_row(table, on, more, merge if more else merge or {}).withColumn("_hit", F.lit(True))
         rows = self.vertex_rows.join(other, "id", "left")
         hit = F.coalesce("_hit", F.lit(False))
         rows = rows.withColumn(VISIBLE, (F.col(VISIBLE) & hit) if self.masked else hit).drop("_hit")
@@ -167,7 +182,9 @@ class PropertyGraph:
         return PropertyGraph(v, e, Layout("source", partitions or 0))
 
     def place_edges(self, strategy: str | Column, partitions: int) -> PropertyGraph:
-        """Adds the edge column pid; one task holds each partition, clustered by source."""
+        """Adds the edge column pid; one task holds each partition, clustered by source. 'given' freezes where the edges lie now."""
+        if isinstance(strategy, str) and strategy == "given":
+            return replace(self, edge_rows=kept(self.edges.withColumn("pid", F.spark_partition_id())), edges_pending=False, layout=Layout("given", partitions))
         pid = place(strategy, partitions) if isinstance(strategy, str) else strategy
         rows = self.edges.withColumn("pid", pid.cast("int"))
         rows = rows.repartitionById(partitions, "pid").sortWithinPartitions("pid", "src")
@@ -243,14 +260,7 @@ def send_and_fold(
     rows = g.joined(t, eliminate, edges)
     if fresh and active is not None and access == "scan":
         rows = _fresh(rows, active, fresh)
-    if down is not None and up is not None:
-        rows = rows.select(F.explode(F.array(F.struct(F.col("dst").alias("id"), down.alias("msg")), F.struct(F.col("src").alias("id"), up.alias("msg")))).alias("m")).select("m.id", "m.msg")
-    else:
-        rows = rows.select(F.col("dst" if down is not None else "src").alias("id"), (down if down is not None else up).alias("msg"))
-    if several:
-        rows = rows.select("id", F.explode("msg").alias("msg"))
-    how = FOLDS[fold] if isinstance(fold, str) else fold
-    return rows.where("msg IS NOT NULL").groupBy("id").agg(how(F.col("msg")).alias("msg"))
+    return messages(rows, down, up, FOLDS[fold] if isinstance(fold, str) else fold, several)
 
 
 def _fresh(edges: DataFrame, active: DataFrame, fresh: str) -> DataFrame:

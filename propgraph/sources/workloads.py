@@ -23,13 +23,19 @@ def tagged(key: str, kind: str) -> Column:
 
 
 def visits(spark: SparkSession, d: str) -> PropertyGraph:
-    """Users; from each event's user to the next one's of the day. Days keep the ordering window small."""
-    ev = table(spark, d, "events")
-    w = Window.partitionBy(F.to_date("ts")).orderBy("ts", "event_id")
-    e = ev.select(F.col("user_id").alias("src"), F.lead("user_id").over(w).alias("dst"), "ts").where("dst IS NOT NULL AND src != dst")
-    e = e.groupBy("src", "dst").agg(F.count("*").alias("n"), F.min("ts").alias("first_ts"), F.max("ts").alias("last_ts"))
-    v = ev.groupBy(F.col("user_id").alias("id")).agg(F.count("*").alias("n_events"), F.sum("value").alias("sum_value"))
-    return PropertyGraph.build(v, e)
+    """Users; from each event's user to the next one's of the day.
+
+    Events are put in order within a minute; a minute's last event goes to the first one of the day's next
+    minute that has any, found among one row a minute, so that no task orders a whole day's events."""
+    ev = table(spark, d, "events").select("user_id", "ts", "event_id", F.to_date("ts").alias("day"), F.date_trunc("minute", "ts").alias("minute"))
+    w = Window.partitionBy("day", "minute").orderBy("ts", "event_id")
+    first = ev.groupBy("day", "minute").agg(F.min(F.struct("ts", "event_id", "user_id"))["user_id"].alias("head"))
+    after = first.select("day", "minute", F.lead("head").over(Window.partitionBy("day").orderBy("minute")).alias("_next"))
+    rows = ev.select("day", "minute", F.col("user_id").alias("src"), F.lead("user_id").over(w).alias("_within"), "ts")
+    rows = rows.join(after, ["day", "minute"]).withColumn("dst", F.coalesce("_within", "_next"))
+    e = rows.where("dst IS NOT NULL AND src != dst").groupBy("src", "dst").agg(F.count("*").alias("n"), F.min("ts").alias("first_ts"), F.max("ts").alias("last_ts"))
+    v = table(spark, d, "events").groupBy(F.col("user_id").alias("id")).agg(F.count("*").alias("n_events"), F.sum("value").alias("sum_value"))
+    return PropertyGraph.build(v, e, check=False)
 
 
 VISITS_E = """SELECT src, dst, count(*) AS n, min(ts) AS first_ts, max(ts) AS last_ts FROM (SELECT user_id AS src,
@@ -153,6 +159,12 @@ def targets(spark: SparkSession, d: str) -> PropertyGraph:
     return PropertyGraph.build(v, e, merge={"name": F.min, "crawled": F.max, "n_copies": F.sum}, default={"crawled": F.lit(False), "n_copies": F.lit(0)})
 
 
+_CLEAN = r"lower(regexp_replace(url, '^https?://(www\.|m\.)?|[?#].*$|/$', '', 'g'))"
+TARGETS_COUNTS = f"""WITH p AS (SELECT DISTINCT page_id, {_CLEAN} AS name, html FROM pages), k AS (SELECT DISTINCT name FROM p),
+t AS (SELECT DISTINCT string_split(name, '/')[1] || '/' || href AS name FROM (SELECT name, unnest(regexp_extract_all(html, 'href="/([^"]*)"', 1)) AS href FROM p) q)
+SELECT (SELECT count(*) FROM (SELECT name FROM k UNION SELECT name FROM t) u) AS vertices, (SELECT count(*) FROM k) AS crawled, (SELECT count(DISTINCT (page_id, name)) FROM p) AS copies"""
+
+
 def nearest(spark: SparkSession, d: str, k: int = 3) -> PropertyGraph:
     """Vectors linked to their k nearest by cosine among all vectors."""
     v = table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), "embedding", "label")

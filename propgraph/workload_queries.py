@@ -10,6 +10,8 @@ from .operators import algorithms as alg
 from .operators import baselines, graph, pages, relational
 from .operators.graph import PropertyGraph
 from .operators.loops import Trace
+from .operators.scans import ClusteredEdges
+from .operators.sites import kept
 from .plans.placement import place, place_sql, routing
 from .sources import files
 from .sources import workloads as w
@@ -259,34 +261,101 @@ SELECT 'none' AS shape, 0::BIGINT AS shipped UNION ALL SELECT 'src', count(*) FR
 UNION ALL SELECT 'both', (SELECT count(*) FROM (SELECT DISTINCT src, pid FROM e) a) + (SELECT count(*) FROM (SELECT DISTINCT dst, pid FROM e) b)"""
 
 
-def component_trace(spark: SparkSession, d: str) -> DataFrame:
-    """round, active, edges touched and replicas shipped of every round of components on baskets."""
-    g = w.baskets(spark, d)
-    pairs = g.edges.select("src", "dst")
-    routes = measures.routes_of(pairs.distinct(), "grid", 16)
-    rows = []
-    labels = g.vertices.select("id", F.col("id").alias("label"))
-    active = labels.select("id")
-    from .operators.loops import kept
-
-    pairs, labels, number = kept(pairs), kept(labels), 0
-    while True:
-        number += 1
-        near = graph._fresh(pairs, active, "either") if number > 1 else pairs
-        rows.append((number, active.count(), near.count(), measures.shipped(routes, active).first()[0], measures.shipped(routes, labels).first()[0]))
-        now = PropertyGraph(labels, near, g.layout)
-        sent = graph.send_and_fold(now, lambda t: F.when(t.src["label"] < t.dst["label"], t.src["label"]), lambda t: F.when(t.dst["label"] < t.src["label"], t.dst["label"]), "min")
+def shipping_trace(spark: SparkSession, d: str) -> DataFrame:
+    """Of each round of components over a vertex cut: vertices changed before it, copies shipped for them, and copies shipped if all were."""
+    out = []
+    for name, make in (("baskets", w.baskets), ("visits", w.visits)):
+        g, traces = make(spark, d), []
+        for incremental in (True, False):
+            traces.append(Trace())
+            alg.components(g, trace=traces[-1], incremental=incremental, partitions=16)
+        out += [(name, x["round"], x["active"], x["shipped"], y["shipped"]) for x, y in zip(*(t.rounds for t in traces), strict=True)]
+    return spark.createDataFrame(out, "graph string, round long, active long, shipped long, shipped_full long")
+
+
+def _rounds_sql(e: str) -> str:
+    """cc(round, id, label, moved): the labels before each round, and which of them the round before changed."""
+    return f"""e AS MATERIALIZED (SELECT src, dst FROM ({e}) x0), v AS MATERIALIZED (SELECT src AS id FROM e UNION SELECT dst FROM e),
+b AS MATERIALIZED (SELECT src AS a, dst AS b FROM e UNION SELECT dst, src FROM e),
+cc AS (SELECT 0::BIGINT AS round, id, id AS label, true AS moved FROM v
+  UNION ALL SELECT c.round + 1, c.id, least(c.label, coalesce(m.l, c.label)), coalesce(m.l < c.label, false) FROM cc c
+  LEFT JOIN (SELECT b.b AS id, min(x.label) AS l FROM cc x JOIN b ON b.a = x.id GROUP BY b.b) m ON m.id = c.id WHERE (SELECT bool_or(moved) FROM cc))"""
+
+
+def shipping_sql(name: str, e: str) -> str:
+    return f"""SELECT * FROM (WITH RECURSIVE {_rounds_sql(e)},
+k AS MATERIALIZED (SELECT id, count(*) AS copies FROM (SELECT DISTINCT id, pid FROM (SELECT src AS id, {place_sql("grid", 16)} AS pid FROM e UNION ALL SELECT dst, {place_sql("grid", 16)} FROM e) z) y GROUP BY id)
+SELECT '{name}' AS graph, round + 1 AS round, count(*) FILTER (moved) AS active, coalesce(sum(copies) FILTER (moved), 0)::BIGINT AS shipped, sum(copies)::BIGINT AS shipped_full
+FROM cc JOIN k ON k.id = cc.id GROUP BY round HAVING bool_or(moved)) q"""
+
+
+def scan_choice(spark: SparkSession, d: str) -> DataFrame:
+    """Of each round of components on baskets: active vertices, the access chosen, edge rows it reads, edges with an active end."""
+    pairs = w.baskets(spark, d).edges.select("src", "dst")
+    labels = kept(pairs.select(F.explode(F.array("src", "dst")).alias("id")).distinct().withColumn("label", F.col("id")))
+    store, n = ClusteredEdges(pairs), labels.count()
+    active, n_active, rows = None, n, []
+    while n_active:
+        near, how, read = store.scan(active, n_active, n)
+        near = kept(near)
+        rows.append((len(rows) + 1, n_active, how, read, near.count()))
+        sent = graph.send_and_fold(PropertyGraph(labels, near, graph.Layout()), lambda t: F.when(t.src["label"] < t.dst["label"], t.src["label"]), lambda t: F.when(t.dst["label"] < t.src["label"], t.dst["label"]), "min")
         new = kept(labels.join(sent, "id", "left").select("id", F.least("label", F.coalesce("msg", "label")).alias("label"), F.col("msg").isNotNull().alias("moved")))
         labels, active = new.drop("moved"), new.where("moved").select("id")
-        if not active.limit(1).count():
-            break
-    return spark.createDataFrame(rows, "round long, active long, edges_touched long, shipped long, shipped_full long")
+        n_active = active.count()
+    store.drop()
+    return spark.createDataFrame(rows, "round long, active long, access string, rows_read long, edges_touched long")
+
+
+def _cluster_sql(x: str) -> str:
+    return place_sql("source", 64, src=x)
+
+
+SCAN_CHOICE = f"""WITH RECURSIVE {_rounds_sql(w.BASKETS_E)},
+a AS MATERIALIZED (SELECT round, id FROM cc WHERE moved), c AS MATERIALIZED (SELECT DISTINCT round, {_cluster_sql("id")} AS c FROM a),
+n AS (SELECT round, count(*) AS active FROM a GROUP BY round),
+s AS (SELECT round, count(*) AS k FROM c JOIN e ON c = {_cluster_sql("src")} GROUP BY round), t AS (SELECT round, count(*) AS k FROM c JOIN e ON c = {_cluster_sql("dst")} GROUP BY round),
+m AS (SELECT n.round, count(*) AS k FROM n, e WHERE EXISTS (SELECT 1 FROM a WHERE a.round = n.round AND a.id = e.src) OR EXISTS (SELECT 1 FROM a WHERE a.round = n.round AND a.id = e.dst) GROUP BY n.round)
+SELECT n.round + 1 AS round, active, CASE WHEN active < 0.8 * (SELECT count(*) FROM v) THEN 'index' ELSE 'scan' END AS access,
+  CASE WHEN active < 0.8 * (SELECT count(*) FROM v) THEN s.k + t.k ELSE (SELECT count(*) FROM e) END AS rows_read, m.k AS edges_touched
+FROM n JOIN s ON s.round = n.round JOIN t ON t.round = n.round JOIN m ON m.round = n.round"""
 
 
 def rank_trace(spark: SparkSession, d: str) -> DataFrame:
+    """How many ranks each round moves by more than 1e-4, until none does."""
     t = Trace()
-    alg.pagerank(w.visits(spark, d), 100, tol=1e-4, trace=t)
-    return spark.createDataFrame([(r["round"], r["active"]) for r in t.rounds], "round long, active long")
+    alg.pagerank(w.visits(spark, d), 60, tol=1e-4, trace=t)
+    return spark.createDataFrame([(r["round"], r["changed"]) for r in t.rounds], "round long, active long")
+
+
+def rank_trace_sql(rounds: int = 60) -> str:
+    moves = "\nUNION ALL ".join(f"SELECT {i}::BIGINT AS round, count(*) FILTER (abs(b.pr - a.pr) > 1e-4) AS active FROM r{i - 1} a JOIN r{i} b ON a.id = b.id" for i in range(1, rounds + 1))
+    return ranks_sql(V, E1, rounds, f"SELECT round, active FROM (SELECT *, coalesce(min(active) OVER (ORDER BY round ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 1) AS before FROM ({moves}) m) q WHERE before > 0")
+
+
+def message_traffic(spark: SparkSession, d: str) -> DataFrame:
+    """What one full round moves between 16 partitions: messages over an edge cut, as they are or combined, and vertex copies over a vertex cut."""
+    pairs = kept(_supply_pairs(spark, d))
+    g = PropertyGraph.from_edges(pairs)
+    rows = [(f"edge cut, combined {c}", baselines.edge_cut_pagerank(g, 1, c)[1][0]["across"]) for c in (False, True)]
+    ends = measures.shape_traffic(pairs.withColumn("pid", place("grid", 16))).where("shape = 'src'").first()["shipped"]
+    return spark.createDataFrame([*rows, ("vertex cut, sources", ends)], "way string, moved long")
+
+
+def placed_fold(spark: SparkSession, d: str) -> DataFrame:
+    """Degrees over edges placed by a function of both ends; the sums by partition and in all are the same as without placement."""
+    g = w.supply(spark, d).place_edges((F.col("src") + F.col("dst")) % 8, 8)
+    return g.edges.groupBy("pid").agg(F.count("*").alias("edges"), F.count_distinct("dst").alias("targets"))
+
+
+def geo_counts(spark: SparkSession, d: str) -> DataFrame:
+    """How many places of each kind belong to each place, directly."""
+    t = w.geo(spark, d).triplets(["kind"], ["kind", "name"])
+    return t.groupBy(F.col("dst").alias("id"), F.col("dst__name").alias("name"), F.col("src__kind").alias("kind")).agg(F.count("*").alias("n"))
+
+
+def simplified(spark: SparkSession, d: str) -> DataFrame:
+    return w.supply(spark, d).simplify(n=F.count("*"), quantity=F.round(F.sum("quantity"), 4)).edges.select("src", "dst", "n", "quantity")
 
 
 def varints(spark: SparkSession, d: str) -> DataFrame:
@@ -345,13 +414,18 @@ QUERIES = {
     "pagerank_classic": _pr(w.visits, via="classic"),
     "pagerank_no_reuse": _pr(w.visits, reuse=False),
     "pagerank_dataflow": lambda s, d: baselines.dataflow_pagerank(w.visits(s, d).edges, 20).select("id", F.round("pr", 6).alias("pr")),
-    "pagerank_edge_cut": lambda s, d: baselines.edge_cut_supersteps(w.visits(s, d), 20, combine=True).select("id", F.round("pr", 6).alias("pr")),
+    "pagerank_no_elimination": _pr(w.visits, via="operators", eliminate=False),
+    "pagerank_edge_cut": lambda s, d: baselines.edge_cut_pagerank(w.visits(s, d), 20)[0].select("id", F.round("pr", 6).alias("pr")),
+    "pagerank_edge_cut_combined": lambda s, d: baselines.edge_cut_pagerank(w.visits(s, d), 20, combine=True)[0].select("id", F.round("pr", 6).alias("pr")),
     "pagerank_active_trace": rank_trace,
     "components_baskets": lambda s, d: alg.components(w.baskets(s, d)),
     "components_copies": lambda s, d: alg.components(w.copies(s, d)),
     "components_turns": lambda s, d: alg.components(w.turns(s, d)),
     "components_stars": lambda s, d: alg.components(w.baskets(s, d), via="stars"),
     "components_dataflow": lambda s, d: baselines.dataflow_components(w.baskets(s, d).edges),
+    "components_edge_cut": lambda s, d: baselines.edge_cut_components(w.baskets(s, d))[0],
+    "components_full_shipping": lambda s, d: alg.components(w.baskets(s, d), incremental=False),
+    "components_source_placement": lambda s, d: alg.components(w.baskets(s, d), strategy="source"),
     "components_scan_all": lambda s, d: alg.components(w.baskets(s, d), fresh=None),
     "components_out_flag_fixture": out_flag_fixture,
     "senior_neighbours": senior,
@@ -383,7 +457,12 @@ QUERIES = {
     "replication_by_strategy": _all_of(measures.replication, BY_STRATEGY),
     "communication_by_p": _all_of(measures.replication, BY_P),
     "partition_balance": _all_of(measures.balance, [*BY_STRATEGY, ("grid", 64)]),
-    "delta_shipping_trace": component_trace,
+    "delta_shipping_trace": shipping_trace,
+    "scan_choice_trace": scan_choice,
+    "message_traffic": message_traffic,
+    "place_function": placed_fold,
+    "geo_counts": geo_counts,
+    "simplify_edges": simplified,
     "join_elimination_traffic": traffic,
     "varint_sizes": varints,
     "packing_ratio": packing_ratio,
@@ -400,12 +479,13 @@ SELECT id, count(*) AS elders FROM (SELECT dst AS id FROM t WHERE x > y UNION AL
 _DEG = {"in": f"SELECT dst AS id, count(*) AS degree FROM ({w.SUPPLY_E}) x GROUP BY dst", "out": f"SELECT src AS id, count(*) AS degree FROM ({w.SUPPLY_E}) x GROUP BY src"}
 _DEG["total"] = f"SELECT id, sum(degree)::BIGINT AS degree FROM ({_DEG['in']} UNION ALL {_DEG['out']}) q GROUP BY id"
 ORACLES = {
-    **{k: VISITS_RANKS for k in ("pagerank_20", "pagerank_gas", "pagerank_supersteps", "pagerank_operators", "pagerank_classic", "pagerank_no_reuse", "pagerank_dataflow", "pagerank_edge_cut")},
+    **{k: VISITS_RANKS for k in ("pagerank_20", "pagerank_gas", "pagerank_supersteps", "pagerank_operators", "pagerank_classic", "pagerank_no_reuse", "pagerank_dataflow", "pagerank_edge_cut", "pagerank_edge_cut_combined", "pagerank_no_elimination")},
     "pagerank_weblinks": ranks_sql(w.WEB_V, f"SELECT src, dst FROM ({w.WEB_E}) z", 20),
     "pagerank_supply": ranks_sql(f"SELECT id FROM ({w.SUPPLY_V}) v0", f"SELECT src, dst FROM ({w.SUPPLY_E}) a UNION ALL SELECT dst, src FROM ({w.SUPPLY_E}) b", 10),
     "pagerank_tol": VISITS_60,
     "pagerank_delta": VISITS_60,
-    **{k: BASKETS_CC for k in ("components_baskets", "components_stars", "components_dataflow", "components_scan_all")},
+    "pagerank_active_trace": rank_trace_sql(),
+    **{k: BASKETS_CC for k in ("components_baskets", "components_stars", "components_dataflow", "components_scan_all", "components_edge_cut", "components_full_shipping", "components_source_placement")},
     "components_copies": components_sql("SELECT doc_id AS id FROM documents", w.COPIES_E),
     "components_turns": components_sql(w.TURNS_V, w.TURNS_E),
     "components_out_flag_fixture": "SELECT * FROM (VALUES (1::BIGINT, 1::BIGINT, 1::BIGINT), (4, 1, 1), (5, 1, 4), (6, 1, 1)) t(id, either_end, source_only)",
@@ -434,6 +514,16 @@ ORACLES = {
     "communication_by_p": _replication_sql(BY_P),
     "partition_balance": balances_sql([*BY_STRATEGY, ("grid", 64)]),
     "join_elimination_traffic": TRAFFIC,
+    "delta_shipping_trace": shipping_sql("baskets", w.BASKETS_E) + "\nUNION ALL " + shipping_sql("visits", w.VISITS_E),
+    "scan_choice_trace": SCAN_CHOICE,
+    "message_traffic": f"""WITH m AS (SELECT {place_sql("source", 16)} AS a, {place_sql("source", 16, src="dst")} AS b, dst, src, {place_sql("grid", 16)} AS pid FROM ({SUPPLY_PAIRS}) q)
+SELECT 'edge cut, combined False' AS way, count(*) AS moved FROM m WHERE a <> b UNION ALL SELECT 'edge cut, combined True', count(*) FROM (SELECT DISTINCT a, dst FROM m WHERE a <> b) x UNION ALL SELECT 'vertex cut, sources', count(*) FROM (SELECT DISTINCT src, pid FROM m) y""",
+    "place_function": f"SELECT ((src + dst) % 8)::INT AS pid, count(*) AS edges, count(DISTINCT dst) AS targets FROM ({w.SUPPLY_E}) e GROUP BY 1",
+    "geo_counts": """SELECT n_nationkey * 16 + 4 AS id, n_name AS name, 'customer' AS kind, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY n_nationkey, n_name
+  UNION ALL SELECT n_nationkey * 16 + 4, n_name, 'supplier', count(*) FROM supplier JOIN nation ON s_nationkey = n_nationkey GROUP BY n_nationkey, n_name
+  UNION ALL SELECT r_regionkey * 16 + 5, r_name, 'nation', count(*) FROM nation JOIN region ON n_regionkey = r_regionkey GROUP BY r_regionkey, r_name""",
+    "simplify_edges": f"SELECT src, dst, count(*) AS n, round(sum(quantity), 4) AS quantity FROM ({w.SUPPLY_E}) e GROUP BY src, dst",
+    "build_targets": w.TARGETS_COUNTS,
     "varint_sizes": f"SELECT side, count(*) AS n, sum({_VAR})::BIGINT AS bytes, count(*) * 8 AS fixed_bytes FROM (SELECT 'src' AS side, src AS id FROM ({w.SUPPLY_E}) a UNION ALL SELECT 'dst', dst FROM ({w.SUPPLY_E}) b) q GROUP BY side",
     "top20_pages": TOP20,
     "pipeline_handoff": TOP20,
