@@ -109,3 +109,31 @@ def job_traffic(placed: DataFrame, rounds: int, shape: JoinShape) -> DataFrame:
 
 def routes_of(edges: DataFrame, strategy: str, p: int) -> DataFrame:
     return routing(edges.withColumn("pid", place(strategy, p)))
+
+
+def cached_bytes(*frames: DataFrame) -> int:
+    """Bytes that the frames take in Spark's cache, which they leave again."""
+    spark = frames[0].sparkSession
+
+    def used() -> int:
+        return sum(x.memSize() + x.diskSize() for x in spark.sparkContext._jsc.sc().getRDDStorageInfo())
+
+    before = used()
+    for df in frames:
+        df.persist().count()
+    got = used() - before
+    for df in frames:
+        df.unpersist(True)
+    return got
+
+
+def layout_bytes(vertices: DataFrame, edges: DataFrame, results: int = 2) -> dict[str, int]:
+    """Cache for `results` graphs that differ in vertex columns only, with one set of edges for all or one each."""
+    v, e = cached_bytes(vertices.select("id")), cached_bytes(edges.select("src", "dst"))
+    return {"shared": results * v + e, "own": results * (v + e)}
+
+
+def scaling(seconds: dict[int, float]) -> dict[int, float]:
+    """Speed-up over the least number of cores, from seconds by cores."""
+    one = seconds[min(seconds)]
+    return {k: one / s for k, s in sorted(seconds.items())}

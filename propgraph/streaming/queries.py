@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, StructField, StructType
 
 from ..operators.algorithms import components
 from ..operators.graph import PropertyGraph
+from ..sources.shared import shared_path
 
 
 def event_stream(spark: SparkSession, d: str, per_trigger: int = 1) -> DataFrame:
@@ -21,13 +20,29 @@ def event_stream(spark: SparkSession, d: str, per_trigger: int = 1) -> DataFrame
 
 
 def drained(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Runs a stream over all that is there and returns its result table."""
+    """Runs a stream over all that is there and returns its result, a table in shared storage.
+
+    Each batch writes a folder of its own, so that a repeated batch leaves no row twice; of a complete
+    result the last batch's folder is the whole."""
     spark = stream.sparkSession
-    name = f"drained_{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="propgraph-")
-    q.option("checkpointLocation", f"{base}/{name}").start().awaitTermination()
-    return spark.table(name)
+    base = shared_path(spark, "stream")
+    stream.sparkSession.createDataFrame([], stream.schema).write.parquet(f"{base}/rows/batch=-1")
+
+    def keep(rows: DataFrame, batch: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{base}/rows/batch={batch}")
+
+    q = stream.writeStream.foreachBatch(keep).outputMode(mode).trigger(availableNow=True)
+    q.option("checkpointLocation", f"{base}/progress").start().awaitTermination()
+    rows = spark.read.schema(StructType([*stream.schema.fields, StructField("batch", IntegerType())])).option("basePath", f"{base}/rows").parquet(f"{base}/rows")
+    if mode == "complete":
+        rows = rows.join(F.broadcast(rows.agg(F.max("batch").alias("batch"))), "batch")
+    return rows.drop("batch")
+
+
+def late_counts(stream: DataFrame, delay: str = "10 minutes", size: str = "1 hour") -> DataFrame:
+    """begin, n: closed windows only, each given once; events later than the watermark allows aren't counted."""
+    rows = stream.withWatermark("at", delay).groupBy(F.window("at", size).alias("w")).agg(F.count("*").alias("n"))
+    return drained(rows, "append").select(F.col("w.start").cast("timestamp_ntz").alias("begin"), "n")
 
 
 def _windowed(window) -> object:

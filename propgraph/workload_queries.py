@@ -15,6 +15,7 @@ from .operators.sites import kept
 from .plans.placement import place, place_sql, routing
 from .sources import files
 from .sources import workloads as w
+from .sources.shared import shared_path
 from .streaming import queries as streams
 
 
@@ -375,10 +376,7 @@ TOP20 = ranks_sql(w.WEB_V, f"SELECT src, dst FROM ({w.WEB_E}) z", 20, """SELECT
 
 
 def roundtrip(spark: SparkSession, d: str) -> DataFrame:
-    import tempfile
-    import uuid
-
-    path = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp(prefix='propgraph-')}/graph-{uuid.uuid4().hex}"
+    path = shared_path(spark, "graph")
     files.save(w.supply(spark, d), path)
     g = files.load(spark, path)
     return g.vertices.groupBy("kind").agg(F.count("*").alias("vertices")).join(g.triplets([], ["kind"]).groupBy(F.col("dst__kind").alias("kind")).agg(F.count("*").alias("edges")), "kind", "left")

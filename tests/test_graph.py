@@ -124,6 +124,22 @@ def test_build(spark):
         g.map_vertices(id=F.lit(1))
 
 
+def test_repeated_ids(spark):
+    g = PropertyGraph.from_edges(edges(spark, [(1, 2), (3, 2)]))
+    twice = frame(spark, [(1, 5), (1, 7), (2, 9), (None, 3)], "id long, x int")
+    for op in (g.attach, g.keep_matching):
+        with pytest.raises(GraphError):
+            op(twice)
+    assert {r["id"]: r["x"] for r in g.attach(twice, merge={"x": F.max}).vertices.collect()} == {1: 7, 2: 9, 3: None}
+    k = g.keep_matching(twice, merge={"x": F.max})
+    assert {r["id"]: r["x"] for r in k.vertices.collect()} == {1: 7, 2: 9} and pairs(k.edges) == [(1, 2)]
+    # rows that only say which ids match may repeat
+    k = g.keep_matching(twice.select("id"))
+    assert ids(k.vertices) == [1, 2] and as_dict(send_and_fold(k, lambda t: F.lit(1))) == {2: 1}
+    with pytest.raises(GraphError):
+        PropertyGraph.build(twice.where("id IS NOT NULL"), edges(spark, [(1, 2)]))
+
+
 def test_restrict_and_match(spark):
     g = PropertyGraph.from_edges(edges(spark, [(1, 2), (2, 3), (3, 4)]))
     r = g.restrict("id != 2")
@@ -189,6 +205,160 @@ def test_sets_of_graphs(spark):
     assert pairs(intersect(g, h).edges) == [(2, 3)] and pairs(difference(g, h).edges) == [(1, 2)]
 
 
+def test_edges_stay_in_a_round(spark):
+    """Within a round only vertex rows and folds are exchanged: one Exchange by source, two over a vertex cut."""
+    from propgraph.operators.loops import loop_scope
+    from propgraph.operators.sites import FRESH, SourceSite, VertexCut, by_key, messages
+
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        with loop_scope(spark):
+            e = edges(spark, [(i, (i * 7 + 3) % 40) for i in range(40)])
+            state = by_key(PropertyGraph.from_edges(e).vertices.select("id", F.col("id").alias("x"), F.lit(True).alias(FRESH)), "id")
+            plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+            (down,), t = record(lambda t: t.src["x"])
+            site = SourceSite(e)
+            one = plan(state.join(messages(site.joined(t, state, "src"), down, None, F.sum), "id", "left"))
+            assert one.count("Exchange") == 1, one
+            (down, up), t = record(lambda t: t.src["x"], lambda t: t.dst["x"])
+            cut = VertexCut(e, "grid", 4)
+            view = cut.refresh(state, ["x"], ("src", "dst"))
+            two = plan(state.join(messages(cut.joined(t, view, "either", "index"), down, up, F.min), "id", "left"))
+            assert two.count("Exchange") == 1, two
+            assert plan(cut.ship(state, ("src", "dst"))).count("Exchange") == 1
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_traces(spark):
+    """Active vertices a round, as a plain simulation gave them."""
+    from propgraph.sources import workloads
+
+    d, t = "/root/testdata/sf0.01", Trace()
+    alg.components(workloads.baskets(spark, d), trace=t, partitions=16)
+    assert [r["active"] for r in t.rounds] == [2481, 1436, 143, 54, 8, 3]
+    assert all(a["shipped"] >= b["shipped"] for a, b in zip(t.rounds, t.rounds[1:], strict=False))
+    t = Trace()
+    alg.pagerank(workloads.visits(spark, d), 60, tol=1e-4, trace=t)
+    assert [r["changed"] for r in t.rounds] == [150, 149, 131, 21, 0]
+
+
+@pytest.mark.parametrize("strategy", ["grid", "source", "target", "pair", "pair_undirected"])
+def test_vertex_cut_of_any_placement(spark, strategy):
+    rows = sorted({(i, (i * i + 1) % 31) for i in range(31)} | {(i, (i * 3) % 31) for i in range(0, 31, 2)})
+    g = PropertyGraph.from_edges(edges(spark, rows))
+    want = baselines.local_components(rows)
+    for incremental in (True, False):
+        for p in (1, 3, 16):
+            assert as_dict(alg.components(g, strategy=strategy, partitions=p, incremental=incremental)) == want
+
+
+def test_scatter_writes_edges_where_they_lie(spark):
+    from propgraph.operators.loops import run_gas
+
+    g = PropertyGraph.build(frame(spark, [(1, 1.0), (2, 2.0), (3, 4.0)], "id long, x double"), frame(spark, [(1, 2, 0.0), (2, 3, 0.0), (1, 3, 0.0)], "src long, dst long, w double"))
+    out = run_gas(g, lambda t: t.src["x"] + t.edge["w"], lambda m: {"x": F.coalesce(m, F.lit(0.0))}, lambda t: {"w": t.src["x"] - t.dst["x"]}, max_rounds=2)
+    x = {1: 1.0, 2: 2.0, 3: 4.0}
+    w = dict.fromkeys([(1, 2), (2, 3), (1, 3)], 0.0)
+    for _ in range(2):
+        x = {v: sum(x[s] + w[s, d] for s, d in w if d == v) for v in x}
+        w = {(s, d): x[s] - x[d] for s, d in w}
+    assert as_dict(out.vertices) == x and {(r["src"], r["dst"]): r["w"] for r in out.edges.collect()} == w
+
+
+def test_edge_cut_messages(spark):
+    rows = [(1, 2), (3, 2), (5, 2), (2, 4), (4, 1)]
+    g = PropertyGraph.from_edges(edges(spark, rows))
+    for combine in (False, True):
+        ranks, trace = baselines.edge_cut_pagerank(g, 3, combine, p=4)
+        assert as_dict(ranks) == pytest.approx(baselines.local_pagerank(rows, 3)) and len(trace) == 3
+        assert trace[0]["messages"] <= len(rows) and trace[0]["across"] <= trace[0]["messages"]
+        labels, _ = baselines.edge_cut_components(g, combine, p=4)
+        assert as_dict(labels) == baselines.local_components(rows)
+    assert baselines.edge_cut_pagerank(g, 1, False, p=4)[1][0]["messages"] == len(rows)
+
+
+def test_index_scan_reads_clusters_of_active_vertices(spark):
+    from propgraph.operators.scans import ClusteredEdges
+
+    rows = [(i, (i * 5 + 1) % 50) for i in range(50)]
+    store = ClusteredEdges(edges(spark, rows), 8)
+    active = frame(spark, [(3,), (11,)], "id long")
+    for fresh, test in (("src", lambda a, b: a in (3, 11)), ("dst", lambda a, b: b in (3, 11)), ("either", lambda a, b: a in (3, 11) or b in (3, 11)), ("both", lambda a, b: a in (3, 11) and b in (3, 11))):
+        want = sorted(r for r in rows if test(*r))
+        for n in (50, 2):
+            got, how, read = store.scan(active, 2, n, fresh)
+            assert pairs(got) == want and how == ("index" if n == 50 else "scan")
+            assert read < 50 or how == "scan" or fresh in ("either", "both")
+    store.drop()
+
+
+def test_several_messages_and_simplify(spark):
+    g = PropertyGraph.build(frame(spark, [(1, 2), (2, 3)], "id long, x int"), frame(spark, [(1, 2, 5), (1, 2, 6), (2, 2, 1)], "src long, dst long, w int"))
+    assert as_dict(send_and_fold(g, lambda t: F.array(t.src["x"], t.edge["w"]), several=True)) == {2: 2 + 5 + 2 + 6 + 3 + 1}
+    assert pairs(g.simplify().edges) == [(1, 2)] and pairs(g.simplify(loops=True).edges) == [(1, 2), (2, 2)]
+    assert {(r["src"], r["dst"]): r["w"] for r in g.simplify(w=F.sum("w")).edges.collect()} == {(1, 2): 11}
+
+
+def test_placed_edges_lie_by_partition(spark):
+    g = PropertyGraph.from_edges(edges(spark, [(i, i + 1) for i in range(30)]))
+    placed = g.place_edges((F.col("src") + F.col("dst")) % 3, 3)
+    got = placed.edges.withColumn("at", F.spark_partition_id()).select("pid", "at").distinct().collect()
+    assert sorted((r["pid"], r["at"]) for r in got) == [(0, 0), (1, 1), (2, 2)] and placed.layout.strategy == "function"
+    given = PropertyGraph.from_edges(edges(spark, [(i, i + 1) for i in range(30)]).repartition(3)).place_edges("given", 3)
+    assert given.edges.select("pid").distinct().count() == 3 and given.edges.count() == 30
+
+
+def test_files_and_edge_lists(spark, tmp_path):
+    from propgraph.sources import files
+
+    g = PropertyGraph.build(frame(spark, [(1, "a"), (2, "b")], "id long, name string"), edges(spark, [(1, 2), (2, 1)]))
+    files.save_bucketed(g, "bucketed_graph", 2)
+    h = files.load_bucketed(spark, "bucketed_graph")
+    assert sorted(h.vertices.collect()) == sorted(g.vertices.collect()) and pairs(h.edges) == pairs(g.edges)
+    for kind in ("vertices", "edges"):
+        spark.sql(f"DROP TABLE bucketed_graph_{kind}")
+    (tmp_path / "e.txt").write_text("# comment\n1 2\n  2\t3 \n\nx y\n-4 1\n")
+    assert pairs(files.read_edge_list(spark, str(tmp_path / "e.txt")).edges) == [(-4, 1), (1, 2), (2, 3)]
+
+
+def test_measures(spark):
+    a, b = (frame(spark, r, "id long, pr double") for r in ([(1, 1.0), (2, 3.0), (3, 2.0)], [(1, 1.5), (2, 3.0), (4, 1.0)]))
+    assert measures.l1_distance(a, b, "pr") == 0.5 + 2.0 + 1.0 and measures.max_abs_diff(a, b, "pr") == 0.5
+    assert measures.top_k_overlap(a, b, "pr", 2) == 0.5
+    e = frame(spark, HIDDEN, "src long, dst long, pid int")
+    one = measures.shape_traffic(e).where("shape = 'both'").first()["shipped"]
+    assert measures.job_traffic(e, 20, JoinShape.BOTH).first()["shipped"] == 20 * one
+    got = measures.timed(lambda: e, trials=3)
+    assert len(got["trials"]) == 3 and got["mean"] > 0 and got["sd"] >= 0
+    assert measures.scaling({1: 8.0, 4: 2.0}) == {1: 1.0, 4: 4.0}
+    size = measures.layout_bytes(PropertyGraph.from_edges(e).vertices, e)
+    assert 0 < size["shared"] < size["own"]
+    # by column the slowly rising sources compress better than by row
+    sums = measures.packing(frame(spark, [(i // 30, (i * 7919) % 1000) for i in range(5000)], "src long, dst long").coalesce(1)).first()
+    assert sums["n"] == 5000 and sums["columns_bytes"] < sums["rows_bytes"]
+
+
+def test_routing_bitmaps(spark):
+    from propgraph.plans.placement import routing_bitmaps
+
+    e = frame(spark, HIDDEN, "src long, dst long, pid int")
+    got = {r["pid"]: r["n"] for r in routing_bitmaps(e).groupBy("pid").agg(F.sum(F.bitmap_count("bitmap")).alias("n")).collect()}
+    assert got == {0: 3, 1: 4, 2: 4}
+
+
+def test_stream_upkeep_and_late_data(spark, tmp_path):
+    from propgraph.streaming import queries as streams
+
+    batches = [edges(spark, [(5, 4), (9, 8)]), edges(spark, [(4, 3)]), edges(spark, [(8, 3), (7, 6)])]
+    assert as_dict(streams.upkeep(batches)) == {3: 3, 4: 3, 5: 3, 8: 3, 9: 3, 6: 6, 7: 6}
+    for i, rows in enumerate([["2024-01-01 10:05:00", "2024-01-01 12:30:00"], ["2024-01-01 10:50:00", "2024-01-01 12:10:00"], ["2024-01-01 15:00:00"], ["2024-01-01 15:01:00"]]):
+        frame(spark, [(x,) for x in rows], "t string").select(F.col("t").cast("timestamp").alias("at")).coalesce(1).write.parquet(str(tmp_path / f"part{i}"))
+    stream = spark.readStream.schema("at timestamp").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(str(tmp_path))
+    # 10:50 comes after 12:30 less ten minutes was seen: it is too late; 12:10 isn't, its window is open
+    assert {str(r["begin"]): r["n"] for r in streams.late_counts(stream).collect()} == {"2024-01-01 10:00:00": 1, "2024-01-01 12:00:00": 2}
+
+
 def test_baselines_agree(spark):
     rows = [(i, (i * 7 + 3) % 40) for i in range(40)] + [(i, (i * i) % 40) for i in range(40)]
     rows = sorted({(a, b) for a, b in rows if a != b})
