@@ -140,13 +140,13 @@ class ByteGru:
         k = np.arange(len(text)) - np.repeat(np.cumsum(parts) - parts, parts)
         # a text's windows are of nearly the same length
         begin, end = off[text] + size[text] * k // parts[text], off[text] + size[text] * (k + 1) // parts[text]
-        y = np.empty((len(raw) + 1, n_labels), np.float32)
-        y[:] = self.p["bias"]
+        y = np.tile(self.p["bias"], (len(raw), 1))
         half = np.ones(3 * h, np.float32)
         half[: 2 * h] = 0.5  # the gates' sigmoid is half a tanh of half its argument, plus a half
         for d, out in (("f", self.p["out"][:h]), ("b", self.p["out"][h:])):
-            tab = (self.p["emb"] @ self.p[f"w{d}"] + self.p[f"c{d}"]) * half
-            u = np.ascontiguousarray(self.p[f"u{d}"] * half)
+            # features by windows, so that every operation runs along the windows
+            tab = np.ascontiguousarray(((self.p["emb"] @ self.p[f"w{d}"] + self.p[f"c{d}"]) * half).T)
+            u, out = np.ascontiguousarray((self.p[f"u{d}"] * half).T), np.ascontiguousarray(out.T)
             if d == "f":
                 first, step = np.maximum(off[text], begin - reach), 1
                 long, late = end - first, begin - first
@@ -154,29 +154,37 @@ class ByteGru:
                 first, step = np.minimum(off[text + 1], end + reach) - 1, -1
                 long, late = first - begin + 1, first - end + 1
             order = np.argsort(-long, kind="stable")
-            first, late = first[order], late[order]
-            still = np.searchsorted(-long[order], -np.arange(int(long.max(initial=0))), side="left")
-            s = np.zeros((len(order), h), np.float32)
-            for i, m in enumerate(still.tolist()):
-                at = first[:m] + step * i
-                x = tab[raw[at]]
-                v = s[:m]
-                p = v @ u
-                x[:, : 2 * h] += p[:, : 2 * h]
-                g = np.tanh(x[:, : 2 * h])
-                g += np.float32(1)
+            first, late, long = first[order], late[order], long[order]
+            steps = np.arange(int(long.max(initial=0)))
+            still = np.searchsorted(-long, -steps, side="left").tolist()
+            at = first + step * steps[:, None]
+            ids = raw[np.clip(at, 0, len(raw) - 1)]
+            got = np.empty((len(steps), n_labels, len(order)), np.float32)
+            s = np.zeros((h, len(order)), np.float32)
+            room_x, room_p = (np.empty(3 * h * len(order), np.float32) for _ in range(2))
+            for i, m in enumerate(still):
+                if m < s.shape[1]:
+                    s = np.ascontiguousarray(s[:, :m])
+                x, p = room_x[: 3 * h * m].reshape(3 * h, m), room_p[: 3 * h * m].reshape(3 * h, m)
+                np.take(tab, ids[i, :m], axis=1, out=x, mode="clip")
+                np.matmul(u, s, out=p)
+                g, c = x[: 2 * h], x[2 * h :]
+                g += p[: 2 * h]
+                np.tanh(g, out=g)
                 g *= np.float32(0.5)
-                p[:, 2 * h :] *= g[:, h:]
-                c = x[:, 2 * h :]
-                c += p[:, 2 * h :]
-                c = np.tanh(c)
-                c -= v
-                c *= g[:, :h]
-                v += c
-                # what lies before the window's first byte only warms the state; it is put where nothing is read
-                at[late[:m] > i] = len(raw)
-                y[at] += v @ out
-        y = y[:-1]
+                g += np.float32(0.5)
+                p[2 * h :] *= g[h:]
+                c += p[2 * h :]
+                np.tanh(c, out=c)
+                c -= s
+                c *= g[:h]
+                s += c
+                got[i, :, :m] = out @ s
+            # what lies before a window's first labelled byte has only warmed its state
+            read = (steps[:, None] >= late) & (steps[:, None] < long)
+            where = at[read]
+            for k in range(n_labels):
+                y[where, k] += got[:, k][read]
         y -= y.max(axis=1, keepdims=True)
         return y - np.log(np.exp(y).sum(axis=1, keepdims=True))
 
