@@ -352,11 +352,11 @@ def test_stream_upkeep_and_late_data(spark, tmp_path):
 
     batches = [edges(spark, [(5, 4), (9, 8)]), edges(spark, [(4, 3)]), edges(spark, [(8, 3), (7, 6)])]
     assert as_dict(streams.upkeep(batches)) == {3: 3, 4: 3, 5: 3, 8: 3, 9: 3, 6: 6, 7: 6}
-    for i, rows in enumerate([["2024-01-01 10:05:00", "2024-01-01 12:30:00"], ["2024-01-01 10:50:00", "2024-01-01 12:10:00"], ["2024-01-01 15:00:00"], ["2024-01-01 15:01:00"]]):
-        frame(spark, [(x,) for x in rows], "t string").select(F.col("t").cast("timestamp").alias("at")).coalesce(1).write.parquet(str(tmp_path / f"part{i}"))
+    for i, rows in enumerate([["10:05", "12:30"], ["12:40"], ["10:50", "12:10"], ["15:00"], ["15:01"]]):
+        frame(spark, [(f"2024-01-01 {x}:00",) for x in rows], "t string").select(F.col("t").cast("timestamp").alias("at")).coalesce(1).write.parquet(str(tmp_path / f"part{i}"))
     stream = spark.readStream.schema("at timestamp").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(str(tmp_path))
-    # 10:50 comes after 12:30 less ten minutes was seen: it is too late; 12:10 isn't, its window is open
-    assert {str(r["begin"]): r["n"] for r in streams.late_counts(stream).collect()} == {"2024-01-01 10:00:00": 1, "2024-01-01 12:00:00": 2}
+    # 10:50 comes when 12:30 less ten minutes has long been seen: it is too late; 12:10 isn't, its window is open
+    assert {str(r["begin"]): r["n"] for r in streams.late_counts(stream).collect()} == {"2024-01-01 10:00:00": 1, "2024-01-01 12:00:00": 3}
 
 
 def test_baselines_agree(spark):
