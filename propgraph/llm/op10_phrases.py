@@ -194,7 +194,9 @@ def repeated_strings(texts: DataFrame, matched: DataFrame) -> DataFrame:
                     yield _rows(["doc_id", "ver", "place"], x, y, q)
 
     asked = matched.where("NOT repeated").groupBy("doc_id", "ver").agg(F.collect_list("place").alias("places"))
-    rows = texts.join(asked, ["doc_id", "ver"]).select("doc_id", "ver", "text", "places").mapInArrow(emit, "w long, doc_id long, ver long, place long")
+    # a table, so that the shuffled texts are gone before the strings are shuffled
+    rows = written(texts.join(asked, ["doc_id", "ver"]).select("doc_id", "ver", "text", "places"), "asked-texts")
+    rows = rows.mapInArrow(emit, "w long, doc_id long, ver long, place long")
     route = F.when(F.col("place") < 0, F.xxhash64("doc_id", "place")).otherwise(F.col("w"))
     rows = rows.repartition(route).sortWithinPartitions("w", F.shiftright("place", 31), "doc_id")
     return rows.mapInArrow(find, "doc_id long, ver long, place long")
