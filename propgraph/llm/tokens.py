@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import json
 import re
-from itertools import chain
 
 import numpy as np
 
@@ -40,11 +39,12 @@ def word_pattern(spec: dict) -> tuple[str | None, bool]:
     last = steps[-1]
     if spec["model"]["type"] != "BPE" or last.get("type") != "ByteLevel" or last.get("add_prefix_space"):
         return None, False
-    if before is None and len(steps) == 1 and last.get("use_regex"):
+    ends = spec["model"].get("end_of_word_suffix") or None
+    if before is None and len(steps) == 1 and last.get("use_regex") and ends is None:
         return BYTE_WORDS, False
     same = kinds(before, "normalizers") == ["NFC", "Replace", "Lowercase"] and before["normalizers"][1]["pattern"] == {"Regex": r"\s+"} and before["normalizers"][1]["content"] == " "
     cut = len(steps) == 2 and steps[0].get("type") == "Split" and steps[0].get("pattern") == {"Regex": LOWER_SPLIT} and steps[0].get("behavior") == "Removed" and steps[0].get("invert")
-    return (LOWER_WORDS, True) if same and cut and not last.get("use_regex") else (None, False)
+    return (LOWER_WORDS, True) if same and cut and not last.get("use_regex") and ends == "</w>" else (None, False)
 
 
 class WordIds:
@@ -64,6 +64,10 @@ class WordIds:
         pattern, self.lower = word_pattern(spec)
         self.words = re.compile(pattern) if pattern else None
         self.added = [t["content"] for t in spec.get("added_tokens") or []]
+        # whether an id ends a lower-cased word, or starts a word after a space (which stands as U+0120)
+        self.edge = np.zeros(self.tok.get_vocab_size() + 1, bool)
+        for token, i in spec["model"].get("vocab", {}).items():
+            self.edge[i] = token.endswith("</w>") if self.lower else token[:1] == "\u0120"
         self.most = most
         self.clear()
 
@@ -75,20 +79,23 @@ class WordIds:
     def encoded(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """The ids of words, one after another, and how many each has.
 
-        Plain words are encoded many at a time: between spaces they stay pieces of their own."""
+        Plain words are encoded many at a time: between spaces they stay pieces of their own, and ids tell
+        where one ends (lower-cased) or starts (else)."""
         size = np.zeros(len(words), np.int64)
         plain = [i for i, w in enumerate(words) if (w if self.lower else w[1:]).isalpha() and (self.lower or w[0] == " ")]
         other = sorted(set(range(len(words))).difference(plain))
         groups = [plain[i : i + 500] for i in range(0, len(plain), 500)]
         texts = [(" " if self.lower else "").join([words[i] for i in g]) for g in groups]
         ids = []
-        for g, e in zip(groups, self.tok.encode_batch(texts, add_special_tokens=False), strict=True):
-            size[g] = np.bincount(e.word_ids, minlength=len(g))
-            ids.append(e.ids)
+        for g, e in zip(groups, self.tok.encode_batch_fast(texts, add_special_tokens=False), strict=True):
+            got = np.array(e.ids, np.uint32)
+            edge = np.flatnonzero(self.edge[got])
+            size[g] = np.diff(edge, prepend=-1) if self.lower else np.diff(edge, append=len(got))
+            ids.append(got)
         for i, e in zip(other, self.tok.encode_batch_fast([words[i] for i in other], add_special_tokens=False), strict=True):
             size[i] = len(e.ids)
-            ids.append(e.ids)
-        flat = np.fromiter(chain.from_iterable(ids), np.uint32, int(size.sum()))
+            ids.append(np.array(e.ids, np.uint32))
+        flat = np.concatenate(ids) if ids else np.zeros(0, np.uint32)
         order = np.array([*plain, *other], np.int64)
         place = np.empty(len(words), np.int64)
         place[order] = np.cumsum(size[order]) - size[order]
