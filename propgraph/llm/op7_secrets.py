@@ -1,10 +1,14 @@
 """Secret spans: three fixed patterns, and strings that a compressor primed with code cannot shorten.
 
-Novelty: a candidate is a run of 20 or more token characters that holds letters and digits, in a line
-that names something sensitive. Its marginal size is what it adds to a zstandard frame of its
-surroundings (256 characters on either side), compressed with a dictionary of code and identifier
-words; at 0.5 compressed bytes a character or more, and 4 bits of entropy over its characters, it is
-reported as kind `novel` unless a pattern's span covers it.
+Novelty: a candidate is a run of 16 or more token characters that holds a letter and a digit, in a
+sensitive context: a line that names something sensitive, the line after it, or a block between the BEGIN
+and END lines of a private key (where any run counts). Its marginal size is what it adds to a zstandard frame of its
+surroundings (256 characters on either side), compressed with a dictionary: words of code, and the
+identifiers that most documents of the corpus have. At 0.5 compressed bytes a character or more, and 3
+bits of entropy over its characters, it is reported as kind `novel` unless a pattern's span covers it.
+
+The identifiers are counted over all documents (words of 4 to 32 letters and underscores, once a document);
+the IDENTIFIERS most frequent ones, ties by name, are the dictionary, its size bounded whatever the corpus's.
 
 Cases: null text is empty, which has no span; repeated rows give repeated rows; an empty table gives
 none. Only doc_id and text are read. Spans are code points of the whole match, end exclusive.
@@ -12,7 +16,6 @@ none. Only doc_id and text are read. Spans are code points of the whole match, e
 
 from __future__ import annotations
 
-import hashlib
 import math
 import re
 from collections import Counter
@@ -20,6 +23,7 @@ from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from .common import blocks, table, text_of, workers_can_import
 
@@ -31,7 +35,9 @@ KINDS = (
 )
 #: Words that make a line sensitive.
 SENSITIVE = r"(?i)secret|token|passw|pwd|credential|auth|bearer|private|api[_-]?key|access[_-]?key|signature|session|AKIA"
-RUN = r"[A-Za-z0-9+/_=-]{20,}"
+RUN = r"[A-Za-z0-9+/_=-]{16,}"
+KEY_BLOCK = r"-----BEGIN [A-Z ]*PRIVATE KEY-----(.*?)(?:-----END|\Z)"
+IDENTIFIER, IDENTIFIERS = r"[A-Za-z_]{4,32}", 2000
 CODE_WORDS = (
     "def return import from class self None True False lambda yield raise except finally async await public private protected static final void "
     "int long double float boolean string String const let var function new this null undefined export default interface extends implements package "
@@ -41,9 +47,9 @@ CODE_WORDS = (
     "get_user_by_id set_value load_config read_file write_file parse_json to_string from_string create_session close_connection handle_request "
     "abcdefghijklmnopqrstuvwxyz ABCDEFGHIJKLMNOPQRSTUVWXYZ 0123456789 00000000 xxxxxxxx changeme example_key your_token_here placeholder"
 )
-MOST_RATIO, LEAST_BITS, AROUND = 0.5, 3.5, 256
+LEAST_RATIO, LEAST_BITS, AROUND = 0.5, 3.0, 256
 _compiled = [(k, re.compile(p if k != "hex" else r"[0-9a-f]{32,}", re.ASCII), n) for k, p, n in KINDS]
-_sensitive, _run = re.compile(SENSITIVE, re.ASCII), re.compile(RUN, re.ASCII)
+_sensitive, _run, _block = re.compile(SENSITIVE, re.ASCII), re.compile(RUN, re.ASCII), re.compile(KEY_BLOCK, re.ASCII | re.DOTALL)
 
 
 def base_spans(text: str) -> list[tuple[int, int, int]]:
@@ -61,14 +67,24 @@ def bits(s: str) -> float:
     return -sum(c / n * math.log2(c / n) for c in Counter(s).values())
 
 
+def identifiers(docs: DataFrame, most: int = IDENTIFIERS) -> list[str]:
+    """The identifiers that most documents have, most frequent first."""
+    words = F.explode(F.array_distinct(F.regexp_extract_all("text", F.lit(IDENTIFIER), 0))).alias("w")
+    counts = docs.select(words).groupBy("w").agg(F.count("*").alias("n")).where("n > 1")
+    return [r["w"] for r in counts.orderBy(F.col("n").desc(), "w").limit(most).collect()]
+
+
 class Novelty:
-    """Marginal compressed size against the surroundings, under a dictionary of code words."""
+    """Marginal compressed size against the surroundings, under a dictionary of code words and identifiers."""
 
-    def __init__(self, words: str = CODE_WORDS) -> None:
+    def __init__(self, words: list[str] | None = None) -> None:
         import zstandard
 
-        self.dict = zstandard.ZstdCompressionDict(words.encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT)
-        self.z = zstandard.ZstdCompressor(level=3, dict_data=self.dict, write_content_size=False)
+        # what is likeliest stands last, nearest to the text
+        text = " ".join([*reversed(words or []), CODE_WORDS])
+        self.dict = zstandard.ZstdCompressionDict(text.encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        self.dict.precompute_compress(level=3)
+        self.z = zstandard.ZstdCompressor(dict_data=self.dict, write_content_size=False)
 
     def size(self, text: str) -> int:
         return len(self.z.compress(text.encode()))
@@ -78,31 +94,44 @@ class Novelty:
         return (self.size(before + after + text[start:end]) - self.size(before + after)) / (end - start)
 
 
-def novel_spans(text: str, base: list[tuple[int, int, int]], novelty: Novelty) -> list[tuple[int, int]]:
-    out: list[tuple[int, int]] = []
-    seen = -1
+def contexts(text: str) -> list[tuple[int, int, bool]]:
+    """(start, end, whole) of sensitive stretches in order, apart from each other; whole: inside a private key's block."""
+    blocks_ = [(*m.span(1), True) for m in _block.finditer(text)] if "PRIVATE KEY" in text else []
+    out: list[tuple[int, int, bool]] = []
     for word in _sensitive.finditer(text):
-        if word.start() < seen:
-            continue
-        begin = text.rfind("\n", 0, word.start()) + 1
-        seen = text.find("\n", word.end())
-        seen = len(text) if seen < 0 else seen
-        for m in _run.finditer(text, begin, seen):
+        begin, end = text.rfind("\n", 0, word.start()) + 1, text.find("\n", word.end())
+        if end >= 0:  # the next line belongs to it
+            end = text.find("\n", end + 1)
+        end = len(text) if end < 0 else end
+        if out and begin <= out[-1][1]:
+            out[-1] = (out[-1][0], max(end, out[-1][1]), False)
+        else:
+            out.append((begin, end, False))
+    return blocks_ + out
+
+
+def novel_spans(text: str, base: list[tuple[int, int, int]], novelty: Novelty) -> list[tuple[int, int]]:
+    out: set[tuple[int, int]] = set()
+    for begin, end, whole in contexts(text):
+        for m in _run.finditer(text, begin, end):
             s, e = m.span()
             run = m[0]
-            if any(a < e and s < b for a, _, b in base) or not (any(c.isdigit() for c in run) and any(c.isalpha() for c in run)):
+            if (s, e) in out or any(a < e and s < b for a, _, b in base):
+                continue
+            if not whole and not (any(c.isdigit() for c in run) and any(c.isalpha() for c in run)):
                 continue
-            if bits(run) >= LEAST_BITS and novelty.ratio(text, s, e) >= MOST_RATIO:
-                out.append((s, e))
-    return out
+            if bits(run) >= LEAST_BITS and novelty.ratio(text, s, e) >= LEAST_RATIO:
+                out.add((s, e))
+    return sorted(out)
 
 
-def find_secrets(docs: DataFrame) -> DataFrame:
-    """doc_id, kinds and spans: arrays of kind, start and end of all spans in order, base spans apart."""
+def find_secrets(docs: DataFrame, words: list[str] | None = None) -> DataFrame:
+    """doc_id and spans: kind, start and end of all spans in order. words: the identifiers, learned from docs if not given."""
     workers_can_import(docs.sparkSession)
+    words = identifiers(docs) if words is None else words
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        novelty = Novelty()
+        novelty = Novelty(words)
         names = [k for k, _, _ in KINDS]
         for batch in blocks(batches):
             rows = []
@@ -117,8 +146,6 @@ def find_secrets(docs: DataFrame) -> DataFrame:
 
 
 def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from pyspark.sql import functions as F
-
     found = find_secrets(table(spark, sf_dir, "documents"))
 
     def of(kind: str):
@@ -129,7 +156,3 @@ def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     base = F.filter("spans", lambda s: s["kind"] != "novel")
     return found.select("doc_id", of("assign").alias("n_assign"), of("access").alias("n_access"), of("hex").alias("n_hex"), F.sha2(line(base), 256).alias("base_sha256"), line(F.col("spans")).alias("spans"), of("novel").alias("n_novel"))
-
-
-def spans_sha256(spans: list[tuple[str, int, int]]) -> str:
-    return hashlib.sha256(",".join(f"{k}:{s}:{e}" for k, s, e in spans).encode()).hexdigest()

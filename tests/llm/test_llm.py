@@ -221,9 +221,87 @@ def test_webp_texts(spark, docs, empty):
     for t in [*[(r[1] or "").encode() for r in sample()], bytes(range(255)) * 9]:
         p = o5.payload_of(t)
         assert len(p) % 576 == 0 and len(p) > 0 and o5.restore(o5.store(p, len(t))).tobytes() == p
-    for r in o5.store_texts(docs, with_media=True).collect():
-        assert hashlib.sha256(o5.restore(bytes(r["media"])).tobytes()).hexdigest() == r["payload_sha256"] and len(r["media"]) == r["media_bytes"]
-    assert o5.store_texts(empty).count() == 0
+    path = shared_path(spark, "media")
+    o5.write_media(docs, path)
+    kept = defaultdict(list)
+    for r in spark.read.parquet(path).collect():
+        kept[r["doc_id"]].append(bytes(r["media"]))
+    rows = o5.read_media(spark, path).collect()
+    texts = defaultdict(dict)
+    for r in sample():
+        t = (r[1] or "").encode()
+        p = t + b"\xff" * ((-len(t)) % 576 or (0 if t else 576))
+        texts[r[0]][hashlib.sha256(p).hexdigest()] = (len(t), len(p), zlib.crc32(p[-32:]))
+    assert len(rows) == len(sample())
+    for r in rows:
+        assert (r["n_bytes"], r["payload_bytes"], r["tail_crc32"]) == texts[r["doc_id"]][r["payload_sha256"]]
+        media = next(m for m in kept[r["doc_id"]] if hashlib.sha256(m).hexdigest() == r["media_sha256"])
+        assert len(media) == r["media_bytes"] and r["feature"] == o5.features(o5.restore(media))
+    path = shared_path(spark, "no-media")
+    o5.write_media(empty, path)
+    assert o5.read_media(spark, path).count() == 0
+
+
+def test_webp_forms_by_text():
+    """Few different bytes take the palette, long runs the predictor, and both are smaller than plain codes."""
+    def kinds(media):
+        b = webp.Bits(media[21:])
+        b.read(32)
+        return b.read(2) >> 1 if b.read(1) else None
+
+    r = random.Random(1)
+    for t, _ in ((bytes(r.choice(b"ACGT") for _ in range(9000)), 3), (b"".join(bytes([r.randrange(60, 90)]) * r.randrange(40, 90) for _ in range(200)), 0), (words(r, 900).encode(), 2)):
+        p = o5.payload_of(t)
+        assert o5.restore(o5.store(p, len(t))).tobytes() == p
+        grey = np.frombuffer(p, np.uint8).astype(np.uint32).reshape(-1, 576)
+        plain = webp.encode(np.uint32(webp.BLACK) | grey * np.uint32(0x010101), o5.line_copies(p, len(t)), (("green",),))
+        assert len(o5.store(p, len(t))) <= len(plain)
+    assert len(o5.store(o5.payload_of(b"ACGT" * 3000), 12000)) < 12000 * 0.3
+    # over the format's rows a second image follows
+    p = bytes(range(200)) * (576 * 16384 // 200 + 3)
+    p += b"\xff" * (-len(p) % 576)
+    media = o5.store(p, len(p))
+    assert o5.restore(media).tobytes() == p and media.count(b"RIFF") >= 2
+
+
+def test_webp_file_of_another_encoder():
+    """The one-pixel lossless file that browsers are probed with, made by the format's own tools."""
+    import base64
+
+    v = webp.decode(base64.b64decode("UklGRhoAAABXRUJQVlA4TA0AAAAvAAAAEAcQERGIiP4HAA=="))
+    assert v.shape == (1, 1) and int(v[0, 0]) >> 24 == 0
+
+
+def test_webp_code_groups():
+    """A file written bit by bit: an entropy image deals two code groups to blocks of 4 x 4; one has a colour cache's worth of literals."""
+    import struct
+
+    out = []
+    put = lambda value, n: out.extend((value >> i) & 1 for i in range(n))
+
+    def one(symbol):  # a code of a single symbol of eight bits: no bit a pixel
+        put(1, 1), put(0, 1), put(1, 1), put(symbol, 8)
+
+    def two(a, b):
+        put(1, 1), put(1, 1), put(1, 1), put(a, 8), put(b, 8)
+
+    put(8 - 1, 14), put(4 - 1, 14), put(1, 1), put(0, 3)
+    put(0, 1)  # no transform
+    put(0, 1)  # no colour cache
+    put(1, 1), put(0, 3)  # groups by blocks of 2 ** 2
+    put(0, 1), two(0, 1), one(0), one(0), one(0), one(0)  # the entropy image's codes: green tells the group
+    put(0, 1), put(1, 1)  # its two pixels
+    one(10), one(20), one(30), one(255), one(0)  # group 0: one colour, no bits
+    two(40, 41), one(50), one(60), one(255), one(0)  # group 1: green 40 or 41
+    for y in range(4):
+        for x in range(4, 8):
+            put((x + y) & 1, 1)
+    out += [0] * (-len(out) % 8)
+    body = b"\x2f" + bytes(sum(b << i for i, b in enumerate(out[k : k + 8])) for k in range(0, len(out), 8))
+    body += b"\0" * 9
+    data = b"RIFF" + struct.pack("<I", 12 + len(body) + len(body) % 2) + b"WEBPVP8L" + struct.pack("<I", len(body)) + body + b"\0" * (len(body) % 2)
+    want = [[0xFF140A1E if x < 4 else 0xFF32283C + (((x + y) & 1) << 8) for x in range(8)] for y in range(4)]
+    assert webp.decode(data).tolist() == want
 
 
 def components(rows):
@@ -310,12 +388,62 @@ def test_secrets(spark, empty):
         9: (f"authorization header {key}{key[::-1]} here", [("novel", 21, 61)]),
         10: ("authorization header abcdefghijklmnopqrstuvwxyz0123456789 here", []),
     }
-    df = spark.createDataFrame([(k, v[0]) for k, v in cases.items()], "doc_id long, text string")
-    got = {r["doc_id"]: [(s["kind"], s["start"], s["end"]) for s in r["spans"]] for r in o7.find_secrets(df).collect()}
+    r = random.Random(2)
+    body = "\n".join("".join(r.choice("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/") for _ in range(64)) for _ in range(3))
+    pem = f"-----BEGIN RSA PRIVATE KEY-----\n{body}\n-----END RSA PRIVATE KEY-----\n\n{body[:20]}"
+    cases |= {
+        11: ("credential follows\n" + key + "x", [("novel", 19, 40)]),
+        12: ("credential follows\n\nnothing here\n" + key + "x", []),
+        13: (pem, [("novel", 32 + 65 * k, 96 + 65 * k) for k in range(3)]),
+    }
+    df = spark.createDataFrame([(k, v[0], "x") for k, v in cases.items()], "doc_id long, text string, spans string")
+    got = {r["doc_id"]: [(s["kind"], s["start"], s["end"]) for s in r["spans"]] for r in o7.find_secrets(df, []).collect()}
     assert got == {k: v[1] for k, v in cases.items()}
     assert o7.find_secrets(empty).count() == 0
 
 
+def plain_base(text):
+    """The contract's three patterns, with nothing of the operator: a scan of every match, by kind."""
+    import regex
+
+    kinds = (("assign", r"(?i:password|passwd|secret|token|api_?key)[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", 8), ("access", r"(AKIA[A-Z0-9]+)", 16), ("hex", r"([0-9a-f]+)", 32))
+    rows = [(m.start(), k, kind, m.end()) for k, (kind, p, n) in enumerate(kinds) for m in regex.finditer(p, text, flags=regex.ASCII) if len(m[1]) >= n]
+    return [(kind, s, e) for s, _, kind, e in sorted(rows)]
+
+
+def test_secret_scan_query(spark, tmp_path):
+    """All columns of the query against plain Python: texts with clashing names, nulls, repeats, a very long one."""
+    r = random.Random(4)
+    hexes = lambda n: "".join(r.choice("0123456789abcdef") for _ in range(n))
+    texts = [None, "", f"token: {hexes(40)}", "API_KEY='abc' apikey=\"12345678\"", f"{hexes(31)} {hexes(32)}g{hexes(70)}", "AKIA" + "Z9" * 8 + " AKIAAKIA12", "secret == password=passw0rd==x " * 3]
+    texts += ["é\U0001f600 " * 50_000 + f"passwd={hexes(9)} {hexes(64)}", texts[2]]
+    spark.createDataFrame([(i, t, "k") for i, t in enumerate(texts)], "doc_id long, text string, kind string").write.parquet(str(tmp_path / "documents.parquet"))
+    for row in o7.op7_secret_scan(spark, str(tmp_path)).collect():
+        base = plain_base(texts[row["doc_id"]] or "")
+        n = [sum(k == kind for k, _, _ in base) for kind in ("assign", "access", "hex")]
+        assert [row["n_assign"], row["n_access"], row["n_hex"]] == n
+        assert row["base_sha256"] == hashlib.sha256(",".join(f"{k}:{s}:{e}" for k, s, e in base).encode()).hexdigest()
+        assert [tuple(x.split(":")) for x in row["spans"].split(",") if x and not x.startswith("novel")] == [(k, str(s), str(e)) for k, s, e in base]
+
+
+def test_novel_strings_precision_and_recall(spark):
+    """Random keys in lines that name them are found; names, paths and numbers in such lines aren't."""
+    r = random.Random(7)
+    base62 = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    vocabulary_ = ["session", "private", "handler", "config", "default", "account", "payment", "service", "request", "storage", "manager", "timeout", "network", "gateway", "metrics", "billing"]
+    name = lambda: "_".join(r.choice(vocabulary_) for _ in range(3)) + str(r.randrange(10))
+    corpus = [f"def {name()}(): return {name()}" for _ in range(300)]
+    keys, plain = ["".join(r.choice(base62) for _ in range(r.randrange(18, 50))) for _ in range(200)], [name() for _ in range(200)]
+    keys = [k if any(c.isdigit() for c in k) else k + "7q" for k in keys]
+    heads = ("Authorization header {}", "credential for host {} end", "bearer {}", "the signature\n{}")
+    rows = [(i, r.choice(heads).format(k)) for i, k in enumerate(keys)] + [(1000 + i, r.choice(heads).format(k)) for i, k in enumerate(plain)]
+    rows += [(2000 + i, t) for i, t in enumerate(corpus)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    hit = {x["doc_id"] for x in o7.find_secrets(df).where("exists(spans, s -> s.kind = 'novel')").collect()}
+    found, wrong = len([i for i in hit if i < 1000]), len([i for i in hit if i >= 1000])
+    assert found / 200 >= 0.95 and wrong / (found + wrong) <= 0.05, (found, wrong)
+
+
 def test_poisson(spark, docs, empty):
     rows = [(i, "t" * (i % 9), "big" if i % 3 else f"s{i % 30}") for i in range(3000)]
     df = spark.createDataFrame(rows, "doc_id long, text string, source string")
