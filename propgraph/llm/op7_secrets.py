@@ -3,12 +3,14 @@
 Novelty: a candidate is a run of 16 or more token characters that holds a letter and a digit, in a
 sensitive context: a line that names something sensitive, the line after it, or a block between the BEGIN
 and END lines of a private key (where any run counts). Its marginal size is what it adds to a zstandard frame of its
-surroundings (256 characters on either side), compressed with a dictionary: words of code, and the
-identifiers that most documents of the corpus have. At 0.5 compressed bytes a character or more, and 3
+surroundings (256 characters on either side, after a stretch of plain words, so that the compressor knows
+how frequent letters are even where a text is short), compressed with a dictionary: words of code, and the
+identifiers that most documents of the corpus have. At 0.9 compressed bytes a character or more, and 3
 bits of entropy over its characters, it is reported as kind `novel` unless a pattern's span covers it.
 
 The identifiers are counted over all documents (words of 4 to 32 letters and underscores, once a document);
-the IDENTIFIERS most frequent ones, ties by name, are the dictionary, its size bounded whatever the corpus's.
+the IDENTIFIERS most frequent ones, ties by name, are the dictionary, the PLAIN next ones the plain words (a
+fixed list where there are fewer): a bounded size, whatever the corpus's.
 
 Cases: null text is empty, which has no span; repeated rows give repeated rows; an empty table gives
 none. Only doc_id and text are read. Spans are code points of the whole match, end exclusive.
@@ -37,7 +39,12 @@ KINDS = (
 SENSITIVE = r"(?i)secret|token|passw|pwd|credential|auth|bearer|private|api[_-]?key|access[_-]?key|signature|session|AKIA"
 RUN = r"[A-Za-z0-9+/_=-]{16,}"
 KEY_BLOCK = r"-----BEGIN [A-Z ]*PRIVATE KEY-----(.*?)(?:-----END|\Z)"
-IDENTIFIER, IDENTIFIERS = r"[A-Za-z_]{4,32}", 2000
+IDENTIFIER, IDENTIFIERS, PLAIN = r"[A-Za-z_]{4,32}", 2000, 80
+#: Plain words for a corpus that has too few.
+PLAIN_WORDS = (
+    "with they this have from word what were when your said there which their will about other many then them these some would make like into time look more write "
+    "number people than first water been call long down come made part over new sound take only little work know place year live back give most very after thing our just"
+)
 CODE_WORDS = (
     "def return import from class self None True False lambda yield raise except finally async await public private protected static final void "
     "int long double float boolean string String const let var function new this null undefined export default interface extends implements package "
@@ -47,7 +54,7 @@ CODE_WORDS = (
     "get_user_by_id set_value load_config read_file write_file parse_json to_string from_string create_session close_connection handle_request "
     "abcdefghijklmnopqrstuvwxyz ABCDEFGHIJKLMNOPQRSTUVWXYZ 0123456789 00000000 xxxxxxxx changeme example_key your_token_here placeholder"
 )
-LEAST_RATIO, LEAST_BITS, AROUND = 0.5, 3.0, 256
+LEAST_RATIO, LEAST_BITS, AROUND = 0.9, 3.0, 256
 _compiled = [(k, re.compile(p if k != "hex" else r"[0-9a-f]{32,}", re.ASCII), n) for k, p, n in KINDS]
 _sensitive, _run, _block = re.compile(SENSITIVE, re.ASCII), re.compile(RUN, re.ASCII), re.compile(KEY_BLOCK, re.ASCII | re.DOTALL)
 
@@ -67,7 +74,7 @@ def bits(s: str) -> float:
     return -sum(c / n * math.log2(c / n) for c in Counter(s).values())
 
 
-def identifiers(docs: DataFrame, most: int = IDENTIFIERS) -> list[str]:
+def identifiers(docs: DataFrame, most: int = IDENTIFIERS + PLAIN) -> list[str]:
     """The identifiers that most documents have, most frequent first."""
     words = F.explode(F.array_distinct(F.regexp_extract_all("text", F.lit(IDENTIFIER), 0))).alias("w")
     counts = docs.select(words).groupBy("w").agg(F.count("*").alias("n")).where("n > 1")
@@ -81,13 +88,16 @@ class Novelty:
         import zstandard
 
         # what is likeliest stands last, nearest to the text
-        text = " ".join([*reversed(words or []), CODE_WORDS])
+        words = words or []
+        text = " ".join([*reversed(words[:IDENTIFIERS]), CODE_WORDS])
+        plain = words[IDENTIFIERS:]
+        self.plain = (" ".join(plain) if len(plain) == PLAIN else PLAIN_WORDS) + "\n"
         self.dict = zstandard.ZstdCompressionDict(text.encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT)
         self.dict.precompute_compress(level=3)
         self.z = zstandard.ZstdCompressor(dict_data=self.dict, write_content_size=False)
 
     def size(self, text: str) -> int:
-        return len(self.z.compress(text.encode()))
+        return len(self.z.compress((self.plain + text).encode()))
 
     def ratio(self, text: str, start: int, end: int) -> float:
         before, after = text[max(0, start - AROUND) : start], text[end : end + AROUND]
