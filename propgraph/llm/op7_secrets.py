@@ -3,7 +3,7 @@
 Novelty: a candidate is a run of 16 or more token characters that holds a letter and a digit, in a
 sensitive context: a line that names something sensitive, the line after it, or a block between the BEGIN
 and END lines of a private key (where any run counts). Its marginal size is what it adds to a zstandard frame of its
-surroundings (256 characters on either side, after a stretch of plain words, so that the compressor knows
+surroundings (256 characters on either side without other such runs, after a stretch of plain words, so that the compressor knows
 how frequent letters are even where a text is short), compressed with a dictionary: words of code, and the
 identifiers that most documents of the corpus have. At 0.9 compressed bytes a character or more, and 3
 bits of entropy over its characters, it is reported as kind `novel` unless a pattern's span covers it.
@@ -100,8 +100,8 @@ class Novelty:
         return len(self.z.compress((self.plain + text).encode()))
 
     def ratio(self, text: str, start: int, end: int) -> float:
-        before, after = text[max(0, start - AROUND) : start], text[end : end + AROUND]
-        return (self.size(before + after + text[start:end]) - self.size(before + after)) / (end - start)
+        near = _run.sub(" ", text[max(0, start - AROUND) : start]) + _run.sub(" ", text[end : end + AROUND])
+        return (self.size(near + text[start:end]) - self.size(near)) / (end - start)
 
 
 def contexts(text: str) -> list[tuple[int, int, bool]]:
