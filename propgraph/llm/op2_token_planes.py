@@ -117,7 +117,7 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str, kind: str = "
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([number], pa.int64()), pa.array([len(who)], pa.int64()), pa.array([total], pa.int64()), pa.array([encode_file(who, have, kind)], pa.binary())], names=["part", "file", "n_docs", "n_tokens", "content"])
 
         for batch in blocks(batches):
-            got = tok.ids(batch.column("text").to_pylist())
+            got = tok.ids(batch.column("text"))
             for d, ids in zip(batch.column("doc_id").to_pylist(), got, strict=True):
                 who.append(d)
                 have.append(np.append(ids, np.uint32(end_id)))

@@ -54,7 +54,7 @@ def pieces(docs: DataFrame, vocabulary: str, end_id: int = 1, capacity: int = CA
         tok = tokenizer(vocabulary)
         for batch in blocks(batches):
             rows = []
-            for d, ids in zip(batch.column("doc_id").to_pylist(), tok.ids(batch.column("text").to_pylist()), strict=True):
+            for d, ids in zip(batch.column("doc_id").to_pylist(), tok.ids(batch.column("text")), strict=True):
                 ids = np.append(ids, np.uint32(end_id)).astype("<u4")
                 at = 0
                 for n, k in cut(len(ids), capacity):
