@@ -1,51 +1,65 @@
 """Winnowing fingerprints in Spark expressions only.
 
-A text's tokens are runs of at most 16 non-space characters of its lower-cased form. A rolling
-(polynomial, prime modulus) hash covers every k = 4 tokens in a row; of each w = 4 hashes in a row
-the least is chosen, the rightmost at a tie, and kept with its position. Two texts that share at
-least w + k - 1 = 7 tokens in a row share a fingerprint. Inside a run of over 16 non-space characters
-tokens lie on a grid from the run's start: a passage moved by other than a multiple of 16 there has other tokens.
-
-Cases: null text is empty; a text without tokens has an empty fingerprint; with fewer than k tokens
-all of them make one hash; with fewer than w hashes they make one window. Two empty fingerprints
-are alike (1.0), one empty and one not are unlike (0.0). Null doc_ids come first in the order;
-repeated doc_ids are ordered by text. Only doc_id and text are read, so other columns can't clash.
+A rolling (polynomial, prime modulus) hash covers every K = 16 code points in a row, as they stand in the
+text; of each W = 16 hashes in a row the least is chosen, the rightmost at a tie, and kept with its position,
+the hash's first code point. Two texts that share at least W + K - 1 = 31 code points in a row share a fingerprint,
+in any script and at any offsets.
+
+Cases: null text is empty; an empty text has an empty fingerprint; with fewer than K code points
+all of them make one hash; with fewer than W hashes they make one window. Two empty fingerprints
+are alike (1.0), one empty and one not are unlike (0.0). Null doc_ids come first in the order; rows
+of one doc_id, or without any, are ordered by a hash of the text, then the text. Only doc_id and text are
+read, so other columns can't clash.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import table, text_of
-from .ordered import LEAST, range_bucket
+from .ordered import LEAST, MOST_BUCKETS, PER_BUCKET, range_bucket
 
-K, W = 4, 4
+K, W = 16, 16
 PRIME, BASE = 2147483647, 1540483477
-BASE2 = BASE * BASE % PRIME
 
 
-def _pairs(a: str, step: int, lost: int, f) -> Column:
-    """f over the elements `step` apart; the array is `lost` shorter than the first one."""
+def _pairs(a: str, step: int, f) -> Column:
+    """f over the elements `step` apart; the array is shorter by `step`."""
     n = F.greatest(F.size(a) - step, F.lit(0))
     return F.zip_with(F.slice(a, F.lit(1), n), F.slice(a, F.lit(step + 1), n), f)
 
 
+def _joined(power: int) -> Callable[[Column, Column], Column]:
+    """The hash of two stretches in a row from theirs: the first one's moved up by the second one's length."""
+    return lambda a, b: (a * power + b) % PRIME
+
+
 def fingerprints(df: DataFrame, text: str, out: str) -> DataFrame:
-    """df with the column `out`: array of (hash << 32 | 2^32 - 1 - position), in text order."""
+    """df with the column `out`: array of (hash << 32 | 2^32 - 1 - position), in text order.
+
+    Hashes of 2, 4, 8 and 16 code points come from two of half the length, least values likewise, so that no step
+    looks at a code point more than twice. Steps are selects of their own, so that no array is made twice."""
     keep = df.columns
-    tmp = [f"_{out}_{x}" for x in "hgvm"]
-    h, g, v, m = tmp
-    df = df.select(*keep, F.transform(F.regexp_extract_all(F.lower(text), F.lit(r"\S{1,16}"), 0), lambda t: F.pmod(F.xxhash64(t), F.lit(PRIME))).alias(h))
-    df = df.select(*keep, h, _pairs(h, 1, 1, lambda a, b: (a * BASE + b) % PRIME).alias(g))
-    short = F.array(F.aggregate(h, F.lit(0).cast("long"), lambda a, b: (a * BASE + b) % PRIME))
+    h, g, v, m = (f"_{out}_{x}" for x in "hgvm")
     none = F.array().cast("array<long>")
-    grams = F.when(F.size(h) >= K, _pairs(g, 2, 3, lambda a, b: (a * BASE2 + b) % PRIME)).when(F.size(h) > 0, short).otherwise(none)
-    df = df.select(*keep, grams.alias(g))
+    codes = F.when(F.length(text) > 0, F.transform(F.split(text, ""), lambda c: F.ascii(c).cast("long"))).otherwise(none)
+    df = df.select(*keep, codes.alias(h))
+    power, grams = BASE, h
+    for step in (1, 2, 4, 8):
+        df = df.select(*keep, h, _pairs(grams, step, _joined(power)).alias(g))
+        power, grams = power * power % PRIME, g
+    short = F.array(F.aggregate(h, F.lit(0).cast("long"), lambda a, b: (a * BASE + b) % PRIME))
+    df = df.select(*keep, F.when(F.size(h) >= K, F.col(g)).when(F.size(h) > 0, short).otherwise(none).alias(g))
     df = df.select(*keep, F.transform(g, lambda x, i: F.shiftleft(x, 32).bitwiseOR(F.lit((1 << 32) - 1) - i)).alias(v))
-    df = df.select(*keep, v, _pairs(v, 1, 1, lambda a, b: F.least(a, b)).alias(m))
-    least = F.when(F.size(v) >= W, _pairs(m, 2, 3, lambda a, b: F.least(a, b))).when(F.size(v) > 0, F.array(F.array_min(v))).otherwise(none)
-    return df.select(*keep, F.array_distinct(least).alias(out))
+    least = v
+    for step in (1, 2, 4, 8):
+        df = df.select(*keep, v, _pairs(least, step, lambda a, b: F.least(a, b)).alias(m))
+        least = m
+    chosen = F.when(F.size(v) >= W, F.col(m)).when(F.size(v) > 0, F.array(F.array_min(v))).otherwise(none)
+    return df.select(*keep, F.array_distinct(chosen).alias(out))
 
 
 def hashes(fp: str) -> Column:
@@ -67,23 +81,32 @@ def digest(fp: str) -> Column:
 
 
 def with_next(docs: DataFrame) -> DataFrame:
-    """doc_id, text, _bucket, _order, _ghost: each bucket ends with a copy of the next bucket's first rows."""
-    rows = text_of(docs).withColumn("_order", F.coalesce("doc_id", F.lit(LEAST)))
-    rows = rows.withColumn("_bucket", range_bucket(rows.select("_order"), "_order"))
-    first = sorted((r["_bucket"], r["f"]) for r in rows.groupBy("_bucket").agg(F.min("_order").alias("f")).collect())
-    back = [(f, first[i - 1][0]) for i, (_, f) in enumerate(first)]
-    spark = docs.sparkSession
-    ghosts = spark.createDataFrame(back, "_order long, _before long")
-    return rows.join(F.broadcast(ghosts), "_order", "left").select(
-        "doc_id", "text", "_order", F.explode(F.when(F.col("_before").isNull(), F.array(F.struct(F.col("_bucket").alias("b"), F.lit(0).alias("g")))).otherwise(F.array(F.struct(F.col("_bucket").alias("b"), F.lit(0).alias("g")), F.struct(F.col("_before").alias("b"), F.lit(1).alias("g"))))).alias("_p")
-    ).select("doc_id", "text", "_order", F.col("_p.b").alias("_bucket"), F.col("_p.g").alias("_ghost"))
+    """doc_id, text, _bucket, _order, _tie, _ghost: each bucket ends with a copy of the next bucket's first rows.
+
+    Buckets are ranges of the order, so that it needs no task that sees all rows; null ids are dealt to
+    buckets before all others by ranges of the hash that orders them."""
+    rows = text_of(docs).withColumn("_order", F.coalesce("doc_id", F.lit(LEAST))).withColumn("_tie", F.shiftrightunsigned(F.xxhash64("text"), 11))
+    bucket = range_bucket(rows.select("_order"), "_order")
+    nulls = rows.where("doc_id IS NULL").count()
+    if nulls:
+        n = min(MOST_BUCKETS, -(-nulls // PER_BUCKET))
+        bucket = F.when(F.col("doc_id").isNull(), F.floor(F.col("_tie") / float(1 << 53) * n) - n).otherwise(bucket)
+    rows = rows.withColumn("_bucket", bucket.cast("long"))
+    first = sorted((r["_bucket"], *r["f"]) for r in rows.groupBy("_bucket").agg(F.min(F.struct("_order", "_tie")).alias("f")).collect())  # a row a bucket
+    ghosts = docs.sparkSession.createDataFrame([(o, t, first[i - 1][0]) for i, (_, o, t) in enumerate(first)], "_order long, _tie long, _before long")
+    own = F.struct(F.col("_bucket").alias("b"), F.lit(0).alias("g"))
+    places = F.when(F.col("_before").isNull(), F.array(own)).otherwise(F.array(own, F.struct(F.col("_before").alias("b"), F.lit(1).alias("g"))))
+    return rows.join(F.broadcast(ghosts), ["_order", "_tie"], "left").select("doc_id", "text", "_order", "_tie", F.explode(places).alias("_p")).select("doc_id", "text", "_order", "_tie", F.col("_p.b").alias("_bucket"), F.col("_p.g").alias("_ghost"))
 
 
 def compare_neighbours(docs: DataFrame) -> DataFrame:
-    """Each text, its half-replaced form and the next document's, with fingerprints and likenesses."""
-    w = Window.partitionBy("_bucket").orderBy("_ghost", "_order", "text")
-    rows = fingerprints(with_next(docs), "text", "fp")
-    rows = rows.select("*", F.lead("text").over(w).alias("_next"), F.lead("fp").over(w).alias("_next_fp")).where("_ghost = 0")
+    """Each text, its half-replaced form and the next document's, with fingerprints and likenesses.
+
+    Texts are shuffled before anything is made of them; the second window finds them dealt out and in order."""
+    w = Window.partitionBy("_bucket").orderBy("_ghost", "_order", "_tie", "text")
+    rows = with_next(docs)
+    rows = fingerprints(rows.select("*", F.lead("text").over(w).alias("_next")), "text", "fp")
+    rows = rows.select("*", F.lead("fp").over(w).alias("_next_fp")).where("_ghost = 0")
     rows = rows.withColumn("n_chars", F.char_length("text").cast("long"))
     half = F.floor(F.col("n_chars") / 2).cast("int")
     rows = rows.select("doc_id", "n_chars", "fp", "_next_fp", F.concat(F.substring(F.col("text"), F.lit(1), F.col("n_chars").cast("int") - half), F.substring(F.col("_next"), F.lit(1), half)).alias("edited"))

@@ -5,10 +5,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-LEAST = -(1 << 63)
+LEAST, PER_BUCKET, MOST_BUCKETS = -(1 << 63), 2000, 20000
 
 
-def range_bucket(df: DataFrame, key: str, rows_per_bucket: int = 2000, max_buckets: int = 20000, cuts: int = 64) -> Column:
+def range_bucket(df: DataFrame, key: str, rows_per_bucket: int = PER_BUCKET, max_buckets: int = MOST_BUCKETS, cuts: int = 64) -> Column:
     """The bucket of a row: consecutive ranges of a LONG key, in order.
 
     Approximate quantiles give `cuts` coarse ranges, each split evenly, so that uneven ids stay

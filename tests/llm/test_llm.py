@@ -60,30 +60,81 @@ def empty(spark):
     return spark.createDataFrame([], SCHEMA)
 
 
+def prints(text):
+    """(hash, position) of the winnowed fingerprints, straight from the definition."""
+    roll = lambda xs: __import__("functools").reduce(lambda a, b: (a * o1.BASE + b) % o1.PRIME, xs, 0)
+    h = [ord(c) for c in text]
+    grams = [roll(h[i : i + o1.K]) for i in range(len(h) - o1.K + 1)] if len(h) >= o1.K else [roll(h)] if h else []
+    out = []
+    for a in range(max(1, len(grams) - o1.W + 1) if grams else 0):
+        win = grams[a : a + o1.W]
+        least = min(win)
+        got = (least, a + max(i for i, x in enumerate(win) if x == least))
+        if got not in out[-1:]:
+            out.append(got)
+    return out
+
+
+def alike(a, b):
+    x, y = {h for h, _ in prints(a)}, {h for h, _ in prints(b)}
+    return len(x & y) / len(x | y) if x | y else 1.0
+
+
 def test_winnowing(spark, docs, empty):
-    got = o1.compare_neighbours(docs).collect()
-    order = sorted(sample(), key=lambda r: (r[0] if r[0] is not None else -(1 << 63), r[1] or ""))
-    texts = [r[1] or "" for r in order]
-    want = sorted((r[0] if r[0] is not None else -(1 << 63), len(t), t[: len(t) - len(t) // 2] + texts[(i + 1) % len(texts)][: len(t) // 2]) for i, (r, t) in enumerate(zip(order, texts, strict=True)))
-    assert sorted((x["doc_id"] if x["doc_id"] is not None else -(1 << 63), x["n_chars"], x["edited"]) for x in got) == want
-
-    def plain(text):
-        t = re.findall(r"\S{1,16}", text.lower(), re.ASCII)
-        h = [x["h"] for x in spark.createDataFrame([(i, w) for i, w in enumerate(t)], "i int, w string").orderBy("i").select(F.pmod(F.xxhash64("w"), F.lit(o1.PRIME)).alias("h")).collect()] if t else []
-        roll = lambda xs: __import__("functools").reduce(lambda a, b: (a * o1.BASE + b) % o1.PRIME, xs, 0)
-        grams = [roll(h[i : i + o1.K]) for i in range(len(h) - o1.K + 1)] if len(h) >= o1.K else [roll(h)] if h else []
-        out = set()
-        for a in range(max(1, len(grams) - o1.W + 1) if grams else 0):
-            win = grams[a : a + o1.W]
-            least = min(win)
-            out.add((least, a + max(i for i, x in enumerate(win) if x == least)))
-        return out
-
-    for text in (texts[3], texts[-1], "one two", "", "a b a b a b a b a b a b a b"):
-        row = o1.fingerprints(spark.createDataFrame([(text,)], "t string"), "t", "fp").select("fp", o1.positions("fp").alias("p"), F.transform("fp", lambda x: F.shiftright(x, 32)).alias("h")).first()
-        assert set(zip(row["h"], row["p"], strict=True)) == plain(text)
-    assert all(x["near_next"] == 1.0 for x in got if x["doc_id"] == sample()[4][0] and x["edited"] == x["edited"] and x["near_next"] > 0.99)
+    """Every column of the query against plain Python; neighbours are checked for rows whose order the ids settle."""
+    got = o1.compare_neighbours(docs).select("*", o1.positions("fp").alias("p"), F.transform("fp", lambda x: F.shiftright(x, 32)).alias("h"), o1.digest("fp").alias("d")).collect()
+    assert len(got) == len(sample())
+    texts = [r[1] or "" for r in sample()]
+    by = defaultdict(set)
+    for t in texts:
+        by[len(t)].add(t)
+    ids = sorted({r[0] for r in sample() if r[0] is not None})
+    rows = {i: [r[1] or "" for r in sample() if r[0] == i] for i in ids}
+    for x in got:
+        own = [t for t in rows.get(x["doc_id"], [r[1] for r in sample() if r[0] is None]) if list(zip(x["h"], x["p"], strict=True)) == prints(t)]
+        assert own and x["n_chars"] in {len(t) for t in own}
+        if x["doc_id"] is None or len(set(rows[x["doc_id"]])) > 1 or len(rows[x["doc_id"]]) > 1:
+            continue
+        after = ids[(ids.index(x["doc_id"]) + 1) % len(ids)]
+        if len(rows[after]) == 1 and x["doc_id"] != ids[-1]:  # before all ids come the null ones
+            t, n = own[0], rows[after][0]
+            edited = t[: len(t) - len(t) // 2] + n[: len(t) // 2]
+            assert x["edited"] == edited and x["near_edited"] == pytest.approx(alike(t, edited)) and x["near_next"] == pytest.approx(alike(t, n))
     assert o1.compare_neighbours(empty).count() == 0
+    same = defaultdict(set)
+    for x in got:
+        same[tuple(x["fp"])].add(x["d"])
+    assert all(len(v) == 1 for v in same.values()) and len({d for v in same.values() for d in v}) == len(same)
+
+
+def test_winnowing_guarantee(spark):
+    """31 shared code points share a fingerprint at any offset and in any script; an inserted one moves nothing far away."""
+    r = random.Random(6)
+    cjk = lambda n: "".join(chr(r.randrange(0x4E00, 0x9F00)) for _ in range(n))
+    mixed = lambda n: "".join(r.choice("aé\U0001f600\u4e2d 7") for _ in range(n))
+    rows = []
+    for make in (cjk, mixed):
+        for _ in range(20):
+            shared = make(o1.K + o1.W - 1)
+            rows.append((make(r.randrange(90)) + shared + make(r.randrange(90)), make(r.randrange(90)) + shared + make(r.randrange(90)), 0.0))
+        long = make(800)
+        rows.append((long, make(3) + long[:400] + make(1) + long[400:], 0.85))
+    df = spark.createDataFrame(rows, "a string, b string, least double")
+    df = o1.fingerprints(o1.fingerprints(df, "a", "x"), "b", "y").select("a", "b", "least", "x", "y", o1.hashes("x").alias("p"), o1.hashes("y").alias("q"))
+    for x in df.select("*", o1.likeness("p", "q").alias("near")).collect():
+        assert x["near"] > x["least"] and x["near"] == pytest.approx(alike(x["a"], x["b"]))
+
+
+def test_winnowing_many_null_ids(spark, monkeypatch):
+    monkeypatch.setattr(o1, "PER_BUCKET", 7)
+    rows = [(None, f"text {i} " * 9) for i in range(60)] + [(i, f"words {i} " * 5) for i in range(20)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert o1.with_next(df).where("doc_id IS NULL AND _ghost = 0").select("_bucket").distinct().count() > 3
+    got = [x["edited"] for x in o1.compare_neighbours(df).collect()]
+    heads = defaultdict(int)
+    for e in got:
+        heads[re.search(r"(text|words) \d+", e)[0]] += 1
+    assert len(got) == 80 and len(heads) == 80
 
 
 def ids_of(name, texts):
