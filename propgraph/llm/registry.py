@@ -12,9 +12,10 @@ QUERIES = {
     "op5_webp": op5_webp.op5_webp,
     "op6_minhash": op6_minhash.op6_minhash,
     "op7_secret_scan": op7_secrets.op7_secret_scan,
+    "op7_base_counts": op7_secrets.op7_base_counts,
     "op8_poisson_mix": op8_poisson.op8_poisson_mix,
     "op9_line_chunk_dedup": op9_line_chunks.op9_line_chunk_dedup,
     "op9_line_passages": op9_line_chunks.op9_line_passages,
     "op10_phrase_dedup": op10_phrases.op10_phrase_dedup,
 }
-ORACLES = {"op8_poisson_mix": op8_poisson.ORACLE, "op9_line_chunk_dedup": op9_line_chunks.ORACLE, "op9_line_passages": op9_line_chunks.PASSAGES_ORACLE}
+ORACLES = {"op7_base_counts": op7_secrets.BASE_COUNTS, "op8_poisson_mix": op8_poisson.ORACLE, "op9_line_chunk_dedup": op9_line_chunks.ORACLE, "op9_line_passages": op9_line_chunks.PASSAGES_ORACLE}
