@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import U64, Spans, as_bytes, blocks, table, text_of, workers_can_import, written
+from .common import U64, Spans, as_bytes, blocks, release, table, text_of, workers_can_import, written
 
 LENGTH, GRAM, LONGEST = 50, 20, 1000
 #: Ids with several texts that are sent to every task; more are joined by shuffle.
@@ -149,7 +149,13 @@ def matched_phrases(texts: DataFrame) -> DataFrame:
     return rows.mapInArrow(find, "doc_id long, ver long, place long, repeated boolean")
 
 
-def repeated_strings(texts: DataFrame, matched: DataFrame) -> DataFrame:
+def asked_texts(texts: DataFrame, matched: DataFrame) -> DataFrame:
+    """doc_id, ver, text, places: texts with phrases in question, and these."""
+    asked = matched.where("NOT repeated").groupBy("doc_id", "ver").agg(F.collect_list("place").alias("places"))
+    return texts.join(asked, ["doc_id", "ver"]).select("doc_id", "ver", "text", "places")
+
+
+def repeated_strings(asked: DataFrame) -> DataFrame:
     """doc_id, ver, place: starts of strings, of the phrases in question, that a smaller document has."""
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -193,10 +199,7 @@ def repeated_strings(texts: DataFrame, matched: DataFrame) -> DataFrame:
                 if len(x):
                     yield _rows(["doc_id", "ver", "place"], x, y, q)
 
-    asked = matched.where("NOT repeated").groupBy("doc_id", "ver").agg(F.collect_list("place").alias("places"))
-    # a table, so that the shuffled texts are gone before the strings are shuffled
-    rows = written(texts.join(asked, ["doc_id", "ver"]).select("doc_id", "ver", "text", "places"), "asked-texts")
-    rows = rows.mapInArrow(emit, "w long, doc_id long, ver long, place long")
+    rows = asked.mapInArrow(emit, "w long, doc_id long, ver long, place long")
     route = F.when(F.col("place") < 0, F.xxhash64("doc_id", "place")).otherwise(F.col("w"))
     rows = rows.repartition(route).sortWithinPartitions("w", F.shiftright("place", 31), "doc_id")
     return rows.mapInArrow(find, "doc_id long, ver long, place long")
@@ -222,7 +225,10 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     texts = versions(docs)
     known = texts.where("doc_id IS NOT NULL")
     matched = written(matched_phrases(known), "phrases")
-    strings = written(repeated_strings(known, matched), "strings")
+    # a table, so that the shuffled texts are gone before the strings are shuffled
+    asked = written(asked_texts(known, matched), "asked-texts")
+    strings = written(repeated_strings(asked), "strings")
+    release(asked)
     gone = matched.where("repeated").select("doc_id", "ver", "place").unionByName(strings.select("doc_id", "ver", (F.col("place") * UNIT + 1).alias("place")))
     marks = gone.groupBy("doc_id", "ver").agg(F.collect_list("place").alias("places"))
 

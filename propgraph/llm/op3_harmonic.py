@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import blocks, table, text_of, workers_can_import, written
+from .common import blocks, release, table, text_of, workers_can_import, written
 
 CAPACITY, CLOSE, LEAST_PIECE, GROUP_TOKENS = 2048, 0.98, 16, 1_000_000
 
@@ -109,7 +109,15 @@ def pack(rows: DataFrame, capacity: int = CAPACITY, group_tokens: int = GROUP_TO
     return filled.unionByName(left).withColumn("padded_length", F.when(power, F.col("used")).otherwise(F.lit(capacity).cast("long"))).drop("used")
 
 
+def pack_documents(docs: DataFrame, vocabulary: str) -> DataFrame:
+    """pieces() and pack(), with a table between them that is deleted when packing has read it."""
+    rows = written(pieces(docs, vocabulary), "pieces")
+    out = pack(rows)
+    release(rows)
+    return out
+
+
 def op3_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .tokens import vocabulary
 
-    return pack(written(pieces(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json")), "pieces"))
+    return pack_documents(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))

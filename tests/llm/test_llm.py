@@ -655,6 +655,9 @@ def test_pipeline_stage_values(spark, docs):
     assert [(r[0], r[1]) for r in got] == sorted(((r[0], clean[r[0]]) for r in one), key=str)
     classes = components((r[0], r[1]) for r in one)
     assert sorted(r[0] for r in stages["near_dedup"](spark, df, "").collect()) == [r[0] for r in one if classes[r[0]][1] == r[0]]
+    twice = [(1, "one two three four five six", 1), (1, "one two three four five six", 1), (2, "", 2), (2, "", 2), (None, "x y", 3), (None, "x y", 3), (4, "seven", 4), (4, "a b", 4)]
+    kept = stages["near_dedup"](spark, spark.createDataFrame(twice, "doc_id long, text string, n long"), "").collect()
+    assert sorted((r["n"], r["text"]) for r in kept) == [(1, "one two three four five six"), (2, ""), (2, ""), (3, "x y"), (3, "x y"), (4, "a b")]
     rate = {r["_source"]: r["rate"] for r in o8.rates(df).collect()}
     got = defaultdict(int)
     for r in stages["mix"](spark, df, "").collect():
