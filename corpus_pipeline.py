@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from propgraph.llm import op3_harmonic, op4_language, op6_minhash, op8_poisson, op9_line_chunks
-from propgraph.llm.common import shared_path, written
+from propgraph.llm.common import release, written
 from propgraph.llm.tokens import vocabulary
 
 #: The least score of a document that stays: with four languages 0.25 is a blind guess; of sf0.1's documents none is below 0.5.
@@ -33,11 +33,19 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of near copies the document of the least id stays; rows without an id or without words stay.
+    """Of each class of near copies one document stays, that of the least id; rows without an id or without words all stay.
 
-    Repeated rows of an id stay or go together."""
+    Of several rows of the id that stays, one does, the first by text."""
     gone = op6_minhash.near_duplicates(docs).where("NOT kept").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    left = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    named = F.col("doc_id").isNotNull() & F.col("text").rlike(r"[^\x20\x09-\x0D]")
+    twice = written(docs.where(named).groupBy("doc_id").agg(F.count("*").alias("_n")).where("_n > 1").select("doc_id"), "repeated-ids")
+    if twice.isEmpty():
+        return left
+    some = left.where(named).join(twice, "doc_id", "left_semi").select(*docs.columns)
+    one = some.withColumn("_k", F.row_number().over(Window.partitionBy("doc_id").orderBy("text"))).where("_k = 1").drop("_k")
+    rest = left.where(~F.coalesce(named, F.lit(False))).unionByName(left.where(named).join(twice, "doc_id", "left_anti").select(*docs.columns))
+    return rest.unionByName(one)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -47,7 +55,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of sequences of at most 2048 tokens; an empty table gives none, a null text its end id."""
-    return op3_harmonic.pack(written(op3_harmonic.pieces(docs, vocabulary("byte_bpe_50k.json")), "pieces"))
+    return op3_harmonic.pack_documents(docs, vocabulary("byte_bpe_50k.json"))
 
 
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
@@ -62,9 +70,10 @@ ORACLE_SQL: str | None = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """All stages, each written and reread; a stage's table is deleted when the next one has been written."""
+    docs, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for name, stage in STAGES[:-1]:
-        path = shared_path(spark, f"pipeline-{name}")
-        stage(spark, docs, sf_dir).write.parquet(path)
-        docs = spark.read.parquet(path)
+        now = written(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        release(before)
+        docs = before = now
     return STAGES[-1][1](spark, docs, sf_dir)
