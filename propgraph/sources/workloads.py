@@ -48,7 +48,7 @@ def supply(spark: SparkSession, d: str) -> PropertyGraph:
     p = table(spark, d, "part").select(tagged("p_partkey", "part").alias("id"), F.lit("part").alias("kind"), F.col("p_name").alias("name"), F.col("p_retailprice").alias("amount"), F.col("p_size").alias("size"))
     s = table(spark, d, "supplier").select(tagged("s_suppkey", "supplier").alias("id"), F.lit("supplier").alias("kind"), F.col("s_name").alias("name"), F.col("s_acctbal").alias("amount"), F.lit(None).cast("int").alias("size"))
     e = table(spark, d, "lineitem").select(tagged("l_partkey", "part").alias("src"), tagged("l_suppkey", "supplier").alias("dst"), F.col("l_quantity").alias("quantity"), F.col("l_extendedprice").alias("price"), F.col("l_discount").alias("discount"), F.col("l_shipdate").alias("shipdate"))
-    return PropertyGraph.build(p.unionByName(s), e)
+    return PropertyGraph.build(p.unionByName(s), e, check=False)  # keys of the tables
 
 
 SUPPLY_E = "SELECT l_partkey * 16 + 2 AS src, l_suppkey * 16 + 1 AS dst, l_quantity AS quantity, l_extendedprice AS price, l_discount AS discount, l_shipdate AS shipdate FROM lineitem"
@@ -62,7 +62,7 @@ def trade(spark: SparkSession, d: str) -> PropertyGraph:
     s = table(spark, d, "supplier").select(tagged("s_suppkey", "supplier").alias("id"), F.lit("supplier").alias("kind"), F.col("s_nationkey").cast("long").alias("nation"), F.col("s_acctbal").alias("balance"))
     o = table(spark, d, "orders").select("o_orderkey", "o_custkey", F.col("o_orderdate").alias("orderdate"))
     e = table(spark, d, "lineitem").join(o, F.col("l_orderkey") == F.col("o_orderkey")).select(tagged("o_custkey", "customer").alias("src"), tagged("l_suppkey", "supplier").alias("dst"), "orderdate", F.col("l_extendedprice").alias("price"))
-    return PropertyGraph.build(c.unionByName(s), e)
+    return PropertyGraph.build(c.unionByName(s), e, check=False)
 
 
 TRADE_E = "SELECT o_custkey * 16 AS src, l_suppkey * 16 + 1 AS dst, o_orderdate AS orderdate, l_extendedprice AS price FROM lineitem JOIN orders ON l_orderkey = o_orderkey"
@@ -97,7 +97,7 @@ def weblinks(spark: SparkSession, d: str) -> PropertyGraph:
     """Pages; a link goes to every page whose title starts with the link's word."""
     v = page_words(spark, d)
     e = page_links(spark, d).join(v.select(F.col("id").alias("dst"), "word"), "word").where("src != dst").select("src", "dst", F.col("word").alias("anchor"))
-    return PropertyGraph.build(v.drop("word"), e)
+    return PropertyGraph.build(v.drop("word"), e, check=False)
 
 
 WEB_WORDS = r"""SELECT page_id AS id, url, regexp_extract(url, '^https?://([^/]+)', 1) AS host, regexp_extract(html, '<title>([^<]*)</title>', 1) AS title,
@@ -134,7 +134,7 @@ def flows(spark: SparkSession, d: str) -> PropertyGraph:
     n = table(spark, d, "nation").select(F.col("n_nationkey").cast("long").alias("id"), F.col("n_name").alias("name"), F.col("n_regionkey").cast("long").alias("region"))
     g = trade(spark, d).triplets(["nation"], ["nation"])
     e = g.groupBy(F.col("src__nation").alias("src"), F.col("dst__nation").alias("dst")).agg(F.sum(F.col("price").cast("decimal(18,2)")).cast("decimal(18,2)").alias("revenue"), F.count("*").alias("n"))
-    return PropertyGraph.build(n, e)
+    return PropertyGraph.build(n, e, check=False)
 
 
 FLOWS_E = f"SELECT c.nation AS src, s.nation AS dst, CAST(sum(CAST(e.price AS DECIMAL(18,2))) AS DECIMAL(18,2)) AS revenue, count(*) AS n FROM ({TRADE_E}) e JOIN ({TRADE_V}) c ON c.id = e.src JOIN ({TRADE_V}) s ON s.id = e.dst GROUP BY c.nation, s.nation"
@@ -147,7 +147,7 @@ def geo(spark: SparkSession, d: str) -> PropertyGraph:
     v = [t(k).select(tagged(key, k).alias("id"), F.lit(k).alias("kind"), F.col(name).alias("name")) for k, key, name in kinds]
     up = [("customer", "c_custkey", "c_nationkey", "nation"), ("supplier", "s_suppkey", "s_nationkey", "nation"), ("nation", "n_nationkey", "n_regionkey", "region")]
     e = [t(k).select(tagged(a, k).alias("src"), tagged(b, to).alias("dst")) for k, a, b, to in up]
-    return PropertyGraph.build(v[0].unionByName(v[1]).unionByName(v[2]).unionByName(v[3]), e[0].unionByName(e[1]).unionByName(e[2]))
+    return PropertyGraph.build(v[0].unionByName(v[1]).unionByName(v[2]).unionByName(v[3]), e[0].unionByName(e[1]).unionByName(e[2]), check=False)
 
 
 def targets(spark: SparkSession, d: str) -> PropertyGraph:
