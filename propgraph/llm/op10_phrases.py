@@ -1,19 +1,21 @@
-"""Removal of repeated 50-byte strings by prefix-free parsing and hash grouping.
-
-There is no suffix array, neither of the dictionary nor of the parse, and no corpus order: rows are routed
-and sorted by hashes of the phrase or of 50 bytes, and equal hashes count as equal strings: 128 bits of a
-phrase (trigger and whole), 96 bits of a string (two hashes with other codes), without a look at the bytes.
+"""Removal of repeated 50-byte strings by prefix-free parsing.
 
 Parsing: a rolling hash of 20 bytes triggers a phrase where it becomes, or stops being, the least of the
 31 that a 50-byte string holds. So every 50-byte string lies in one phrase, told by its own bytes alone,
-and phrases overlap by 49 bytes. The dictionary is the distinct phrases, in the order of their trigger's
-hash and their own; in each, occurrences follow by document. An occurrence goes whole if a smaller
-document has the phrase, however often the corpus repeats it.
+and phrases overlap by 49 bytes. The dictionary is the distinct phrases; its occurrences, the parse, follow
+in the order of their documents. An occurrence goes whole if a smaller document has the phrase, however
+often the corpus repeats it (phrases are told by 128 bits of hash, trigger and whole).
+
+Strings of different phrases can match only if these share a trigger. So of dictionary phrases that share
+one, by the least document that has each, the suffixes are put in order, anchored at the trigger: what
+follows it is sorted bytewise, and what stands before it, read backwards; both orders come with the lengths
+of their neighbours' common prefixes. A 50-byte string is so many bytes before the trigger and the rest
+from it on, so equal strings are those whose places fall into the same stretch of both orders: bytes are
+compared, not hashes. All suffixes of the dictionary in one order would move fifty times the text; suffixes of
+phrases whose trigger no other phrase has can't match and are never ordered.
 
-Strings of different phrases can match only if these share a trigger. Sorting all suffixes of the
-dictionary would move fifty times the text, so just the suffixes of phrases that share a trigger with
-another phrase, by the phrase's least document, are put in order (by a hash of their first 50 bytes, then
-document) to find those that a smaller document has.
+A trigger that over HOT dictionary phrases share isn't ordered in one task: its phrases' strings are dealt out
+one by one, by a hash of the whole string, and compared by 96 bits of two hashes.
 
 Cases: null text is empty; texts under 50 bytes lose nothing; a string repeated only within its own
 document stays; rows that share a doc_id, be their texts equal or not, are one document's, none smaller than
@@ -23,6 +25,7 @@ table gives no row. Only doc_id and text are read.
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -35,6 +38,8 @@ from .common import U64, Spans, as_bytes, blocks, release, table, text_of, worke
 LENGTH, GRAM, LONGEST = 50, 20, 1000
 #: Ids with several texts that are sent to every task; more are joined by shuffle.
 MOST_BROADCAST = 100_000
+#: Dictionary phrases of one trigger that one task puts in order; rows of phrases that it orders at a time.
+HOT, AT_ONCE = 50_000, 100_000
 #: A phrase's place: its start times this, plus how many strings it holds.
 UNIT = 1024
 
@@ -84,8 +89,8 @@ def _first(*keys: np.ndarray) -> np.ndarray:
 
 
 def matched_phrases(texts: DataFrame) -> DataFrame:
-    """doc_id, ver, place, repeated: phrases that a smaller document has (true), and the least document's
-    phrases whose trigger another phrase has too (false)."""
+    """t, doc_id, ver, place, repeated: phrases that a smaller document has (true), and the least document's
+    phrases whose trigger t another phrase has too (false)."""
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
@@ -105,11 +110,11 @@ def matched_phrases(texts: DataFrame) -> DataFrame:
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         # of the open group: its trigger, last name, that name's least document, if shared, and rows that wait to know
         last_t = last_name = least = None
-        shared, wait = False, (np.zeros(0, np.int64),) * 3
+        shared, wait = False, (np.zeros(0, np.int64),) * 4
         for batch in batches:
             t, name, d, v, place = (np.asarray(batch.column(c)) for c in ("t", "name", "doc_id", "ver", "place"))
             late = place < 0
-            gone = [(d[late], v[late], -place[late])]
+            gone = [(0 * d[late], d[late], v[late], -place[late])]
             open_ = []
             t, name, d, v, place = t[~late], name[~late], d[~late], v[~late], place[~late]
             if len(t):
@@ -130,33 +135,154 @@ def matched_phrases(texts: DataFrame) -> DataFrame:
                 else:
                     keep = None
                 first = d == firsts[gn]
-                gone.append((d[~first], v[~first], place[~first]))
+                gone.append((0 * d[~first], d[~first], v[~first], place[~first]))
                 many = names[gt] > 1
-                open_.append((d[first & many], v[first & many], place[first & many]))
+                open_.append((t[first & many], d[first & many], v[first & many], place[first & many]))
                 last_t, last_name, least, shared = t[-1], name[-1], firsts[-1], bool(names[-1] > 1)
                 hold = first & ~many & (gt == gt[-1])
-                wait = (d[hold], v[hold], place[hold])
+                wait = (t[hold], d[hold], v[hold], place[hold])
                 if keep is not None:
                     wait = tuple(np.concatenate(x) for x in zip(keep, wait, strict=True))
             for rows, kind in ((gone, True), (open_, False)):
-                for x, y, p in rows:
+                for u, x, y, p in rows:
                     if len(x):
-                        yield _rows(["doc_id", "ver", "place", "repeated"], x, y, p, np.full(len(x), kind))
+                        yield _rows(["t", "doc_id", "ver", "place", "repeated"], u, x, y, p, np.full(len(x), kind))
 
     rows = texts.mapInArrow(emit, "t long, name long, doc_id long, ver long, place long")
     route = F.when(F.col("place") < 0, F.xxhash64("doc_id", "place")).otherwise(F.col("t"))
     rows = rows.repartition(route).sortWithinPartitions("t", "name", "doc_id")
-    return rows.mapInArrow(find, "doc_id long, ver long, place long, repeated boolean")
+    return rows.mapInArrow(find, "t long, doc_id long, ver long, place long, repeated boolean")
 
 
-def asked_texts(texts: DataFrame, matched: DataFrame) -> DataFrame:
+def asked_texts(texts: DataFrame, asked: DataFrame) -> DataFrame:
     """doc_id, ver, text, places: texts with phrases in question, and these."""
-    asked = matched.where("NOT repeated").groupBy("doc_id", "ver").agg(F.collect_list("place").alias("places"))
-    return texts.join(asked, ["doc_id", "ver"]).select("doc_id", "ver", "text", "places")
+    places = asked.groupBy("doc_id", "ver").agg(F.collect_list("place").alias("places"))
+    return texts.join(places, ["doc_id", "ver"]).select("doc_id", "ver", "text", "places")
+
+
+def anchors(h: np.ndarray, at: np.ndarray, n: np.ndarray, width: int = LENGTH - GRAM + 1) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(phrase, start, strings, trigger, anchor) of phrases cut so that all strings of one have their first
+    least hash at one place, `anchor` bytes after its start. h: the hash at every place."""
+    last, wide = len(h) - 1, np.arange(2 * width - 1)
+    t = np.empty(len(at), np.uint64)
+    out = []
+    for a in range(0, len(at), 1 << 14):
+        part = slice(a, a + (1 << 14))
+        near = h[np.minimum(at[part, None] + wide, last)]
+        t[part] = near[:, :width].min(axis=1)
+        hit = (near == t[part, None]) & (wide < (n[part] + width - 1)[:, None])
+        one = (n[part] <= width) & (hit.sum(axis=1) == 1)
+        k = a + np.flatnonzero(one)
+        out.append((k, at[k], n[k], hit[one].argmax(axis=1)))
+        many = a + np.flatnonzero(~one)
+        for b in range(0, len(many), 16):
+            k = many[b : b + 16]
+            k = np.repeat(k, n[k])
+            inner = np.arange(len(k)) - np.searchsorted(k, k)
+            start = at[k] + inner
+            place = start + (h[start[:, None] + np.arange(width)] == t[k, None]).argmax(axis=1)
+            new = np.flatnonzero(_first(k, place))
+            out.append((k[new], start[new], np.diff(np.append(new, len(k))), (place - start)[new]))
+    k, start, size, anchor = (np.concatenate(x) for x in zip(*out, strict=True)) if out else (np.zeros(0, np.int64),) * 4
+    return k, start, size, t[k], anchor
+
+
+def common_prefixes(rows: np.ndarray, order: np.ndarray, group: np.ndarray) -> np.ndarray:
+    """Of rows of bytes in order: how many first bytes each shares with the one before; -1 at a group's first."""
+    out = np.full(len(order), -1, np.int64)
+    if len(order) > 1:
+        unlike = rows[order[1:]] != rows[order[:-1]]
+        long = np.where(unlike.any(axis=1), unlike.argmax(axis=1), rows.shape[1])
+        out[1:] = np.where(group[order[1:]] == group[order[:-1]], long, -1)
+    return out
+
+
+def in_order(rows: np.ndarray, group: np.ndarray) -> np.ndarray:
+    """The rows' bytewise order within their groups."""
+    words = np.pad(rows, ((0, 0), (0, -rows.shape[1] % 8))).view(">u8")
+    return np.lexsort([*(words[:, i] for i in range(words.shape[1] - 1, -1, -1)), group])
+
+
+def ordered_matches(t: np.ndarray, doc: np.ndarray, n: np.ndarray, anchor: np.ndarray, data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(phrase, first string, strings): runs of strings that a phrase of a smaller document has, of whole trigger groups."""
+    r = len(t)
+    before, after = LENGTH - GRAM, LENGTH
+    at = (off[:-1] + anchor)[:, None] + np.arange(after)
+    ahead = np.where(at < off[1:, None], data[np.minimum(at, len(data) - 1)], 0).astype(np.uint8)
+    at = (off[:-1] + anchor)[:, None] - 1 - np.arange(before)
+    back = np.where(at >= off[:-1, None], data[np.maximum(at, 0)], 0).astype(np.uint8)
+    orders = [in_order(x, t) for x in (ahead, back)]
+    common = [common_prefixes(x, o, t) for x, o in zip((ahead, back), orders, strict=True)]
+    rank = [np.empty(r, np.int64) for _ in orders]
+    for o, k in zip(orders, rank, strict=True):
+        k[o] = np.arange(r)
+    gone = np.zeros((r, before + 2), bool)
+    for k in range(before + 1):
+        # strings with k bytes before the trigger: equal where both parts lie in one stretch of their order
+        some = np.flatnonzero((anchor >= k) & (anchor - n < k))
+        if not len(some):
+            continue
+        right, left = (np.cumsum(c < m)[q[some]] for c, m, q in ((common[0], LENGTH - k, rank[0]), (common[1], k, rank[1])))
+        order = np.lexsort((doc[some], left, right))
+        d, right, left = doc[some][order], right[order], left[order]
+        head = _first(right, left)
+        late = d > d[head][np.cumsum(head) - 1]
+        hit = some[order[late]]
+        gone[hit, anchor[hit] - k] = True
+    edge = np.diff(gone.astype(np.int8), axis=1, prepend=0)
+    row, first = np.nonzero(edge == 1)
+    _, end = np.nonzero(edge == -1)
+    return row, first, end - first
+
+
+def matched_suffixes(asked: DataFrame) -> DataFrame:
+    """doc_id, ver, place: runs of strings, of the phrases in question, that a smaller document has, found in suffix order."""
+
+    def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches):
+            ids, ver = (np.asarray(batch.column(c), dtype=np.int64) for c in ("doc_id", "ver"))
+            buf, off = as_bytes(batch.column("text"))
+            lists = batch.column("places")
+            place = np.asarray(lists.flatten())
+            doc = np.repeat(np.arange(batch.num_rows), np.diff(np.asarray(lists.offsets)))
+            q = np.arange(max(0, len(buf) - GRAM + 1))
+            k, at, n, t, anchor = anchors(Spans(buf).of(q, q + GRAM), off[doc] + place // UNIT, place % UNIT)
+            size = n + LENGTH - 1
+            end = np.cumsum(size)
+            data = buf[np.repeat(at - (end - size), size) + np.arange(int(size.sum()))]
+            rows = pa.BinaryArray.from_buffers(pa.binary(), len(size), [None, pa.py_buffer(np.concatenate([[0], end]).astype(np.int32)), pa.py_buffer(data)])
+            own = doc[k]
+            cols = [pa.array(x) for x in (t.view(np.int64), ids[own], ver[own], ((at - off[own]) << 12) | (n << 6) | anchor)]
+            yield pa.RecordBatch.from_arrays([*cols, rows], names=["t", "doc_id", "ver", "place", "phrase"])
+
+    def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def done(table: pa.Table) -> pa.RecordBatch:
+            t, d, v, p = (np.asarray(table.column(c), dtype=np.int64) for c in ("t", "doc_id", "ver", "place"))
+            data, off = as_bytes(table.column("phrase"))
+            row, first, n = ordered_matches(t, d, (p >> 6) & 63, p & 63, data, off)
+            return _rows(["doc_id", "ver", "place"], d[row], v[row], ((p >> 12)[row] + first) * UNIT + n)
+
+        held, count = [], 0
+        for batch in batches:
+            held.append(batch)
+            count += batch.num_rows
+            if count < AT_ONCE:
+                continue
+            table = pa.Table.from_batches(held)
+            t = np.asarray(table.column("t"))
+            cut = int(np.searchsorted(t, t[-1]))  # the last group may go on
+            if cut:
+                yield done(table.slice(0, cut))
+            held, count = table.slice(cut).to_batches(), len(t) - cut
+        if count:
+            yield done(pa.Table.from_batches(held))
+
+    rows = asked.mapInArrow(emit, "t long, doc_id long, ver long, place long, phrase binary")
+    return rows.repartition("t").sortWithinPartitions("t").mapInArrow(find, "doc_id long, ver long, place long")
 
 
 def repeated_strings(asked: DataFrame) -> DataFrame:
-    """doc_id, ver, place: starts of strings, of the phrases in question, that a smaller document has."""
+    """doc_id, ver, place: starts of strings, of the phrases in question, that a smaller document has, by hashes of the strings."""
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
@@ -225,11 +351,22 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     texts = versions(docs)
     known = texts.where("doc_id IS NOT NULL")
     matched = written(matched_phrases(known), "phrases")
-    # a table, so that the shuffled texts are gone before the strings are shuffled
-    asked = written(asked_texts(known, matched), "asked-texts")
-    strings = written(repeated_strings(asked), "strings")
+    found = [matched.where("repeated").select("doc_id", "ver", "place")]
+    phrases_ = matched.where("NOT repeated")
+    hot = written(phrases_.groupBy("t").agg(F.count("*").alias("n")).where(F.col("n") > HOT).select("t"), "hot-triggers")
+    n = hot.count()
+    if n:
+        many = F.broadcast(hot) if n <= MOST_BROADCAST else hot
+        # tables, so that the shuffled texts are gone before what is made of them is shuffled
+        asked = written(asked_texts(known, phrases_.join(many, "t", "left_semi")), "asked-texts")
+        strings = written(repeated_strings(asked), "strings")
+        release(asked)
+        found.append(strings.select("doc_id", "ver", (F.col("place") * UNIT + 1).alias("place")))
+        phrases_ = phrases_.join(many, "t", "left_anti")
+    asked = written(asked_texts(known, phrases_), "asked-texts")
+    found.append(written(matched_suffixes(asked), "suffixes"))
     release(asked)
-    gone = matched.where("repeated").select("doc_id", "ver", "place").unionByName(strings.select("doc_id", "ver", (F.col("place") * UNIT + 1).alias("place")))
+    gone = functools.reduce(DataFrame.unionByName, found)
     marks = gone.groupBy("doc_id", "ver").agg(F.collect_list("place").alias("places"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -611,18 +611,34 @@ def test_repeated_strings(spark, docs, empty):
     assert o10.remove_repeats(empty).count() == 0
 
 
-def test_repeated_strings_at_random(spark):
+@pytest.mark.parametrize("hot", [50_000, 1])
+def test_repeated_strings_at_random(spark, monkeypatch, hot):
+    """In suffix order, and with triggers of more than one phrase taken for hot, by strings; few rows at a time, so that groups go on over batches."""
+    monkeypatch.setattr(o10, "HOT", hot)
+    monkeypatch.setattr(o10, "AT_ONCE", 40)
     r = random.Random(8)
     pool = [words(r, 40, 60) for _ in range(12)]
     rows = []
     for i in range(150):
         t = " ".join(r.choice(pool)[r.randrange(60) :][: r.randrange(30, 160)] for _ in range(r.randrange(1, 6)))
-        rows.append((i, t if i % 10 else t[:1] * r.randrange(3000)))
+        rows.append((i, t if i % 10 else (t[: r.randrange(1, 30)] * r.randrange(300))[:3000]))
     want = repeated_bytes(rows)
     for x in o10.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string").repartition(5)).collect():
         assert {(x["n_bytes"], x["n_removed"], len(x["spans"]) // 2, bytes(x["kept"]))} == want[x["doc_id"]]
 
 
+def test_common_prefixes_of_sorted_rows():
+    r = np.random.default_rng(3)
+    rows, group = r.integers(0, 2, (500, 50)).astype(np.uint8) * 255, r.integers(-2, 2, 500)
+    order = o10.in_order(rows, group)
+    assert [(group[i], rows[i].tobytes()) for i in order] == sorted((g, x.tobytes()) for g, x in zip(group, rows, strict=True))
+    got = o10.common_prefixes(rows, order, group)
+    for j in range(1, 500):
+        a, b = order[j - 1], order[j]
+        want = -1 if group[a] != group[b] else next((i for i in range(50) if rows[a, i] != rows[b, i]), 50)
+        assert got[j] == want
+
+
 def test_pipeline_stages(spark, docs, empty):
     import corpus_pipeline as c
 
