@@ -118,3 +118,29 @@ def compare_neighbours(docs: DataFrame) -> DataFrame:
 def op1_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = compare_neighbours(table(spark, sf_dir, "documents"))
     return rows.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), digest("fp").alias("fingerprint"), digest("efp").alias("edited_fingerprint"), "near_edited", "near_next", F.size("fp").alias("n_prints"))
+
+
+def op1_likeness(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op1_winnowing that SQL can say: all but the digests of the fingerprints."""
+    rows = compare_neighbours(table(spark, sf_dir, "documents"))
+    return rows.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), "near_edited", "near_next", F.size("fp").cast("long").alias("n_prints"))
+
+
+_POWERS = [pow(BASE, K - 1 - j, PRIME) for j in range(K)]
+ORACLE = f"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t, row_number() OVER (ORDER BY doc_id) AS k, count(*) OVER () AS n FROM documents),
+e AS MATERIALIZED (SELECT a.doc_id, b.doc_id AS after, a.t, left(a.t, length(a.t) - length(a.t) // 2) || left(b.t, length(a.t) // 2) AS edited FROM d a JOIN d b ON b.k = a.k % a.n + 1),
+x AS (SELECT doc_id, v, list_transform(string_split(s, ''), lambda z: unicode(z)::BIGINT) AS codes, length(s) AS n FROM (SELECT doc_id, 0 AS v, t AS s FROM e UNION ALL SELECT doc_id, 1, edited FROM e) y WHERE length(s) > 0),
+c AS (SELECT doc_id, v, n, unnest(codes) AS c, generate_subscripts(codes, 1) AS i FROM x),
+g AS (SELECT doc_id, v, i, n, ({" + ".join(f"lead(c, {j}) OVER w * {p} % {PRIME}" for j, p in enumerate(_POWERS))}) % {PRIME} AS h FROM c WINDOW w AS (PARTITION BY doc_id, v ORDER BY i)),
+h AS (SELECT doc_id, v, i, n - {K - 1} AS m, (h << 32) | ({(1 << 32) - 1} - (i - 1)) AS p FROM g WHERE i <= n - {K - 1}
+  UNION ALL SELECT doc_id, v, 1, 1, (list_reduce(codes, lambda a, b: (a * {BASE} + b) % {PRIME}) % {PRIME} << 32) | {(1 << 32) - 1} FROM x WHERE n < {K}),
+f AS MATERIALIZED (SELECT DISTINCT doc_id, v, least AS p FROM (SELECT doc_id, v, i, m, min(p) OVER (PARTITION BY doc_id, v ORDER BY i ROWS BETWEEN CURRENT ROW AND {W - 1} FOLLOWING) AS least FROM h) q WHERE i <= greatest(m - {W - 1}, 1)),
+s AS MATERIALIZED (SELECT DISTINCT doc_id, v, p >> 32 AS h FROM f), z AS (SELECT doc_id, v, count(*) AS k FROM s GROUP BY doc_id, v),
+pairs AS (SELECT doc_id, 'edited' AS what, doc_id AS other, 1 AS ov FROM e UNION ALL SELECT doc_id, 'next', after, 0 FROM e),
+shared AS (SELECT r.doc_id, r.what, count(*) AS k FROM pairs r JOIN s a ON a.doc_id = r.doc_id AND a.v = 0 JOIN s b ON b.doc_id = r.other AND b.v = r.ov AND b.h = a.h GROUP BY r.doc_id, r.what),
+near AS (SELECT r.doc_id, r.what, CASE WHEN coalesce(a.k, 0) + coalesce(b.k, 0) = 0 THEN 1.0::DOUBLE ELSE coalesce(o.k, 0) / (coalesce(a.k, 0) + coalesce(b.k, 0) - coalesce(o.k, 0))::DOUBLE END AS likeness
+  FROM pairs r LEFT JOIN z a ON a.doc_id = r.doc_id AND a.v = 0 LEFT JOIN z b ON b.doc_id = r.other AND b.v = r.ov LEFT JOIN shared o ON o.doc_id = r.doc_id AND o.what = r.what)
+SELECT e.doc_id, length(t)::BIGINT AS n_chars, sha256(edited) AS edited_sha256, a.likeness AS near_edited, b.likeness AS near_next, coalesce((SELECT count(*) FROM f WHERE f.doc_id = e.doc_id AND v = 0), 0)::BIGINT AS n_prints
+FROM e JOIN near a ON a.doc_id = e.doc_id AND a.what = 'edited' JOIN near b ON b.doc_id = e.doc_id AND b.what = 'next'
+"""
