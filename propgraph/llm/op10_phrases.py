@@ -400,3 +400,17 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
 def op10_phrase_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = remove_repeats(table(spark, sf_dir, "documents"))
     return rows.select("doc_id", "n_bytes", "n_removed", (F.size("spans") / 2).cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
+
+
+ORACLE = f"""
+WITH d AS MATERIALIZED (SELECT doc_id, hex(encode(coalesce(text, ''))) AS x, octet_length(encode(coalesce(text, '')))::BIGINT AS n FROM documents),
+q AS (SELECT doc_id, n, i, substr(x, 2 * i + 1, {2 * LENGTH}) AS s FROM d, LATERAL (SELECT unnest(range(0, n - {LENGTH - 1})) AS i) r),
+m AS MATERIALIZED (SELECT doc_id, i FROM (SELECT doc_id, i, min(doc_id) OVER (PARTITION BY s) AS first FROM q) t WHERE first < doc_id),
+b AS (SELECT doc_id, i, coalesce(i > lag(i) OVER w + {LENGTH}, true) AS new FROM m WINDOW w AS (PARTITION BY doc_id ORDER BY i)),
+r AS (SELECT doc_id, i, sum(new::INT) OVER (PARTITION BY doc_id ORDER BY i) AS run FROM b),
+g AS MATERIALIZED (SELECT doc_id, run, min(i) AS a, max(i) + {LENGTH} AS e FROM r GROUP BY doc_id, run),
+c AS (SELECT doc_id, a AS e, coalesce(lag(e) OVER (PARTITION BY doc_id ORDER BY a), 0) AS a FROM g UNION ALL SELECT doc_id, n, coalesce((SELECT max(e) FROM g WHERE g.doc_id = d.doc_id), 0) FROM d),
+k AS (SELECT c.doc_id, string_agg(substr(x, 2 * a + 1, 2 * (c.e - a)), '' ORDER BY a) AS x FROM c JOIN d ON d.doc_id = c.doc_id GROUP BY c.doc_id)
+SELECT d.doc_id, n AS n_bytes, coalesce(t.removed, 0)::BIGINT AS n_removed, coalesce(t.runs, 0)::BIGINT AS n_spans, sha256(unhex(k.x)) AS kept_sha256
+FROM d JOIN k ON k.doc_id = d.doc_id LEFT JOIN (SELECT doc_id, sum(e - a) AS removed, count(*) AS runs FROM g GROUP BY doc_id) t ON t.doc_id = d.doc_id
+"""

@@ -269,3 +269,15 @@ def _texts(docs: DataFrame, wanted: DataFrame, n: int) -> DataFrame:
 
 def op6_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
+
+
+ORACLE = f"""
+WITH RECURSIVE w AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS ws FROM documents),
+s AS MATERIALIZED (SELECT DISTINCT doc_id, unnest(CASE WHEN len(ws) >= 5 THEN list_transform(range(1, len(ws) - 3), lambda i: array_to_string(ws[i:i + 4], ' ')) WHEN len(ws) > 0 THEN [array_to_string(ws, ' ')] ELSE [] END) AS g FROM w),
+k AS MATERIALIZED (SELECT doc_id, count(*) AS k FROM s GROUP BY doc_id),
+m AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS n FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL),
+p AS MATERIALIZED (SELECT a, b FROM m JOIN k x ON x.doc_id = a JOIN k y ON y.doc_id = b WHERE 100 * n >= {THRESHOLD} * (x.k + y.k - n)),
+e AS MATERIALIZED (SELECT a, b FROM p UNION SELECT b, a FROM p),
+cc(id, component) USING KEY (id) AS (SELECT doc_id, doc_id FROM documents UNION (SELECT e.b AS id, min(cc.component) AS component FROM cc JOIN e ON e.a = cc.id JOIN recurring.cc AS r ON r.id = e.b WHERE cc.component < r.component GROUP BY e.b))
+SELECT d.doc_id, coalesce(k.k, 0)::BIGINT AS n_shingles, component AS component_id, component = d.doc_id AS kept FROM documents d JOIN cc ON cc.id = d.doc_id LEFT JOIN k ON k.doc_id = d.doc_id
+"""

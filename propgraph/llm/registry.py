@@ -19,4 +19,4 @@ QUERIES = {
     "op9_line_passages": op9_line_chunks.op9_line_passages,
     "op10_phrase_dedup": op10_phrases.op10_phrase_dedup,
 }
-ORACLES = {"op1_likeness": op1_winnow.ORACLE, "op7_base_counts": op7_secrets.BASE_COUNTS, "op8_poisson_mix": op8_poisson.ORACLE, "op9_line_chunk_dedup": op9_line_chunks.ORACLE, "op9_line_passages": op9_line_chunks.PASSAGES_ORACLE}
+ORACLES = {"op1_likeness": op1_winnow.ORACLE, "op6_minhash": op6_minhash.ORACLE, "op10_phrase_dedup": op10_phrases.ORACLE, "op7_base_counts": op7_secrets.BASE_COUNTS, "op8_poisson_mix": op8_poisson.ORACLE, "op9_line_chunk_dedup": op9_line_chunks.ORACLE, "op9_line_passages": op9_line_chunks.PASSAGES_ORACLE}
