@@ -190,9 +190,11 @@ class ByteGru:
 
     def sums(self, raw: np.ndarray, off: np.ndarray) -> np.ndarray:
         """Summed log-probabilities (texts, labels) over each text's positions."""
-        up_to = np.zeros((len(raw) + 1, len(self.labels)))
-        np.cumsum(self.positions(raw, off), axis=0, dtype=np.float64, out=up_to[1:])
-        return up_to[off[1:]] - up_to[off[:-1]]
+        out = np.zeros((len(off) - 1, len(self.labels)))
+        some = np.flatnonzero(np.diff(off))
+        if len(some):
+            out[some] = np.add.reduceat(self.positions(raw, off), off[some], axis=0, dtype=np.float64)
+        return out
 
 
 def padded(segments: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -249,7 +251,7 @@ def label_languages(docs: DataFrame, net: ByteGru | None, carry: bool = False) -
             row = batch.column("row")
             return pa.RecordBatch.from_arrays([row, row.field("text")], names=["row", "text"])
 
-        for batch in blocks(map(split, batches) if carry else batches):
+        for batch in blocks(map(split, batches) if carry else batches, most=1 << 19):
             texts = batch.column("text").to_pylist()
             known = np.array([t is not None and net is not None and any(map(str.isalpha, t)) for t in texts], bool)
             raw, off = as_bytes(batch.column("text"))
