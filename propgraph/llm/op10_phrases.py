@@ -39,7 +39,7 @@ LENGTH, GRAM, LONGEST = 50, 20, 1000
 #: Ids with several texts that are sent to every task; more are joined by shuffle.
 MOST_BROADCAST = 100_000
 #: Dictionary phrases of one trigger that one task puts in order; rows of phrases that it orders at a time.
-HOT, AT_ONCE = 50_000, 100_000
+HOT, AT_ONCE = 50_000, 16_000
 #: A phrase's place: its start times this, plus how many strings it holds.
 UNIT = 1024
 
@@ -93,7 +93,7 @@ def matched_phrases(texts: DataFrame) -> DataFrame:
     phrases whose trigger t another phrase has too (false)."""
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
+        for batch in blocks(batches, most=1 << 19):
             ids, ver = (np.asarray(batch.column(c), dtype=np.int64) for c in ("doc_id", "ver"))
             buf, off = as_bytes(batch.column("text"))
             spans = Spans(buf)
@@ -166,8 +166,8 @@ def anchors(h: np.ndarray, at: np.ndarray, n: np.ndarray, width: int = LENGTH -
     last, wide = len(h) - 1, np.arange(2 * width - 1)
     t = np.empty(len(at), np.uint64)
     out = []
-    for a in range(0, len(at), 1 << 14):
-        part = slice(a, a + (1 << 14))
+    for a in range(0, len(at), 1 << 12):
+        part = slice(a, a + (1 << 12))
         near = h[np.minimum(at[part, None] + wide, last)]
         t[part] = near[:, :width].min(axis=1)
         hit = (near == t[part, None]) & (wide < (n[part] + width - 1)[:, None])
@@ -207,9 +207,10 @@ def ordered_matches(t: np.ndarray, doc: np.ndarray, n: np.ndarray, anchor: np.nd
     """(phrase, first string, strings): runs of strings that a phrase of a smaller document has, of whole trigger groups."""
     r = len(t)
     before, after = LENGTH - GRAM, LENGTH
-    at = (off[:-1] + anchor)[:, None] + np.arange(after)
+    off = off.astype(np.int32)
+    at = (off[:-1] + anchor.astype(np.int32))[:, None] + np.arange(after, dtype=np.int32)
     ahead = np.where(at < off[1:, None], data[np.minimum(at, len(data) - 1)], 0).astype(np.uint8)
-    at = (off[:-1] + anchor)[:, None] - 1 - np.arange(before)
+    at = (off[:-1] + anchor.astype(np.int32))[:, None] - 1 - np.arange(before, dtype=np.int32)
     back = np.where(at >= off[:-1, None], data[np.maximum(at, 0)], 0).astype(np.uint8)
     orders = [in_order(x, t) for x in (ahead, back)]
     common = [common_prefixes(x, o, t) for x, o in zip((ahead, back), orders, strict=True)]
@@ -239,7 +240,7 @@ def matched_suffixes(asked: DataFrame) -> DataFrame:
     """doc_id, ver, place: runs of strings, of the phrases in question, that a smaller document has, found in suffix order."""
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
+        for batch in blocks(batches, most=1 << 19):
             ids, ver = (np.asarray(batch.column(c), dtype=np.int64) for c in ("doc_id", "ver"))
             buf, off = as_bytes(batch.column("text"))
             lists = batch.column("places")
@@ -285,7 +286,7 @@ def repeated_strings(asked: DataFrame) -> DataFrame:
     """doc_id, ver, place: starts of strings, of the phrases in question, that a smaller document has, by hashes of the strings."""
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
+        for batch in blocks(batches, most=1 << 19):
             ids, ver = (np.asarray(batch.column(c), dtype=np.int64) for c in ("doc_id", "ver"))
             buf, off = as_bytes(batch.column("text"))
             lists = batch.column("places")
@@ -370,7 +371,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     marks = gone.groupBy("doc_id", "ver").agg(F.collect_list("place").alias("places"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
+        for batch in blocks(batches, most=1 << 19):
             raw, off = as_bytes(batch.column("text"))
             lists = batch.column("places")
             flat, ends = np.asarray(lists.flatten()), np.asarray(lists.offsets)
