@@ -19,24 +19,19 @@ def degrees(g: PropertyGraph, kind: str = "total") -> DataFrame:
     return sums.select("id", F.col("msg").alias("degree"))
 
 
-def with_out_degree(g: PropertyGraph) -> PropertyGraph:
-    rows = g.edges.groupBy("src").agg(F.count("*").alias("_out"))
-    return PropertyGraph(g.vertices, g.edges.join(rows, "src"), g.layout)
-
-
 def _rank_graph(g: PropertyGraph, init: float) -> PropertyGraph:
     out = g.edges.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("out"))
     v = g.vertices.select("id").join(out, "id", "left").select("id", F.lit(init).alias("pr"), F.coalesce("out", F.lit(0)).alias("out"))
     return PropertyGraph(v, g.edges.select("src", "dst"), g.layout)
 
 
-def pagerank(g: PropertyGraph, rounds: int = 20, tol: float | None = None, reset: float = 0.15, init: float = 1.0, via: str = "direct", mode: str = "full", trace: Trace | None = None, reuse: bool = True, every: int = 5, eliminate: bool = True) -> DataFrame:
+def pagerank(g: PropertyGraph, rounds: int = 20, tol: float | None = None, reset: float = 0.15, init: float = 1.0, via: str = "direct", mode: str = "full", trace: Trace | None = None, reuse: bool = True, every: int = 2, eliminate: bool = True) -> DataFrame:
     """id, pr. Unnormalized; the rank of vertices without out-links isn't handed on.
 
     via: direct, operators, supersteps, gas, classic. tol stops when no rank moves by more; a trace then tells how
     many moved by more. mode 'delta' (with tol) hands on rank differences above tol only and keeps the rest for
-    later. Ablations: reuse=False (direct) deals the edges out anew every round, eliminate=False (operators)
-    joins both ends though a message reads one."""
+    later. Ablations: reuse=False (direct) deals the edges out and sorts them anew every round, eliminate=False
+    (operators) joins both ends though a message reads one. every: rounds between checkpoints (direct)."""
     share = lambda t: t.src["pr"] / t.src["out"]
     new = lambda m: F.lit(reset) + F.lit(1 - reset) * F.coalesce(m, F.lit(0.0))
     if mode == "delta":
@@ -67,25 +62,19 @@ def pagerank(g: PropertyGraph, rounds: int = 20, tol: float | None = None, reset
     if via == "classic":
         fold = lambda m: {"pr": new(F.aggregate(m, F.lit(0.0), lambda a, x: a + x))}
         return run_supersteps_classic(_rank_graph(g, init), fold, share, rounds).vertices.select("id", "pr")
+    r = _rank_graph(g, init)
     with loop_scope(spark):
-        # edges lie by source with the source's out-degree and stay there; only sums move
-        e, ids = g.edges.select("src", "dst"), g.vertices.select("id")
-        if reuse:
-            e = e.repartition("src").sortWithinPartitions("src")
-            e = e.join(e.groupBy("src").agg(F.count("*").alias("_out")), "src").select("src", "dst", "_out").persist()
-            ids = ids.repartition("id").sortWithinPartitions("id").persist()
-        else:
-            e = with_out_degree(PropertyGraph(ids, e, g.layout)).edges.select("src", "dst", "_out")
-        state = ids.select("id", F.lit(init).alias("pr"))
+        # edges lie by source as vertices do by id, and stay there; only sums move
+        e = by_key(r.edges, "src", "dst") if reuse else kept(r.edges)
+        state = by_key(r.vertices, "id")
         for i in range(rounds):
-            sums = e.join(state.withColumnRenamed("id", "src"), "src").groupBy(F.col("dst").alias("id")).agg(F.sum(F.col("pr") / F.col("_out")).alias("msg"))
-            state = ids.join(sums, "id", "left").select("id", new(F.col("msg")).alias("pr"))
+            at = e if reuse else e.repartition("src").sortWithinPartitions("src")
+            sent = at.join(state.select(F.col("id").alias("src"), (F.col("pr") / F.col("out")).alias("_share")), "src")
+            sums = sent.groupBy(F.col("dst").alias("id")).agg(F.sum("_share").alias("msg"))
+            state = state.join(sums, "id", "left").select("id", new(F.col("msg")).alias("pr"), "out")
             if (i + 1) % every == 0 or i + 1 == rounds:
                 state = kept(state)
-        if reuse and rounds:
-            e.unpersist()
-            ids.unpersist()
-    return state
+    return state.select("id", "pr")
 
 
 def _pagerank_delta(g: PropertyGraph, tol: float, rounds: int, reset: float, init: float, trace: Trace | None) -> DataFrame:

@@ -153,5 +153,4 @@ def run_gas(g: PropertyGraph, gather: Callable, apply: Callable[[Column], dict[s
                 columns = scatter(after)
                 names = list(dict.fromkeys([*site.edges.columns, *columns]))
                 site.edges = kept(site.joined(after, view, None, "scan").withColumns(columns).select(*names).sortWithinPartitions("pid", "src"))
-    edges = site.edges.drop("pid")
-    return PropertyGraph(state.drop(FRESH), edges, g.layout)
+    return PropertyGraph(state.drop(FRESH), site.edges.drop("pid"), g.layout)

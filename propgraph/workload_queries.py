@@ -47,6 +47,7 @@ VISITS_RANKS = ranks_sql(V, E1, 20)
 VISITS_60 = ranks_sql(V, E1, 60, "SELECT id, round(pr, 3) AS pr FROM ranks")
 BASKETS_V = _edge_ids(w.BASKETS_E)
 BASKETS_CC = components_sql(BASKETS_V, w.BASKETS_E)
+RANKS_SUPPLY = ranks_sql(f"SELECT id FROM ({w.SUPPLY_V}) v0", f"SELECT src, dst FROM ({w.SUPPLY_E}) a UNION ALL SELECT dst, src FROM ({w.SUPPLY_E}) b", 10)
 HALF = "2024-01-16"
 
 
@@ -404,6 +405,7 @@ QUERIES = {
     "pagerank_20": _pr(w.visits),
     "pagerank_weblinks": _pr(w.weblinks),
     "pagerank_supply": lambda s, d: alg.pagerank(w.supply(s, d).symmetrize(), 10).select("id", F.round("pr", 6).alias("pr")),
+    "pagerank_supply_no_reuse": lambda s, d: alg.pagerank(w.supply(s, d).symmetrize(), 10, reuse=False).select("id", F.round("pr", 6).alias("pr")),
     "pagerank_tol": _round_to(lambda s, d: alg.pagerank(w.visits(s, d), 100, tol=1e-6)),
     "pagerank_delta": _round_to(lambda s, d: alg.pagerank(w.visits(s, d), 200, tol=1e-7, mode="delta")),
     "pagerank_gas": _pr(w.visits, via="gas"),
@@ -479,7 +481,7 @@ _DEG["total"] = f"SELECT id, sum(degree)::BIGINT AS degree FROM ({_DEG['in']} UN
 ORACLES = {
     **{k: VISITS_RANKS for k in ("pagerank_20", "pagerank_gas", "pagerank_supersteps", "pagerank_operators", "pagerank_classic", "pagerank_no_reuse", "pagerank_dataflow", "pagerank_edge_cut", "pagerank_edge_cut_combined", "pagerank_no_elimination")},
     "pagerank_weblinks": ranks_sql(w.WEB_V, f"SELECT src, dst FROM ({w.WEB_E}) z", 20),
-    "pagerank_supply": ranks_sql(f"SELECT id FROM ({w.SUPPLY_V}) v0", f"SELECT src, dst FROM ({w.SUPPLY_E}) a UNION ALL SELECT dst, src FROM ({w.SUPPLY_E}) b", 10),
+    **{k: RANKS_SUPPLY for k in ("pagerank_supply", "pagerank_supply_no_reuse")},
     "pagerank_tol": VISITS_60,
     "pagerank_delta": VISITS_60,
     "pagerank_active_trace": rank_trace_sql(),
