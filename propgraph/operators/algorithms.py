@@ -69,7 +69,7 @@ def pagerank(g: PropertyGraph, rounds: int = 20, tol: float | None = None, reset
         state = by_key(r.vertices, "id")
         for i in range(rounds):
             at = e if reuse else e.repartition("src").sortWithinPartitions("src")
-            sent = at.join(state.select(F.col("id").alias("src"), (F.col("pr") / F.col("out")).alias("_share")), "src")
+            sent = at.join(state.select(F.col("id").alias("src"), F.try_divide("pr", "out").alias("_share")), "src")
             sums = sent.groupBy(F.col("dst").alias("id")).agg(F.sum("_share").alias("msg"))
             state = state.join(sums, "id", "left").select("id", new(F.col("msg")).alias("pr"), "out")
             if (i + 1) % every == 0 or i + 1 == rounds:
@@ -84,7 +84,7 @@ def _pagerank_delta(g: PropertyGraph, tol: float, rounds: int, reset: float, ini
 
         def sums(shares: DataFrame, column: str) -> DataFrame:
             """Of the vertices in shares only; their rows and the edges lie alike, so only sums move."""
-            sent = edges.join(shares.select(F.col("id").alias("src"), (F.col(column) / F.col("out")).alias("_share")), "src")
+            sent = edges.join(shares.select(F.col("id").alias("src"), F.try_divide(column, "out").alias("_share")), "src")
             return sent.groupBy(F.col("dst").alias("id")).agg(F.sum("_share").alias("msg"))
 
         first = F.lit(reset) + F.lit(1 - reset) * F.coalesce("msg", F.lit(0.0))
