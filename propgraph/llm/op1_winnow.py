@@ -1,11 +1,12 @@
 """Winnowing fingerprints in Spark expressions only.
 
-A rolling (polynomial, prime modulus) hash covers every K = 16 code points in a row, as they stand in the
-text; of each W = 16 hashes in a row the least is chosen, the rightmost at a tie, and kept with its position,
-the hash's first code point. Two texts that share at least W + K - 1 = 31 code points in a row share a fingerprint,
-in any script and at any offsets.
+A text's tokens are its lower-cased form's runs of non-space characters; a run of over LONG = 16 is taken
+character by character, so that text without spaces (Chinese, Japanese, base64, minified code) is read at every
+offset alike. A rolling (polynomial, prime modulus) hash covers every K = 4 tokens in a row; of each W = 4 hashes in a
+row the least is chosen, the rightmost at a tie, and kept with its position. Two texts that share at least
+W + K - 1 = 7 tokens in a row share a fingerprint, wherever these stand.
 
-Cases: null text is empty; an empty text has an empty fingerprint; with fewer than K code points
+Cases: null text is empty; a text without tokens has an empty fingerprint; with fewer than K tokens
 all of them make one hash; with fewer than W hashes they make one window. Two empty fingerprints
 are alike (1.0), one empty and one not are unlike (0.0). Null doc_ids come first in the order; rows
 of one doc_id, or without any, are ordered by a hash of the text, then the text. Only doc_id and text are
@@ -22,8 +23,11 @@ from pyspark.sql import functions as F
 from .common import table, text_of
 from .ordered import LEAST, MOST_BUCKETS, PER_BUCKET, range_bucket
 
-K, W = 16, 16
+K, W, LONG = 4, 4, 16
 PRIME, BASE = 2147483647, 1540483477
+#: Fixed value: what isn't white space.
+INK = r"[^\x20\x09-\x0D]"
+TOKEN = rf"(?<!{INK}){INK}{{1,{LONG}}}(?!{INK})|{INK}"
 
 
 def _pairs(a: str, step: int, f) -> Column:
@@ -40,22 +44,22 @@ def _joined(power: int) -> Callable[[Column, Column], Column]:
 def fingerprints(df: DataFrame, text: str, out: str) -> DataFrame:
     """df with the column `out`: array of (hash << 32 | 2^32 - 1 - position), in text order.
 
-    Hashes of 2, 4, 8 and 16 code points come from two of half the length, least values likewise, so that no step
-    looks at a code point more than twice. Steps are selects of their own, so that no array is made twice."""
+    Hashes of 2 and 4 tokens come from two of half the length, least values likewise. Steps are selects of
+    their own, so that no array is made twice."""
     keep = df.columns
     h, g, v, m = (f"_{out}_{x}" for x in "hgvm")
     none = F.array().cast("array<long>")
-    codes = F.when(F.length(text) > 0, F.transform(F.split(text, ""), lambda c: F.ascii(c).cast("long"))).otherwise(none)
-    df = df.select(*keep, codes.alias(h))
+    token = lambda t: F.conv(F.substring(F.md5(t), 1, 7), 16, 10).cast("long")
+    df = df.select(*keep, F.transform(F.regexp_extract_all(F.lower(text), F.lit(TOKEN), 0), token).alias(h))
     power, grams = BASE, h
-    for step in (1, 2, 4, 8):
+    for step in (1, 2):
         df = df.select(*keep, h, _pairs(grams, step, _joined(power)).alias(g))
         power, grams = power * power % PRIME, g
     short = F.array(F.aggregate(h, F.lit(0).cast("long"), lambda a, b: (a * BASE + b) % PRIME))
     df = df.select(*keep, F.when(F.size(h) >= K, F.col(g)).when(F.size(h) > 0, short).otherwise(none).alias(g))
     df = df.select(*keep, F.transform(g, lambda x, i: F.shiftleft(x, 32).bitwiseOR(F.lit((1 << 32) - 1) - i)).alias(v))
     least = v
-    for step in (1, 2, 4, 8):
+    for step in (1, 2):
         df = df.select(*keep, v, _pairs(least, step, lambda a, b: F.least(a, b)).alias(m))
         least = m
     chosen = F.when(F.size(v) >= W, F.col(m)).when(F.size(v) > 0, F.array(F.array_min(v))).otherwise(none)
@@ -130,7 +134,9 @@ _POWERS = [pow(BASE, K - 1 - j, PRIME) for j in range(K)]
 ORACLE = f"""
 WITH d AS (SELECT doc_id, coalesce(text, '') AS t, row_number() OVER (ORDER BY doc_id) AS k, count(*) OVER () AS n FROM documents),
 e AS MATERIALIZED (SELECT a.doc_id, b.doc_id AS after, a.t, left(a.t, length(a.t) - length(a.t) // 2) || left(b.t, length(a.t) // 2) AS edited FROM d a JOIN d b ON b.k = a.k % a.n + 1),
-x AS (SELECT doc_id, v, list_transform(string_split(s, ''), lambda z: unicode(z)::BIGINT) AS codes, length(s) AS n FROM (SELECT doc_id, 0 AS v, t AS s FROM e UNION ALL SELECT doc_id, 1, edited FROM e) y WHERE length(s) > 0),
+r AS (SELECT doc_id, v, list_filter(regexp_split_to_array(lower(s), '[\\x20\\x09-\\x0D]+'), lambda z: z <> '') AS runs FROM (SELECT doc_id, 0 AS v, t AS s FROM e UNION ALL SELECT doc_id, 1, edited FROM e) y),
+o AS (SELECT doc_id, v, flatten(list_transform(runs, lambda z: CASE WHEN length(z) <= {LONG} THEN [z] ELSE string_split(z, '') END)) AS tokens FROM r),
+x AS (SELECT doc_id, v, list_transform(tokens, lambda z: ('0x' || substr(md5(z), 1, 7))::BIGINT) AS codes, len(tokens) AS n FROM o WHERE len(tokens) > 0),
 c AS (SELECT doc_id, v, n, unnest(codes) AS c, generate_subscripts(codes, 1) AS i FROM x),
 g AS (SELECT doc_id, v, i, n, ({" + ".join(f"lead(c, {j}) OVER w * {p} % {PRIME}" for j, p in enumerate(_POWERS))}) % {PRIME} AS h FROM c WINDOW w AS (PARTITION BY doc_id, v ORDER BY i)),
 h AS (SELECT doc_id, v, i, n - {K - 1} AS m, (h << 32) | ({(1 << 32) - 1} - (i - 1)) AS p FROM g WHERE i <= n - {K - 1}

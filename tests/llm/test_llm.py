@@ -63,7 +63,8 @@ def empty(spark):
 def prints(text):
     """(hash, position) of the winnowed fingerprints, straight from the definition."""
     roll = lambda xs: __import__("functools").reduce(lambda a, b: (a * o1.BASE + b) % o1.PRIME, xs, 0)
-    h = [ord(c) for c in text]
+    tokens = [t for run in re.findall(r"[^\x20\x09-\x0D]+", text.lower()) for t in ([run] if len(run) <= o1.LONG else run)]
+    h = [int(hashlib.md5(t.encode()).hexdigest()[:7], 16) for t in tokens]
     grams = [roll(h[i : i + o1.K]) for i in range(len(h) - o1.K + 1)] if len(h) >= o1.K else [roll(h)] if h else []
     out = []
     for a in range(max(1, len(grams) - o1.W + 1) if grams else 0):
@@ -108,17 +109,20 @@ def test_winnowing(spark, docs, empty):
 
 
 def test_winnowing_guarantee(spark):
-    """31 shared code points share a fingerprint at any offset and in any script; an inserted one moves nothing far away."""
+    """7 shared tokens share a fingerprint at any offset, words or the characters of long runs; an inserted one moves nothing far away."""
     r = random.Random(6)
     cjk = lambda n: "".join(chr(r.randrange(0x4E00, 0x9F00)) for _ in range(n))
-    mixed = lambda n: "".join(r.choice("aé\U0001f600\u4e2d 7") for _ in range(n))
+    code = lambda n: "".join(r.choice("abcXYZ019+/\U0001f600é") for _ in range(n))
     rows = []
-    for make in (cjk, mixed):
+    for make in (cjk, code):
         for _ in range(20):
             shared = make(o1.K + o1.W - 1)
-            rows.append((make(r.randrange(90)) + shared + make(r.randrange(90)), make(r.randrange(90)) + shared + make(r.randrange(90)), 0.0))
+            rows.append((make(r.randrange(17, 90)) + shared + make(r.randrange(17, 90)), make(r.randrange(17, 90)) + shared + make(r.randrange(17, 90)), 0.0))
         long = make(800)
-        rows.append((long, make(3) + long[:400] + make(1) + long[400:], 0.85))
+        rows.append((long, make(3) + long[:400] + make(1) + long[400:], 0.9))
+    for _ in range(20):
+        own, shared = (lambda n: words(r, n, 10**6)), words(r, o1.K + o1.W - 1, 10**6)
+        rows.append((f"{own(r.randrange(9))} {shared}\n{own(r.randrange(9))}", f"{own(r.randrange(9))}\t{shared} {own(r.randrange(9))}", 0.0))
     df = spark.createDataFrame(rows, "a string, b string, least double")
     df = o1.fingerprints(o1.fingerprints(df, "a", "x"), "b", "y").select("a", "b", "least", "x", "y", o1.hashes("x").alias("p"), o1.hashes("y").alias("q"))
     for x in df.select("*", o1.likeness("p", "q").alias("near")).collect():
