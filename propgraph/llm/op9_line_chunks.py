@@ -57,10 +57,10 @@ def repeats(docs: DataFrame) -> DataFrame:
     every = every.select("_id", "_tag", "_pos", F.array_join("_c", "\n").alias("_text")).withColumn("_key", F.md5("_text"))
     place = F.struct("_id", "_pos", "_tag")
     first = every.groupBy("_key").agg(F.min(place).alias("_first"), F.max(place).alias("_last")).where("_first != _last").select("_key", "_first")
-    # both joins are with tables, so that the rows of a frequent chunk can be split over tasks
-    marked = written(every.join(written(first, "first-chunks"), "_key"), "repeated-chunks")
+    # both joins are with tables, and always by shuffle, so that the rows of a frequent chunk can be split over tasks
+    marked = written(every.join(written(first, "first-chunks").hint("merge"), "_key"), "repeated-chunks")
     kept = written(marked.where(F.col("_first") == place).select("_key", F.col("_text").alias("_kept")).dropDuplicates(["_key"]), "kept-chunks")
-    gone = marked.where(F.col("_first") != place).join(kept, "_key").where(F.col("_text") == F.col("_kept"))
+    gone = marked.where(F.col("_first") != place).join(kept.hint("merge"), "_key").where(F.col("_text") == F.col("_kept"))
     return gone.groupBy("_id", "_tag").agg(F.collect_set("_pos").alias("_gone"))
 
 
@@ -86,7 +86,7 @@ def passages(docs: DataFrame) -> DataFrame:
     every = lines.select("_id", "_tag", F.posexplode_outer(keys).alias("_pos", "_key")).where("_key IS NOT NULL")
     place = F.struct("_id", "_tag", "_pos")
     first = every.groupBy("_key").agg(F.min(place).alias("_first"), F.max(place).alias("_last")).where("_first != _last").select("_key", "_first")
-    first = written(first, "first-lines")
+    first = written(first, "first-lines").hint("merge")
     apart = (F.col("_first._id") != F.col("_id")) | (F.col("_first._tag") != F.col("_tag")) | (F.col("_pos") >= F.col("_first._pos") + 2)
     return every.join(first, "_key").where(apart).groupBy("_id", "_tag").agg(F.collect_set("_pos").alias("_gone"))
 
