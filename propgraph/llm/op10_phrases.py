@@ -39,7 +39,7 @@ LENGTH, GRAM, LONGEST = 50, 20, 1000
 #: Ids with several texts that are sent to every task; more are joined by shuffle.
 MOST_BROADCAST = 100_000
 #: Dictionary phrases of one trigger that one task puts in order; rows of phrases that it orders at a time.
-HOT, AT_ONCE = 50_000, 16_000
+HOT, AT_ONCE = 1_000, 16_000
 #: A phrase's place: its start times this, plus how many strings it holds.
 UNIT = 1024
 
