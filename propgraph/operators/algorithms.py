@@ -25,7 +25,7 @@ def _rank_graph(g: PropertyGraph, init: float) -> PropertyGraph:
     return PropertyGraph(v, g.edges.select("src", "dst"), g.layout)
 
 
-def pagerank(g: PropertyGraph, rounds: int = 20, tol: float | None = None, reset: float = 0.15, init: float = 1.0, via: str = "direct", mode: str = "full", trace: Trace | None = None, reuse: bool = True, every: int = 2, eliminate: bool = True) -> DataFrame:
+def pagerank(g: PropertyGraph, rounds: int = 20, tol: float | None = None, reset: float = 0.15, init: float = 1.0, via: str = "direct", mode: str = "full", trace: Trace | None = None, reuse: bool = True, every: int = 1, eliminate: bool = True) -> DataFrame:
     """id, pr. Unnormalized; the rank of vertices without out-links isn't handed on.
 
     via: direct, operators, supersteps, gas, classic. tol stops when no rank moves by more; a trace then tells how
