@@ -173,7 +173,7 @@ def op7_base_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op7_secret_scan(spark, sf_dir).select("doc_id", "n_assign", "n_access", "n_hex")
 
 
-_PATTERNS = {k: (p.replace("(?i:", "((?i)").replace("'", "''"), n) for k, p, n in KINDS}
+_PATTERNS = {k: (p.replace("'", "''"), n) for k, p, n in KINDS}
 BASE_COUNTS = f"""SELECT doc_id, len(list_filter(regexp_extract_all(t, '{_PATTERNS["assign"][0]}', 2), lambda x: length(x) >= 8))::BIGINT AS n_assign,
   len(list_filter(regexp_extract_all(t, '{_PATTERNS["access"][0]}'), lambda x: length(x) >= 16))::BIGINT AS n_access,
   len(list_filter(regexp_extract_all(t, '{_PATTERNS["hex"][0]}'), lambda x: length(x) >= 32))::BIGINT AS n_hex FROM (SELECT doc_id, coalesce(text, '') AS t FROM documents) d"""
