@@ -14,17 +14,17 @@ from pyspark.sql import functions as F
 from .common import release, written
 
 
-def classes(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
-    """id, least: for every linked id other than its class's least, that least."""
-    now = written(links.select(F.greatest(a, b).alias("hi"), F.least(a, b).alias("lo")).where("hi != lo").distinct(), "links")
+def classes(links: DataFrame, a: str = "a", b: str = "b", files: int | None = None) -> DataFrame:
+    """id, least: for every linked id other than its class's least, that least. files: at most, of each table."""
+    now = written(links.select(F.greatest(a, b).alias("hi"), F.least(a, b).alias("lo")).where("hi != lo").distinct(), "links", files)
     before = None
     while True:
         both = now.unionByName(now.select(F.col("lo").alias("hi"), F.col("hi").alias("lo")))
-        least = written(both.groupBy("hi").agg(F.min("lo").alias("m")).select("hi", F.least("hi", "m").alias("m")), "least")
-        large = written(both.join(least, "hi").where("lo > hi").select(F.col("lo").alias("hi"), F.col("m").alias("lo")).where("hi != lo").distinct(), "large-stars")
-        down = written(large.groupBy("hi").agg(F.min("lo").alias("m")), "down")
+        least = written(both.groupBy("hi").agg(F.min("lo").alias("m")).select("hi", F.least("hi", "m").alias("m")), "least", files)
+        large = written(both.join(least, "hi").where("lo > hi").select(F.col("lo").alias("hi"), F.col("m").alias("lo")).where("hi != lo").distinct(), "large-stars", files)
+        down = written(large.groupBy("hi").agg(F.min("lo").alias("m")), "down", files)
         small = large.join(down, "hi").select(F.explode(F.array(F.struct("hi", F.col("m").alias("lo")), F.struct(F.col("lo").alias("hi"), F.col("m").alias("lo")))).alias("e")).select("e.hi", "e.lo").where("hi != lo").distinct()
-        last, now = now, written(small, "links")
+        last, now = now, written(small, "links", files)
         release(last, least, large, down)
         sums = now.agg(F.count("*"), F.sum(F.xxhash64("hi", "lo").cast("decimal(38,0)")))
         state = tuple(sums.first())

@@ -40,6 +40,8 @@ MOST_BROADCAST = 200_000
 FURTHER = 1 << 62
 #: 64-bit words of a parity map.
 PARITY = 32
+#: Rows of a file of ids, and the fewest files that a table may be kept to.
+FILE_ROWS, FEWEST_FILES = 20_000, 16
 K = ROWS * BANDS
 
 
@@ -116,11 +118,11 @@ def features(docs: DataFrame) -> DataFrame:
     return text_of(docs, F.xxhash64(F.coalesce("text", F.lit(""))).alias("tag")).mapInArrow(run, "doc_id long, tag long, n_shingles long, set_key binary, bands array<long>")
 
 
-def confirm(pairs: DataFrame, texts: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
+def confirm(pairs: DataFrame, texts: DataFrame, threshold: int = THRESHOLD, files: int | None = None) -> DataFrame:
     """The pairs (a, b) whose sets have 100 * shared >= threshold * all; texts: doc_id, text, one row an id."""
     workers_can_import(pairs.sparkSession)
     # both sides of the join are tables, so that the pairs of a frequent centre can be split over tasks
-    hot = written(pairs.groupBy("a").agg(F.count("*").alias("n")).select("a", F.ceil(F.col("n") / CHUNK).cast("int").alias("parts")), "centres")
+    hot = written(pairs.groupBy("a").agg(F.count("*").alias("n")).select("a", F.ceil(F.col("n") / CHUNK).cast("int").alias("parts")), "centres", files)
     ends = pairs.join(hot, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("parts")).cast("int").alias("part"))
     member = ends.join(texts.withColumnRenamed("doc_id", "b"), "b").select("a", "part", F.lit(1).alias("side"), "b", "text")
     centre = hot.join(texts.withColumnRenamed("doc_id", "a"), "a").select("a", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(0).alias("side"), F.lit(None).cast("long").alias("b"), "text")
@@ -149,10 +151,10 @@ def confirm(pairs: DataFrame, texts: DataFrame, threshold: int = THRESHOLD) -> D
     return rows.mapInArrow(run, "a long, b long")
 
 
-def set_nodes(known: DataFrame) -> DataFrame:
+def set_nodes(known: DataFrame, files: int | None = None) -> DataFrame:
     """node, rep, tag, n, bands: one row a distinct set; rep and tag name a row whose text has it."""
     key = F.xxhash64("set_key")
-    twins = written(known.groupBy(F.col("doc_id").alias("rep")).agg(F.min(key).alias("own"), F.max(key).alias("last")).where("own != last").select("rep", "own"), "twins")
+    twins = written(known.groupBy(F.col("doc_id").alias("rep")).agg(F.min(key).alias("own"), F.max(key).alias("last")).where("own != last").select("rep", "own"), "twins", files)
     first = F.min(F.struct("doc_id", "tag")).alias("f")
     sets = known.groupBy("set_key").agg(first, F.first("n_shingles").alias("n"), F.first("bands").alias("bands")).select("set_key", F.col("f.doc_id").alias("rep"), F.col("f.tag").alias("tag"), "n", "bands")
     if twins.isEmpty():
@@ -164,43 +166,45 @@ def set_nodes(known: DataFrame) -> DataFrame:
 def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     """doc_id, n_shingles, component_id, kept: one row a row."""
     every = written(features(docs), "shingle-features")
+    # a table of a row a document, or fewer, needs no more files than this
+    files = max(FEWEST_FILES, -(-every.count() // FILE_ROWS))
     known = every.where("n_shingles > 0 AND doc_id IS NOT NULL")
     # equal sets: one representative, which also carries the bands
-    sets = written(set_nodes(known), "shingle-sets")
+    sets = written(set_nodes(known, files), "shingle-sets", files)
     same = known.join(sets.select("set_key", "node"), "set_key").where("doc_id != node").select(F.col("node").alias("a"), F.col("doc_id").alias("b"))
-    links = written(same, "equal-sets")
+    links = written(same, "equal-sets", files)
     rows = sets.select(F.col("node").alias("rep"), "n", F.explode("bands").alias("band"))
-    sizes = written(rows.groupBy("band").agg(F.count("*").alias("m")).where("m > 1"), "bucket-sizes")
+    sizes = written(rows.groupBy("band").agg(F.count("*").alias("m")).where("m > 1"), "bucket-sizes", 4 * files)
     buckets = written(rows.join(sizes, "band"), "buckets")
     # the text that shares most buckets with most others is nearest to the middle of its group
-    score = written(buckets.groupBy("rep").agg(F.sum("m").alias("s")), "scores")
-    texts = written(_texts(docs, sets.join(score.select(F.col("rep").alias("node")), "node").select("rep", "tag", "node"), score.count()), "candidate-texts")
+    score = written(buckets.groupBy("rep").agg(F.sum("m").alias("s")), "scores", files)
+    texts = written(_texts(docs, sets.join(score.select(F.col("rep").alias("node")), "node").select("rep", "tag", "node"), score.count()), "candidate-texts", files)
     release(sets, sizes)
     member = written(buckets.drop("m").join(score, "rep"), "scored-buckets")
     release(buckets, score)
     best = F.max_by("rep", F.struct("s", -F.col("rep")))
-    pivots = written(member.groupBy("band").agg(best.alias("pivot")), "pivots")
+    pivots = written(member.groupBy("band").agg(best.alias("pivot")), "pivots", files)
     held = written(member.withColumn("c", F.col("rep")).join(pivots, "band"), "centred-buckets")
     release(pivots)
     for step in range(STARS):
         stars = held.where("c != pc" if step else "rep != pivot").select(F.least("pivot", "rep").alias("x"), F.greatest("pivot", "rep").alias("y"), F.col("pivot").alias("a"), F.col("rep").alias("b"))
-        stars = written(stars.dropDuplicates(["x", "y"]).select("a", "b"), "stars")
-        before, links = links, written(links.unionByName(confirm(stars, texts, threshold)), "links")
+        stars = written(stars.dropDuplicates(["x", "y"]).select("a", "b"), "stars", files)
+        before, links = links, written(links.unionByName(confirm(stars, texts, threshold, files)), "links", files)
         release(before, stars)
-        label = classes(links)
+        label = classes(links, files=files)
         now = member.join(label.select(F.col("id").alias("rep"), "least"), "rep", "left").select("band", "rep", "n", "s", F.coalesce("least", "rep").alias("c"))
         # of a bucket in several classes, the next centre is the best text outside the last centre's class
         named = held.select("band", "pivot").distinct().join(label.select(F.col("id").alias("pivot"), "least"), "pivot", "left").select("band", F.coalesce("least", "pivot").alias("old"))
-        outside = written(now.join(written(named, "named-buckets"), "band").where("c != old"), "outside")
-        rest = written(outside.groupBy("band").agg(best.alias("pivot"), F.max_by("c", F.struct("s", -F.col("rep"))).alias("pc")), "next-pivots")
+        outside = written(now.join(written(named, "named-buckets", files), "band").where("c != old"), "outside", files)
+        rest = written(outside.groupBy("band").agg(best.alias("pivot"), F.max_by("c", F.struct("s", -F.col("rep"))).alias("pc")), "next-pivots", files)
         before, held = held, written(now.join(rest, "band"), "mixed-buckets")
         release(before, outside, rest)
         if held.isEmpty():
             break
     release(member)
-    held = written(able(held, texts, threshold), "able-buckets")
+    held = written(able(held, texts, threshold), "able-buckets", files)
     every_band = held.groupBy("rep").agg(F.collect_set("band").alias("all"))
-    held = written(held.join(every_band, "rep").join(parities(held, texts), "rep"), "mapped-buckets")
+    held = written(held.join(every_band, "rep").join(parities(held, texts), "rep"), "mapped-buckets", files)
     x, y = (held.select("band", F.col("rep").alias(i), F.col("n").alias(f"n{i}"), F.col("c").alias(f"c{i}"), F.col("t").alias(f"t{i}"), F.col("all").alias(f"all{i}"), F.col("parity").alias(f"q{i}")) for i in "ab")
     shared = F.least("ta", "tb")
     # shared >= threshold % of all is the same as: no more than this part of both sizes lies in one set only
@@ -208,11 +212,11 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     fits = (shared * 100 >= (F.col("na") + F.col("nb") - shared) * threshold) & (F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & apart(range(8)) & apart(range(PARITY))
     # a pair that shares several buckets comes from the least of them
     more = x.join(y, (x["band"] == y["band"]) & fits & (F.array_min(F.array_intersect("alla", "allb")) == x["band"])).select("a", "b")
-    more = written(more, "further-pairs")
+    more = written(more, "further-pairs", 4 * files)
     release(held)
-    found = written(confirm(more, texts, threshold), "further-links")
+    found = written(confirm(more, texts, threshold, files), "further-links", files)
     release(more, texts)
-    label = classes(links.unionByName(found))
+    label = classes(links.unionByName(found), files=files)
     release(links, found)
     out = every.join(least_ids(label, known).withColumnRenamed("id", "doc_id"), "doc_id", "left")
     component = F.coalesce("least", "doc_id")
